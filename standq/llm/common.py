@@ -82,17 +82,18 @@ def annotate(
     fn: Callable[[], Callable[[pa.RecordBatch], dict[str, list]]],
     fields: list[T.StructField],
     needs: list[str],
-    carry: bool = True,
+    keep: list[str] | None = None,
 ) -> DataFrame:
     """Add columns to every row with a Python function over Arrow batches.
 
     ``fn()`` is called once a task and returns the batch function, so costly set-up is per task. ``needs`` are the
-    columns read; with ``carry`` every input column is kept as it is. An input column named as a new one gives way.
+    columns read; ``keep`` are the input columns kept as they are (all, if None). An input column named as a new one
+    gives way.
     """
     ship(df.sparkSession)
     names = [f.name for f in fields]
-    kept = [c for c in df.columns if c not in names] if carry else [c for c in needs if c not in names]
-    source = df.select(*{c: F.col(f"`{c}`") for c in [*kept, *[n for n in needs if n not in kept]]}.values())
+    kept = [c for c in (df.columns if keep is None else keep) if c not in names]
+    source = df.select(*(F.col(f"`{c}`") for c in dict.fromkeys([*kept, *needs])))
     by_name = {f.name: f for f in source.schema.fields}
     schema = T.StructType([*(by_name[c] for c in kept), *fields])
     arrow = to_arrow_schema(schema)

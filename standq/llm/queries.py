@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import decontaminate, sstable, url_filter
+from . import decontaminate, simhash, sstable, url_filter
 
 QUERIES = {
     "op1_sstable_shards": sstable.op1,
+    "op7_simhash": simhash.op7,
     "op8_url_filter": url_filter.op8,
     "op10_decontaminate": decontaminate.op10,
 }
