@@ -242,11 +242,12 @@ def write_shards(
             return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(row, kinds, strict=True)], names=names)
 
         for batch in batches:
-            for k, t in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            encoded = engine.encode_all([t or "" for t in batch.column(1).to_pylist()])
+            for k, ids in zip(batch.column(0).to_pylist(), encoded, strict=True):
                 writer = writer or ShardWriter()
                 last = key_of(k)
                 first = first if writer.keys else last
-                writer.add(last, engine.encode(t.as_py() or "") + end)
+                writer.add(last, ids + end)
                 if len(writer.out) >= shard_bytes:
                     yield close()
                     writer, seq = None, seq + 1

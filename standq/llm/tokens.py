@@ -1,56 +1,127 @@
-"""Exact tokenizer front end that encodes each distinct blank-separated chunk once."""
+"""Exact tokenizer front end that encodes each distinct piece of text once."""
 
 from __future__ import annotations
 
+import json
 import os
+import re
 
 import numpy as np
 
+#: The normalizer and splitter for which texts may be taken apart at blanks. Fixed values.
+NORMALIZERS = [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]
+SPLIT = "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"
+
+#: Chunks of printable ASCII and Latin-1 letters, which no normal form changes, and their pieces by the same splitter.
+PLAIN = re.compile(r"[!-~À-ÖØ-öø-ÿ]{1,64}")
+PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^a-z0-9ß-öø-ÿ]+")
+
+
+class Generations:
+    """A map of at most twice ``limit`` entries: what was not asked for while ``limit`` new ones came is forgotten."""
+
+    def __init__(self, limit: int):
+        self.limit, self.young, self.old = limit, {}, {}
+
+    def turn(self) -> None:
+        if len(self.young) > self.limit:
+            self.old, self.young = self.young, {}
+
+    def unknown(self, keys: set[str]) -> list[str]:
+        """Keys without a value; those of the old generation become young."""
+        out = []
+        for k in keys:
+            v = self.old.get(k)
+            if v is None:
+                out.append(k)
+            else:
+                self.young[k] = v
+        return out
+
 
 class ChunkTokenizer:
-    """Encodes whole texts with a ``tokenizers`` file, ids as little-endian unsigned 32-bit bytes.
+    """Encodes whole texts with a ``tokenizers`` file; ids as little-endian unsigned 32-bit bytes.
 
-    The tokenizer drops blanks and never joins across them, so a text's ids are those of its blank-separated chunks in
-    order. Chunks repeat far more often than texts do; their ids are kept in two generations of at most ``limit``
-    entries, so memory is bounded and results do not depend on what is kept. tests/llm compare this with whole texts.
+    A tokenizer that drops blanks and splits as ``SPLIT`` does never joins across blanks or pieces, so a text's ids are
+    those of its chunks between blanks, and a plain chunk's are those of its pieces, in order. Both repeat far more often
+    than texts do and are kept, in bounded number; results do not depend on what is kept. Chunks with other characters
+    are encoded as they stand, and with any other tokenizer file whole texts are. tests/llm hold this against the library.
     """
 
-    def __init__(self, path: str, limit: int = 150_000, longest: int = 64):
+    def __init__(self, path: str, limit: int = 200_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.engine = Tokenizer.from_file(path)
-        self.limit, self.longest = limit, longest
-        self.young: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
-
-    def _learn(self, chunks: set[str]) -> dict[str, bytes]:
-        """Ids of chunks too long to keep; all others are in ``young`` afterwards."""
-        long, new = {}, []
+        with open(path, encoding="utf-8") as f:
+            made = json.load(f)
+        normal, first = made.get("normalizer") or {}, ((made.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0]
+        self.by_chunk = (
+            normal.get("normalizers") == NORMALIZERS and first.get("pattern") == {"Regex": SPLIT} and bool(first.get("invert"))
+            and made["model"].get("end_of_word_suffix") == "</w>" and not made.get("post_processor")
+        )
+        self.special = [t["content"] for t in made.get("added_tokens", [])]
+        vocab = self.engine.get_vocab()
+        self.ends = np.zeros(max(vocab.values(), default=0) + 1, bool)
+        self.ends[[i for w, i in vocab.items() if w.endswith("</w>")]] = True
+        self.chunks, self.pieces = Generations(limit), Generations(limit)
+
+    def _plainly(self, items: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.engine.encode_batch_fast(items, add_special_tokens=False)]
+
+    def _learn_pieces(self, new: list[str]) -> None:
+        """Encode pieces side by side; the ids that end a word part them again."""
+        ids = np.array(self.engine.encode_batch_fast([" ".join(new)], add_special_tokens=False)[0].ids, "<u4")
+        cuts = (np.flatnonzero(self.ends[ids]) + 1).tolist()
+        if len(cuts) == len(new):
+            raw, at = ids.tobytes(), 0
+            for p, to in zip(new, cuts, strict=True):
+                self.pieces.young[p] = raw[4 * at : 4 * to]
+                at = to
+        else:
+            self.pieces.young.update(zip(new, self._plainly(new), strict=True))
+
+    def _learn(self, chunks: list[str]) -> dict[str, bytes]:
+        """Ids of the chunks too long to keep; all others are among the kept ones afterwards."""
+        plain, other = {}, []
         for c in chunks:
-            known = self.old.get(c)
-            if known is None:
-                new.append(c)
+            if PLAIN.fullmatch(c) and not ("<|" in c and any(s in c for s in self.special)):
+                plain[c] = PIECE.findall(c.lower())
             else:
-                self.young[c] = known
-        if new:
-            for c, e in zip(new, self.engine.encode_batch_fast(new, add_special_tokens=False), strict=True):
-                ids = np.array(e.ids, dtype="<u4").tobytes()
-                if len(c) > self.longest:
-                    long[c] = ids
-                else:
-                    self.young[c] = ids
+                other.append(c)
+        self.pieces.turn()
+        young = self.pieces.young
+        if new := self.pieces.unknown({p for ps in plain.values() for p in ps}.difference(young)):
+            self._learn_pieces(new)
+        for c, ps in plain.items():
+            self.chunks.young[c] = young[ps[0]] if len(ps) == 1 else b"".join([young[p] for p in ps])
+        long = {}
+        for c, ids in zip(other, self._plainly(other), strict=True) if other else ():
+            if len(c) > 64:
+                long[c] = ids
+            else:
+                self.chunks.young[c] = ids
         return long
 
     def encode(self, text: str) -> bytes:
-        chunks = text.replace("\n", " ").split(" ")
-        if len(self.young) > self.limit:
-            self.old, self.young = self.young, {}
-        missing = set(chunks).difference(self.young)
-        if missing and (long := self._learn(missing)):
-            get = self.young.get
-            return b"".join([long[c] if (ids := get(c)) is None else ids for c in chunks])
-        return b"".join(map(self.young.__getitem__, chunks))
+        return self.encode_all([text])[0]
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        if not self.by_chunk:
+            return self._plainly(texts)
+        out = []
+        for at in range(0, len(texts), 64):
+            self.chunks.turn()
+            young = self.chunks.young
+            split = [t.replace("\n", " ").split(" ") for t in texts[at : at + 64]]
+            missing = set().union(*split).difference(young)
+            long = self._learn(self.chunks.unknown(missing)) if missing else {}
+            for words in split:
+                if long:
+                    out.append(b"".join([long[w] if w in long else young[w] for w in words]))
+                else:
+                    out.append(b"".join(map(young.__getitem__, words)))
+        return out
 
 
 _engines: dict[str, ChunkTokenizer] = {}
