@@ -17,26 +17,31 @@ PLAIN = re.compile(r"[!-~À-ÖØ-öø-ÿ]{1,64}")
 PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^a-z0-9ß-öø-ÿ]+")
 
 
-class Generations:
-    """A map of at most twice ``limit`` entries: what was not asked for while ``limit`` new ones came is forgotten."""
+#: Stand-ins of bytes in a byte-level vocabulary: printable ones stand for themselves, the others for 256 and on.
+_ITSELF = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+_OTHERS = [b for b in range(256) if b not in set(_ITSELF)]
+STAND_IN = {b: chr(b) for b in _ITSELF} | {b: chr(256 + k) for k, b in enumerate(_OTHERS)}
 
-    def __init__(self, limit: int):
-        self.limit, self.young, self.old = limit, {}, {}
 
-    def turn(self) -> None:
-        if len(self.young) > self.limit:
-            self.old, self.young = self.young, {}
+class Kept(dict):
+    """A map that makes what it lacks, with at most twice ``limit`` entries: what was not asked for while ``limit`` new
+    ones came is forgotten. What ``make`` says not to keep is made again each time."""
 
-    def unknown(self, keys: set[str]) -> list[str]:
-        """Keys without a value; those of the old generation become young."""
-        out = []
-        for k in keys:
-            v = self.old.get(k)
-            if v is None:
-                out.append(k)
-            else:
-                self.young[k] = v
-        return out
+    def __init__(self, make, limit: int):
+        super().__init__()
+        self.make, self.limit, self.old = make, limit, {}
+
+    def __missing__(self, key: str) -> bytes:
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
+            if len(key) > 64:
+                return value
+        if len(self) >= self.limit:
+            self.old = dict(self)
+            self.clear()
+        self[key] = value
+        return value
 
 
 class ChunkTokenizer:
@@ -48,80 +53,48 @@ class ChunkTokenizer:
     are encoded as they stand, and with any other tokenizer file whole texts are. tests/llm hold this against the library.
     """
 
-    def __init__(self, path: str, limit: int = 200_000):
+    def __init__(self, path: str, limit: int = 250_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.engine = Tokenizer.from_file(path)
         with open(path, encoding="utf-8") as f:
             made = json.load(f)
-        normal, first = made.get("normalizer") or {}, ((made.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0]
+        normal, splits = made.get("normalizer") or {}, (made.get("pre_tokenizer") or {}).get("pretokenizers") or [{}]
         self.by_chunk = (
-            normal.get("normalizers") == NORMALIZERS and first.get("pattern") == {"Regex": SPLIT} and bool(first.get("invert"))
-            and made["model"].get("end_of_word_suffix") == "</w>" and not made.get("post_processor")
+            normal.get("normalizers") == NORMALIZERS and splits[0].get("pattern") == {"Regex": SPLIT} and bool(splits[0].get("invert"))
+            and [x["type"] for x in splits[1:]] == ["ByteLevel"] and not splits[1]["add_prefix_space"] and not made.get("post_processor")
         )
         self.special = [t["content"] for t in made.get("added_tokens", [])]
-        vocab = self.engine.get_vocab()
-        self.ends = np.zeros(max(vocab.values(), default=0) + 1, bool)
-        self.ends[[i for w, i in vocab.items() if w.endswith("</w>")]] = True
-        self.chunks, self.pieces = Generations(limit), Generations(limit)
+        top = max(self.engine.get_vocab().values(), default=0) + 1
+        self.id_bytes = [i.to_bytes(4, "little") for i in range(top)] if self.by_chunk else []
+        self.words = self.engine.model.tokenize
+        self.chunks, self.pieces = Kept(self._chunk, limit), Kept(self._piece, limit)
 
     def _plainly(self, items: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.engine.encode_batch_fast(items, add_special_tokens=False)]
 
-    def _learn_pieces(self, new: list[str]) -> None:
-        """Encode pieces side by side; the ids that end a word part them again."""
-        ids = np.array(self.engine.encode_batch_fast([" ".join(new)], add_special_tokens=False)[0].ids, "<u4")
-        cuts = (np.flatnonzero(self.ends[ids]) + 1).tolist()
-        if len(cuts) == len(new):
-            raw, at = ids.tobytes(), 0
-            for p, to in zip(new, cuts, strict=True):
-                self.pieces.young[p] = raw[4 * at : 4 * to]
-                at = to
-        else:
-            self.pieces.young.update(zip(new, self._plainly(new), strict=True))
-
-    def _learn(self, chunks: list[str]) -> dict[str, bytes]:
-        """Ids of the chunks too long to keep; all others are among the kept ones afterwards."""
-        plain, other = {}, []
-        for c in chunks:
-            if PLAIN.fullmatch(c) and not ("<|" in c and any(s in c for s in self.special)):
-                plain[c] = PIECE.findall(c.lower())
-            else:
-                other.append(c)
-        self.pieces.turn()
-        young = self.pieces.young
-        if new := self.pieces.unknown({p for ps in plain.values() for p in ps}.difference(young)):
-            self._learn_pieces(new)
-        for c, ps in plain.items():
-            self.chunks.young[c] = young[ps[0]] if len(ps) == 1 else b"".join([young[p] for p in ps])
-        long = {}
-        for c, ids in zip(other, self._plainly(other), strict=True) if other else ():
-            if len(c) > 64:
-                long[c] = ids
-            else:
-                self.chunks.young[c] = ids
-        return long
+    def _piece(self, piece: str) -> bytes:
+        if not piece.isascii():
+            piece = "".join([STAND_IN[b] for b in piece.encode()])
+        table = self.id_bytes
+        return b"".join([table[t.id] for t in self.words(piece)])
+
+    def _chunk(self, chunk: str) -> bytes:
+        if not chunk:
+            return b""
+        if not PLAIN.fullmatch(chunk) or ("<|" in chunk and any(s in chunk for s in self.special)):
+            return self._plainly([chunk])[0]
+        pieces = PIECE.findall(chunk.lower())
+        return self.pieces[pieces[0]] if len(pieces) == 1 else b"".join([self.pieces[p] for p in pieces])
 
     def encode(self, text: str) -> bytes:
-        return self.encode_all([text])[0]
+        if not self.by_chunk:
+            return self._plainly([text])[0]
+        return b"".join(map(self.chunks.__getitem__, text.replace("\n", " ").split(" ")))
 
     def encode_all(self, texts: list[str]) -> list[bytes]:
-        if not self.by_chunk:
-            return self._plainly(texts)
-        out = []
-        for at in range(0, len(texts), 64):
-            self.chunks.turn()
-            young = self.chunks.young
-            split = [t.replace("\n", " ").split(" ") for t in texts[at : at + 64]]
-            missing = set().union(*split).difference(young)
-            long = self._learn(self.chunks.unknown(missing)) if missing else {}
-            for words in split:
-                if long:
-                    out.append(b"".join([long[w] if w in long else young[w] for w in words]))
-                else:
-                    out.append(b"".join(map(young.__getitem__, words)))
-        return out
+        return [self.encode(t) for t in texts] if self.by_chunk else self._plainly(texts)
 
 
 _engines: dict[str, ChunkTokenizer] = {}
