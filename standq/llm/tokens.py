@@ -53,7 +53,7 @@ class ChunkTokenizer:
     are encoded as they stand, and with any other tokenizer file whole texts are. tests/llm hold this against the library.
     """
 
-    def __init__(self, path: str, limit: int = 250_000):
+    def __init__(self, path: str, limit: int = 450_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -81,6 +81,8 @@ class ChunkTokenizer:
         return b"".join([table[t.id] for t in self.words(piece)])
 
     def _chunk(self, chunk: str) -> bytes:
+        if chunk.isascii() and chunk.isalpha():
+            return self.pieces[chunk.lower()]
         if not chunk:
             return b""
         if not PLAIN.fullmatch(chunk) or ("<|" in chunk and any(s in chunk for s in self.special)):
