@@ -29,7 +29,10 @@ PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 
 # Wider patterns, for candidates that the base leaves out.
 DIGIT = re.compile(r"[0-9]")
-SPELT_EMAIL = re.compile(r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64} ?(?:\(at\)|\[at\]|\{at\}| at ) ?[A-Za-z0-9-]{1,63}(?: ?(?:\(dot\)|\[dot\]|\{dot\}| dot |\.) ?[A-Za-z0-9-]{2,24}){1,4}", re.I)
+_NAME, _HOST, _LABEL = r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}", r"[A-Za-z0-9-]{1,63}", r"[A-Za-z0-9-]{2,24}"
+SPELT_EMAIL = re.compile(
+    rf"{_NAME} ?[(\[{{]at[)\]}}] ?{_HOST}(?: ?(?:[(\[{{]dot[)\]}}]|\.) ?{_LABEL}| dot {_LABEL}){{1,4}}|{_NAME} at {_HOST}(?: dot {_LABEL}){{1,4}}", re.I
+)
 LOCAL_PHONE = re.compile(r"(?<![0-9+.-])(?:\([0-9]{3}\)|[0-9]{3})[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9])")
 IP6 = re.compile(r"(?<![0-9A-Fa-f:])(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}(?![0-9A-Fa-f:])")
 
@@ -91,7 +94,7 @@ def candidates(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, i
     """(start, kind, end, code) of every base span and wider match; the code holds votes and shape, nothing of the text."""
     found = [(s, k, e, True) for s, k, e in base]
     lower = text.lower() if "at" in text or "AT" in text else ""
-    if any(x in lower for x in ("(at)", "[at]", "{at}", " at ")) and ("dot" in lower or "." in lower):
+    if any(x in lower for x in ("(at)", "[at]", "{at}")) or (" at " in lower and " dot " in lower):
         found += [(m.start(), 0, m.end(), False) for m in SPELT_EMAIL.finditer(text)]
     if DIGIT.search(text):
         found += [(m.start(), 3, m.end(), False) for m in LOCAL_PHONE.finditer(text)]
@@ -209,7 +212,8 @@ def detect(docs: DataFrame, text_col: str = "text", out: str = "pii", keep: list
     """``docs`` with all spans found: array of (start, kind, end, base), by start, then kind; code points, end exclusive.
 
     Texts are read once: spans and codes go to a staged table, the codes are counted over all of it, and the model made
-    from the counts (a few hundred at most, for a code has few values) decides there. Null and empty texts have no spans.
+    from the counts (a few hundred at most, for a code has few values) decides there. A candidate that fails its format
+    (a card its checksum) never joins, whatever else votes for it. Null and empty texts have no spans.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -228,7 +232,7 @@ def detect(docs: DataFrame, text_col: str = "text", out: str = "pii", keep: list
     found = staged(annotate(docs, start, [T.StructField("_found", T.ArrayType(SPAN))], [text_col], keep), "pii")
     counts = found.select(F.explode("_found.code").alias("code")).groupBy("code").agg(F.count("*").alias("n")).collect()
     model = SpanModel({r.code: r.n for r in counts})
-    good = [c for c, p in sorted(model.chance.items()) if p > threshold]
+    good = [c for c, p in sorted(model.chance.items()) if p > threshold and c[2] != "0"]  # a failed checksum is a veto
     held = F.filter("_found", lambda s: s["base"] | s["code"].isin(good))
     spans = F.transform(held, lambda s: F.struct(s["start"].alias("start"), s["kind"].alias("kind"), s["end"].alias("end"), s["base"].alias("base")))
     return found.withColumn(out, spans).drop("_found")
