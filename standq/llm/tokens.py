@@ -53,7 +53,7 @@ class ChunkTokenizer:
     are encoded as they stand, and with any other tokenizer file whole texts are. tests/llm hold this against the library.
     """
 
-    def __init__(self, path: str, limit: int = 450_000):
+    def __init__(self, path: str, limit: int = 280_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
