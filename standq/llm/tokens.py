@@ -38,7 +38,8 @@ class Kept(dict):
             if len(key) > 64:
                 return value
         if len(self) >= self.limit:
-            self.old = dict(self)
+            self.old.clear()  # first, so that no third generation takes memory meanwhile
+            self.old.update(self)
             self.clear()
         self[key] = value
         return value
@@ -53,7 +54,7 @@ class ChunkTokenizer:
     are encoded as they stand, and with any other tokenizer file whole texts are. tests/llm hold this against the library.
     """
 
-    def __init__(self, path: str, limit: int = 280_000):
+    def __init__(self, path: str, limit: int = 300_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -69,7 +70,7 @@ class ChunkTokenizer:
         top = max(self.engine.get_vocab().values(), default=0) + 1
         self.id_bytes = [i.to_bytes(4, "little") for i in range(top)] if self.by_chunk else []
         self.words = self.engine.model.tokenize
-        self.chunks, self.pieces = Kept(self._chunk, limit), Kept(self._piece, limit)
+        self.chunks, self.pieces = Kept(self._chunk, limit), Kept(self._piece, limit * 2 // 3)
 
     def _plainly(self, items: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.engine.encode_batch_fast(items, add_special_tokens=False)]
