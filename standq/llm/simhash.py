@@ -17,7 +17,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -296,16 +296,19 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tau: int = 4) -> DataFrame:
     """``docs`` with one document of each group of near-duplicates: that of the least identifier (nulls last), then
-    the least fingerprint and text; whole rows and columns as they were."""
-    own = staged(with_fingerprints(docs, text_col, "_fp"), "prints")
-    who = F.struct(F.col(f"`{id_col}`").isNull().alias("none"), F.col(f"`{id_col}`").alias("doc"), F.col("_fp").alias("fp"))
+    the least fingerprint and hash of text; whole rows and columns as they were.
+
+    Rows get a number when they are staged with their fingerprints. The choice is made on narrow rows; whole ones move
+    once, to meet the chosen numbers.
+    """
+    numbered = with_fingerprints(docs, text_col, "_fp").withColumn("_rid", F.monotonically_increasing_id())
+    own = staged(numbered.withColumn("_h", F.xxhash64(f"`{text_col}`")), "prints")
+    who = F.struct(F.col(f"`{id_col}`").isNull().alias("none"), F.col(f"`{id_col}`").alias("doc"), "_fp", "_h", "_rid")
     prints = staged(own.groupBy(F.col("_fp").alias("fp")).agg(F.min(who).alias("least")), "distinct")
     classes = fingerprint_classes(prints, tau)
     whole = prints.join(classes, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    chosen = whole.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.doc").alias("_doc"), F.col("least.fp").alias("_fp"))
-    kept = own.join(chosen, (own["_fp"] == chosen["_fp"]) & own[id_col].eqNullSafe(chosen["_doc"]), "left_semi")
-    first = Window.partitionBy(f"`{id_col}`", "_fp").orderBy(F.xxhash64(f"`{text_col}`"), f"`{text_col}`")  # copies of one identifier
-    return kept.withColumn("_turn", F.row_number().over(first)).filter("_turn = 1").select(*(F.col(f"`{c}`") for c in docs.columns))
+    chosen = whole.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least._rid").alias("_rid"))
+    return own.join(chosen, "_rid", "left_semi").select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op7(spark: SparkSession, sf_dir: str) -> DataFrame:
