@@ -252,18 +252,18 @@ def both(spark, sf):
 CK, OK = f"(SELECT c_custkey AS k, c_mktsegment AS segment FROM ({CUST_FINAL}))", f"(SELECT o_custkey AS k, o_orderkey AS o FROM ({ORD_FINAL}))"
 
 
-@workload("outer_join_cust", f"SELECT k, segment, o FROM {CK} LEFT JOIN {OK} USING (k)")
+@workload("outer_join_cust", f"SELECT k, segment, coalesce(o, -1) AS o FROM {CK} LEFT JOIN {OK} USING (k)")
 def outer_join_cust(spark, sf):
     db = cust_tables(spark, sf, orders=True)
     c, o = keyed(db)
-    return followed(db, c.join(o, ["k"], "left_outer"), both(spark, sf))
+    return followed(db, c.join(o, ["k"], "left_outer"), both(spark, sf)).withColumn("o", F.coalesce("o", F.lit(-1)))
 
 
-@workload("full_join_cust", f"SELECT k, segment, o FROM {CK} FULL JOIN {OK} USING (k)")
+@workload("full_join_cust", f"SELECT k, coalesce(segment, '-') AS segment, coalesce(o, -1) AS o FROM {CK} FULL JOIN {OK} USING (k)")
 def full_join_cust(spark, sf):
     db = cust_tables(spark, sf, orders=True)
     c, o = keyed(db)
-    return followed(db, c.join(o, ["k"], "full_outer"), both(spark, sf))
+    return followed(db, c.join(o, ["k"], "full_outer"), both(spark, sf)).select("k", F.coalesce("segment", F.lit("-")).alias("segment"), F.coalesce("o", F.lit(-1)).alias("o"))
 
 
 @workload("anti_join_cust", f"SELECT k, segment FROM {CK} c WHERE NOT EXISTS (SELECT 1 FROM {OK} o WHERE o.k = c.k)")
