@@ -1,12 +1,8 @@
-"""Shared plumbing: code shipping, the shared scratch folder, and an Arrow row-annotator."""
+"""Shared plumbing: code shipping, staged tables, and an Arrow row-annotator."""
 
 from __future__ import annotations
 
-import atexit
-import io
-import os
 import tempfile
-import uuid
 import zipfile
 from collections.abc import Callable, Iterator
 from pathlib import Path
@@ -17,11 +13,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from standq.scratch import scratch
+
 #: Rows of one Arrow batch given to Python. Texts are long, so batches are kept small to bound a worker's memory.
 BATCH_ROWS = 1000
 
 _shipped: set[str] = set()
-_scratch: dict[str, str] = {}
 
 
 def ship(spark: SparkSession) -> None:
@@ -40,26 +37,6 @@ def ship(spark: SparkSession) -> None:
     _shipped.add(app)
 
 
-def scratch(spark: SparkSession) -> str:
-    """A fresh URI prefix in the folder that all executors share (``spark.checkpoint.dir``).
-
-    Where that is unset (tests), a folder is made and set; on a cluster without it, the warehouse is used.
-    """
-    app = spark.sparkContext.applicationId
-    if app not in _scratch:
-        base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-        if base is None:
-            if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
-                base = "file://" + tempfile.mkdtemp(prefix="standq-scratch-")
-                path = base.removeprefix("file://")
-                atexit.register(lambda: __import__("shutil").rmtree(path, ignore_errors=True))
-            else:
-                base = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_standq_scratch"
-            spark.sparkContext.setCheckpointDir(base)
-        _scratch[app] = base if "://" in base or base.startswith("file:") else "file://" + os.path.abspath(base)
-    return f"{_scratch[app].rstrip('/')}/standq-{uuid.uuid4().hex}"
-
-
 def staged(df: DataFrame, name: str) -> DataFrame:
     """Cut the lineage: write ``df`` to the shared folder and read it again."""
     spark = df.sparkSession
@@ -92,7 +69,8 @@ def annotate(
     """
     ship(df.sparkSession)
     names = [f.name for f in fields]
-    kept = [c for c in (df.columns if keep is None else keep) if c not in names]
+    new = {n.lower() for n in names}
+    kept = [c for c in (df.columns if keep is None else keep) if c.lower() not in new]
     source = df.select(*(F.col(f"`{c}`") for c in dict.fromkeys([*kept, *needs])))
     by_name = {f.name: f for f in source.schema.fields}
     schema = T.StructType([*(by_name[c] for c in kept), *fields])
@@ -114,10 +92,14 @@ def annotate(
     return source.mapInArrow(run, schema)
 
 
+def free(df: DataFrame, name: str) -> str:
+    """The name, with underscores before it until no column has it (in any case of letters)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
+
+
 def texts(batch: pa.RecordBatch, column: str) -> list[str]:
     """The text column as strings; null counts as empty."""
     return [t or "" for t in batch.column(batch.schema.get_field_index(column)).to_pylist()]
-
-
-def as_file(data: bytes) -> io.BytesIO:
-    return io.BytesIO(data)

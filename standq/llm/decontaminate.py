@@ -110,7 +110,7 @@ def cut(text: str, spans: list[tuple[int, int]]) -> str:
     return "".join([*out, text[at:]])
 
 
-def scan(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text", item_col: str = "item_id", bench_text: str = "text", with_text: bool = True) -> DataFrame:
+def scan(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text", item_col: str = "item_id", bench_text: str = "text", with_text: bool = True, keep: list[str] | None = None, prefix: str = "") -> DataFrame:
     """Every document with n_words, n_hit, hit_words (merged word intervals), items (ids as strings, sorted as such)
     and clean_text (the text less the hit words; null without ``with_text``).
 
@@ -123,8 +123,11 @@ def scan(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text",
     bench = bench.select(F.coalesce(F.col(f"`{item_col}`").cast("string"), F.lit("null")).alias("item"), F.col(f"`{bench_text}`").alias("text"))
     size = bench.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     blocks = max(1, -(-size // BLOCK_BYTES))
+    fields = [T.StructField(prefix + f.name, f.dataType) for f in FOUND]
     names = [f.name for f in FOUND]
-    out = docs
+    spans_in, items_in = prefix + "hit_words", prefix + "items"
+    out, kept = docs, list(docs.columns if keep is None else keep)
+    new = {f.name.lower() for f in fields}
     for b in range(blocks):
         block = bench if blocks == 1 else bench.filter(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == b)
         held = spark.sparkContext.broadcast([(r.item, r.text) for r in block.collect()])
@@ -135,7 +138,7 @@ def scan(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text",
 
             def work(batch: pa.RecordBatch) -> dict[str, list]:
                 made: dict[str, list] = {k: [] for k in names}
-                known = zip(*(batch.column(batch.schema.get_field_index(k)).to_pylist() for k in ("_spans", "_items")), strict=True) if later else repeat(([], []))
+                known = zip(*(batch.column(batch.schema.get_field_index(k)).to_pylist() for k in (spans_in, items_in)), strict=True) if later else repeat(([], []))
                 for text, (spans, items) in zip(texts(batch, text_col), known, strict=False):
                     words = words_of(text)
                     found, owners = windows.scan(words)
@@ -145,23 +148,27 @@ def scan(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text",
                     made["hit_words"].append([{"from_word": x, "to_word": y} for x, y in found])
                     made["items"].append(sorted(owners | set(items)))
                     made["clean_text"].append((cut(text, found) if found else text) if with_text else None)
-                return made
+                return {prefix + k: v for k, v in made.items()}
 
             return work
 
+        last = b == blocks - 1
         if later:
-            out = staged(out, "decontaminate").withColumnRenamed("hit_words", "_spans").withColumnRenamed("items", "_items")
-        out = annotate(out, start, FOUND, [text_col, *(["_spans", "_items"] if later else [])])
-        out = out.drop("_spans", "_items") if later else out
-    return out
+            out = staged(out, "decontaminate")
+        carried = kept if last else list(dict.fromkeys([*kept, text_col]))
+        out = annotate(out, start, fields, [text_col, *([spans_in, items_in] if later else [])], carried)
+    return out.select(*(F.col(f"`{c}`") for c in kept if c.lower() not in new), *(F.col(f.name) for f in fields))
 
 
 def decontaminate(docs: DataFrame, bench: DataFrame, mode: str = "documents", n: int = 10, text_col: str = "text") -> DataFrame:
     """Remove hit documents (``documents``) or only the hit spans (``spans``); columns stay as they were."""
-    found = scan(docs, bench, n, text_col, with_text=mode == "spans")
+    prefix, taken = "", {c.lower() for c in docs.columns}
+    while any((prefix + f.name).lower() in taken for f in FOUND):
+        prefix += "_"
+    found = scan(docs, bench, n, text_col, with_text=mode == "spans", prefix=prefix)
     if mode == "documents":
-        return found.filter(F.col("n_hit") == 0).select(*(F.col(f"`{c}`") for c in docs.columns))
-    return found.select(*(F.col("clean_text").alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns))
+        return found.filter(F.col(prefix + "n_hit") == 0).select(*(F.col(f"`{c}`") for c in docs.columns))
+    return found.select(*(F.col(prefix + "clean_text").alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns))
 
 
 def digest(items: list[str]) -> str:
@@ -169,8 +176,8 @@ def digest(items: list[str]) -> str:
 
 
 def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    found = scan(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), with_text=False)
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    found = scan(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), with_text=False, keep=["doc_id"])
     return found.select(
         "doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"),
         F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"),

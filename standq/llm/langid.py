@@ -88,7 +88,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
     share = F.create_map(*(F.lit(x) for lang, n in sizes.items() for x in (lang, min(1.0, each / n)))) if sizes else F.lit(None)
     if not sizes:
         return Centroids.fit(np.zeros((0, DIM)), [])
-    place = F.pmod(F.xxhash64("k", F.substring("t", 1, 64)), F.lit(1_000_003)) / 1_000_003.0
+    place = F.pmod(F.xxhash64("k", "t"), F.lit(1_000_003)) / 1_000_003.0
     chosen = known.filter(place < share[F.col("lang")]).filter(F.octet_length("t") <= 1 << 20)
 
     def start():
@@ -136,4 +136,4 @@ def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship(spark)
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang")
     out = identify(docs, train(docs), keep=["doc_id"])
-    return out.select("doc_id", (fold("doc_id", 4) == 2).alias("held_out"), F.col("nearest_lang").alias("lang_pred"), F.col("similarity").alias("score"), "rejected")
+    return out.select("doc_id", F.coalesce(fold("doc_id", 4) == 2, F.lit(False)).alias("held_out"), F.col("nearest_lang").alias("lang_pred"), F.col("similarity").alias("score"), "rejected")

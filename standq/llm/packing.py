@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import scratch, ship, staged
+from .common import ship, staged
 from .simhash import typed
 from .tokens import public_path, tokenizer
 
@@ -212,4 +212,4 @@ def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
 
-__all__ = ["best_fit", "improve", "op4", "pack", "pack_documents", "pieces", "scratch"]
+__all__ = ["best_fit", "improve", "op4", "pack", "pack_documents", "pieces"]

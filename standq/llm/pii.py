@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import annotate, ship, staged, texts
+from .common import annotate, free, ship, staged, texts
 
 KINDS = ("email", "ip", "card", "phone")
 
@@ -215,8 +215,8 @@ def detect(docs: DataFrame, text_col: str = "text", out: str = "pii", keep: list
     from the counts (a few hundred at most, for a code has few values) decides there. A candidate that fails its format
     (a card its checksum) never joins, whatever else votes for it. Null and empty texts have no spans.
     """
-    spark = docs.sparkSession
-    ship(spark)
+    ship(docs.sparkSession)
+    held_in = free(docs, "_found")
 
     def start():
         def work(batch: pa.RecordBatch) -> dict[str, list]:
@@ -225,28 +225,29 @@ def detect(docs: DataFrame, text_col: str = "text", out: str = "pii", keep: list
                 base = base_spans(t)
                 own = set(base)
                 made.append([{"start": s, "kind": k, "end": e, "code": c, "base": (s, k, e) in own} for s, k, e, c in sorted(candidates(t, base))])
-            return {"_found": made}
+            return {held_in: made}
 
         return work
 
-    found = staged(annotate(docs, start, [T.StructField("_found", T.ArrayType(SPAN))], [text_col], keep), "pii")
-    counts = found.select(F.explode("_found.code").alias("code")).groupBy("code").agg(F.count("*").alias("n")).collect()
+    found = staged(annotate(docs, start, [T.StructField(held_in, T.ArrayType(SPAN))], [text_col], keep), "pii")
+    counts = found.select(F.explode(F.col(held_in)["code"]).alias("code")).groupBy("code").agg(F.count("*").alias("n")).collect()
     model = SpanModel({r.code: r.n for r in counts})
     good = [c for c, p in sorted(model.chance.items()) if p > threshold and c[2] != "0"]  # a failed checksum is a veto
-    held = F.filter("_found", lambda s: s["base"] | s["code"].isin(good))
+    held = F.filter(held_in, lambda s: s["base"] | s["code"].isin(good))
     spans = F.transform(held, lambda s: F.struct(s["start"].alias("start"), s["kind"].alias("kind"), s["end"].alias("end"), s["base"].alias("base")))
-    return found.withColumn(out, spans).drop("_found")
+    return found.withColumn(out, spans).drop(held_in)
 
 
 def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """``docs`` with every span replaced by its kind in brackets; overlapping spans by that of the first. Null stays null."""
-    found = detect(docs, text_col, "_pii")
+    pii, new = free(docs, "_pii"), free(docs, "_text")
+    found = detect(docs, text_col, pii)
     names = [k.upper() for k in KINDS]
 
     def start():
         def work(batch: pa.RecordBatch) -> dict[str, list]:
             out = []
-            spans = batch.column(batch.schema.get_field_index("_pii")).to_pylist()
+            spans = batch.column(batch.schema.get_field_index(pii)).to_pylist()
             for t, own in zip(batch.column(batch.schema.get_field_index(text_col)).to_pylist(), spans, strict=True):
                 if not own:
                     out.append(t)
@@ -257,12 +258,12 @@ def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
                         parts += [t[at : s["start"]], f"[{names[s['kind']]}]"]
                     at = max(at, s["end"])
                 out.append("".join([*parts, t[at:]]))
-            return {"_text": out}
+            return {new: out}
 
         return work
 
-    done = annotate(found, start, [T.StructField("_text", T.StringType())], [text_col, "_pii"], docs.columns)
-    return done.select(*(F.col("_text").alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns))
+    done = annotate(found, start, [T.StructField(new, T.StringType())], [text_col, pii], docs.columns)
+    return done.select(*(F.col(new).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns))
 
 
 def listing(spans, base_only: bool):

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import annotate, ship, texts
+from .common import annotate, free, ship, texts
 
 PASSAGE_BYTES = 800
 #: Labelled documents that training reads at most, those of least hash; longer texts than this many bytes are not among them.
@@ -163,8 +163,9 @@ def score(docs: DataFrame, model: GatedAttention, text_col: str = "text", out: s
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """``docs`` without those scored under 0.5; columns as they were."""
     ship(docs.sparkSession)
-    scored = score(docs, train(docs, labels), out="_quality")
-    return scored.filter(F.col("_quality") >= 0.5).select(*(F.col(f"`{c}`") for c in docs.columns))
+    out = free(docs, "_quality")
+    scored = score(docs, train(docs, labels), out=out)
+    return scored.filter(F.col(out) >= 0.5).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op5(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -172,4 +173,4 @@ def op5(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     out = score(docs, model, keep=["doc_id"])
-    return out.select("doc_id", (fold() == 1).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    return out.select("doc_id", F.coalesce(fold() == 1, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))

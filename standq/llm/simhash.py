@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import annotate, ship, staged, texts
+from .common import annotate, free, ship, staged, texts
 from .components import components, unite
 
 BITS = 64
@@ -301,14 +301,16 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ta
     Rows get a number when they are staged with their fingerprints. The choice is made on narrow rows; whole ones move
     once, to meet the chosen numbers.
     """
-    numbered = with_fingerprints(docs, text_col, "_fp").withColumn("_rid", F.monotonically_increasing_id())
-    own = staged(numbered.withColumn("_h", F.xxhash64(f"`{text_col}`")), "prints")
-    who = F.struct(F.col(f"`{id_col}`").isNull().alias("none"), F.col(f"`{id_col}`").alias("doc"), "_fp", "_h", "_rid")
-    prints = staged(own.groupBy(F.col("_fp").alias("fp")).agg(F.min(who).alias("least")), "distinct")
+    fp, rid, h = (free(docs, n) for n in ("_fp", "_rid", "_h"))
+    numbered = with_fingerprints(docs, text_col, fp).withColumn(rid, F.monotonically_increasing_id())
+    own = staged(numbered.withColumn(h, F.xxhash64(f"`{text_col}`")), "prints")
+    key = F.col(f"`{id_col}`")
+    who = F.struct(key.isNull().alias("none"), key.alias("doc"), F.col(fp).alias("fp"), F.col(h).alias("h"), F.col(rid).alias("rid"))
+    prints = staged(own.groupBy(F.col(fp).alias("fp")).agg(F.min(who).alias("least")), "distinct")
     classes = fingerprint_classes(prints, tau)
     whole = prints.join(classes, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    chosen = whole.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least._rid").alias("_rid"))
-    return own.join(chosen, "_rid", "left_semi").select(*(F.col(f"`{c}`") for c in docs.columns))
+    chosen = whole.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.rid").alias(rid))
+    return own.join(chosen, rid, "left_semi").select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op7(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -29,7 +29,9 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import scratch, ship, staged
+from standq.scratch import scratch
+
+from .common import ship
 from .tokens import public_path, tokenizer
 
 MAGIC = b"SQSST001"
@@ -317,4 +319,4 @@ def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_shards(manifest, schema, lambda k, s, v: (id_of(k), s, len(v) // 4, zlib.crc32(v)))
 
 
-__all__ = ["ShardReader", "ShardWriter", "lookup", "op1", "read_shards", "read_token_table", "staged", "write_shards"]
+__all__ = ["ShardReader", "ShardWriter", "lookup", "op1", "read_shards", "read_token_table", "write_shards"]
