@@ -9,13 +9,12 @@ compares two versions. ``strategy()`` says which of these a node uses.
 from __future__ import annotations
 
 from dataclasses import dataclass, field
-from datetime import timedelta
 from typing import Any
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from standq.functions.compaction import compact_net, compact_update, consolidate, encode, from_signed, history, signed
+from standq.functions.compaction import compact_net, compact_update, consolidate, encode, from_signed, signed, value_columns
 from standq.operators.windows import window_table
 from standq.sources.store import Database, Table
 
@@ -405,11 +404,10 @@ class Changes(Relation):
         self.inputs, self.db, self.start, self.format = (child,), child.db, start, format
 
     def at(self, version):
-        return change_rows(self.inputs[0], self.start, version, self.format, per_commit=True).withColumn("_row_id", key_id(["row_id", "commit_no", "seq", "action"], "c"))
+        return change_rows(self.inputs[0], self.start, version, self.format)
 
     def delta(self, v0, v1):
-        rows = change_rows(self.inputs[0], max(v0, self.start), v1, self.format, per_commit=True)
-        return rows.withColumn("_row_id", key_id(["row_id", "commit_no", "seq", "action"], "c")).withColumn("_sign", F.lit(1))
+        return change_rows(self.inputs[0], max(v0, self.start), v1, self.format).withColumn("_sign", F.lit(1))
 
     def strategy(self):
         return "log slice"
@@ -454,10 +452,16 @@ def per_commit_changes(rel: Relation, start: int, end: int) -> DataFrame:
     return net_changes(rel, start, start) if out is None else out
 
 
-def change_rows(rel: Relation, start: int, end: int, format: str, per_commit: bool) -> DataFrame:  # noqa: A002
-    """Changes with visible columns action, row_id, commit_no, seq instead of the hidden ones."""
+def change_rows(rel: Relation, start: int, end: int, format: str) -> DataFrame:  # noqa: A002
+    """Changes with visible columns action, row_id, commit_no, seq instead of the hidden ones (numbered where a log of a
+    log has them already), and a row id of their own."""
     made = rel.table.log_slice(start, end) if isinstance(rel, Scan) and format == "LOG" else per_commit_changes(rel, start, end)
-    return made.select(*(c for c in made.columns if not c.startswith("_")), F.col("_action").alias("action"), F.col("_row_id").alias("row_id"), F.col("_commit_no").alias("commit_no"), F.col("_seq").alias("seq"))
+    values = value_columns(made)
+    depth = 1 + sum(c == "action" or c.startswith("action_") for c in values)
+    name = lambda c: c if depth == 1 else f"{c}_{depth}"
+    shown = {c: name(c) for c in ("action", "row_id", "commit_no", "seq")}
+    out = made.select(*(F.col(f"`{c}`") for c in values), *(F.col(f"_{c}").alias(n) for c, n in shown.items()))
+    return out.withColumn("_row_id", key_id([shown[c] for c in ("row_id", "commit_no", "seq", "action")], "c"))
 
 
 @dataclass
@@ -473,4 +477,4 @@ def simplify(rel: Relation) -> Simplified:
     return Simplified(rel)
 
 
-__all__ = ["Aggregate", "Changes", "Filter", "Join", "Project", "Relation", "Scan", "SetOperation", "Sql", "TopK", "UnionAll", "WindowTable", "changes", "history", "net_changes", "simplify", "timedelta"]
+__all__ = ["Aggregate", "Changes", "Filter", "Join", "Project", "Relation", "Scan", "SetOperation", "Sql", "TopK", "UnionAll", "WindowTable", "changes", "net_changes", "simplify"]
