@@ -75,7 +75,8 @@ def annotate(
     by_name = {f.name: f for f in source.schema.fields}
     schema = T.StructType([*(by_name[c] for c in kept), *fields])
     arrow = to_arrow_schema(schema)
-    positions = [source.columns.index(c) for c in kept]
+    asked = source.columns
+    positions = [asked.index(c) for c in kept]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = None
@@ -83,13 +84,14 @@ def annotate(
             if not batch.num_rows:
                 continue
             work = work or fn()
+            batch = pa.RecordBatch.from_arrays(batch.columns, names=asked)
             made = work(batch)
             columns = [batch.column(i) for i in positions]
             columns += [pa.array(made[n], type=arrow.field(n).type) for n in names]
             fixed = pa.schema([*(batch.schema.field(i) for i in positions), *(arrow.field(n) for n in names)])
             yield pa.RecordBatch.from_arrays(columns, schema=fixed)
 
-    return source.mapInArrow(run, schema)
+    return source.toDF(*(f"c{i}" for i in range(len(asked)))).mapInArrow(run, schema)  # names may hold dots
 
 
 def free(df: DataFrame, name: str) -> str:

@@ -113,8 +113,8 @@ class Scanner:
         """(template, coverage, from word, to word) for every template covered to ``least`` at some place.
 
         Only texts that hold enough of a template's words can cover it, so all others are passed over. A template may
-        stand in a text more than once, and its words elsewhere too; so windows around each place of its rarest word
-        are aligned, and the best counts.
+        stand in a text more than once, and its words elsewhere too; so stretches around each place of its rarest
+        words are aligned, and the best counts.
         """
         there, out = set(words), []
         for name, own, counts in self.own:
@@ -133,16 +133,22 @@ class Scanner:
                 if missable < 0:
                     break
             best, reach, done = (0.0, 0, 0), 2 * len(own) + 12, -1
+            slack = 2 + int(len(own) * (1 - self.least))
             for at in sorted(seeds):
                 if at < done:
                     continue
-                lo, hi = max(0, at - reach), min(len(words), at + reach)
                 done = at + len(own) // 2
-                got = align(words[lo:hi], own)
-                cover = len(got) / len(own)
-                if got and cover > best[0]:
-                    best = (cover, lo + got[0][0], lo + got[-1][0] + 1)
-                if cover == 1.0:
+                # the template's own stretch first, in which its words are unique even if it is repeated; then wider
+                stretches = [(at - j - slack, at - j + len(own) + slack) for j, w in enumerate(own) if w == words[at]]
+                for lo, hi in [*stretches, (at - reach, at + reach)]:
+                    lo, hi = max(0, lo), min(len(words), hi)
+                    got = align(words[lo:hi], own)
+                    cover = len(got) / len(own)
+                    if got and cover > best[0]:
+                        best = (cover, lo + got[0][0], lo + got[-1][0] + 1)
+                    if cover == 1.0:
+                        break
+                if best[0] == 1.0:
                     break
             if best[0] >= self.least:
                 out.append((name, *best))
