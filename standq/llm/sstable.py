@@ -36,6 +36,8 @@ from .tokens import public_path, tokenizer
 
 MAGIC = b"SQSST001"
 RESTART = 16
+#: Shards that one task reads, one after another.
+SHARDS_A_TASK = 4
 FOOTER = struct.Struct("<QQQQQQI")
 
 
@@ -257,7 +259,7 @@ def write_shards(
             yield close()
 
     made = dealt.sortWithinPartitions("k", "h", "t").mapInArrow(build, MANIFEST)
-    made.write.mode("overwrite").parquet(f"{out}/manifest")
+    made.repartition("path").write.mode("overwrite").parquet(f"{out}/manifest")  # few files, not one a task
     return spark.read.schema(MANIFEST).parquet(f"{out}/manifest")
 
 
@@ -268,7 +270,7 @@ def read_shards(manifest: DataFrame, schema: str, row) -> DataFrame:
     ship(spark)
     order = Window.orderBy("first_key", "task", "seq").rowsBetween(Window.unboundedPreceding, -1)
     placed = manifest.withColumn("base", F.coalesce(F.sum("n_tokens").over(order), F.lit(0)))  # one row a shard
-    spread = placed.select("path", "base").repartition(max(1, min(manifest.count(), 20_000)))
+    spread = placed.select("path", "base").repartition(max(1, -(-manifest.count() // SHARDS_A_TASK)))
     columns = [c.split()[0] for c in schema.split(", ")]
 
     def load(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
