@@ -73,3 +73,19 @@ def range_start(i: Column, advance: Any, start: Any) -> Column:
 
 def range_end(i: Column, advance: Any, size: Any, start: Any) -> Column:
     return range_start(i, advance, start) + F.lit(size)
+
+
+def register_range_function(spark: Any, name: str = "range_numbers") -> None:
+    """``SELECT * FROM range_numbers(place, size, advance, start)``: the same numbers as a table function for SQL text."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="i bigint")
+    class Numbers:
+        def eval(self, place: float, size: float, advance: float, start: float):
+            if place is None:
+                return
+            low = max(0, int((place - start - size) // advance) + 1)
+            for i in range(low, int((place - start) // advance) + 1):
+                yield (i,)
+
+    spark.udtf.register(name, Numbers)

@@ -73,3 +73,45 @@ def compaction_ratio(table: Table, after: int = 0, upto: int | None = None) -> d
 
     log = table.log_slice(after, upto)
     return {"log": log.count(), "delta": compact_net(log).count()}
+
+
+def check_subset(rel: Relation, v0: int, v1: int) -> bool:
+    """The definition of insert-only between two versions: every row then is a row now."""
+    return rel.to_df(v0).exceptAll(rel.to_df(v1)).isEmpty()
+
+
+def commit_delay(db: Database, statement: Any) -> dict[str, float]:
+    """Seconds that a commit takes, and how many of them go to the tasks that run within it."""
+    import time
+
+    spent = [0.0]
+    told = list(db.listeners)
+
+    def timed(f):
+        def run(manifest):
+            at = time.perf_counter()
+            f(manifest)
+            spent[0] += time.perf_counter() - at
+
+        return run
+
+    db.listeners[:] = [timed(f) for f in told]
+    at = time.perf_counter()
+    try:
+        statement()
+    finally:
+        db.listeners[:] = told
+    return {"commit_s": time.perf_counter() - at, "tasks_s": spent[0]}
+
+
+def applied_twice_or_never(source: DataFrame, target: DataFrame, key: list[str]) -> dict[str, int]:
+    """Rows of an insert-only flow that arrived more than once, and that never did; both must be 0."""
+    twice = target.groupBy(*key).count().filter("count > 1").count()
+    return {"twice": twice, "never": source.join(target, key, "left_anti").count()}
+
+
+def expired_overhead(table: Table, now: Any) -> DataFrame:
+    """Rows that the expiry test looks at, and that it leaves out."""
+    from standq.operators.expire import live
+
+    return live(table, now).agg(F.count("*").alias("live")).withColumn("stored", F.lit(table.snapshot().count()))

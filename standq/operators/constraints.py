@@ -16,7 +16,8 @@ from standq.errors import ConstraintViolation
 class Increasing:
     """New values are not below the maximum less ``grace``; with ``strict`` they are above it.
 
-    ``timing`` is immediate (at each statement) or deferred (at commit). ``rely`` takes the property as given.
+    ``timing`` is immediate (at each statement) or deferred (at commit). ``rely`` takes the property as given. With ``by``
+    the maximum is that of the row's own key, looked up in the table by a join on the keys of the statement.
     """
 
     column: str
@@ -25,9 +26,10 @@ class Increasing:
     timing: str = "immediate"
     rely: bool = False
     nulls_ok: bool = False
+    by: tuple[str, ...] = ()
 
     def state(self) -> dict[str, Any]:
-        return {"strict": self.strict, "grace": self.pack(self.grace), "timing": self.timing, "enabled": not self.rely, "max": None, "nulls_ok": self.nulls_ok}
+        return {"strict": self.strict, "grace": self.pack(self.grace), "timing": self.timing, "enabled": not self.rely, "max": None, "nulls_ok": self.nulls_ok, "by": list(self.by)}
 
     @staticmethod
     def pack(v: Any) -> Any:
@@ -70,6 +72,22 @@ class Increasing:
         return f"{self.column} {'<=' if self.strict else '<'} {top}"
 
 
+def check_increasing_by(state: dict[str, Any], new: DataFrame, held: DataFrame, column: str) -> None:
+    """The property for every key by itself; only keys of the statement are looked up."""
+    by, grace = state["by"], Increasing.grace_of(state)
+    tops = held.join(new.select(*by).distinct(), by, "left_semi").groupBy(*by).agg(F.max(column).alias("_top"))
+    bad = new.join(tops, by).filter(_below(F.col(column), F.col("_top"), grace, state["strict"])).limit(1).collect()
+    if bad:
+        raise ConstraintViolation(f"{column}: {bad[0][column]} is behind {bad[0]['_top']} of its key")
+
+
+def as_watermark(rows: DataFrame, column: str, state: dict[str, Any]) -> DataFrame:
+    """The constraint's grace as a stream's watermark (an instant is needed, so zone-less times are cast)."""
+    grace = Increasing.grace_of(state)
+    seconds = 0 if grace is None else grace.total_seconds()
+    return rows.withColumn(column, F.col(column).cast("timestamp")).withWatermark(column, f"{round(seconds * 1e6)} microseconds")
+
+
 def check_increasing(state: dict[str, Any], least: Any, column: str) -> None:
     bound = Increasing.frontier(state)
     if bound is None or least is None or not state["enabled"]:
@@ -98,11 +116,12 @@ class Late:
         return rows.filter(~late)
 
 
-def mark_late(rows: DataFrame, column: str, order: list[str], grace: Any = None, strict: bool = False, by: list[str] | None = None, buckets: int = 256) -> DataFrame:
+def mark_late(rows: DataFrame, column: str, order: list[str], grace: Any = None, strict: bool = False, by: list[str] | None = None, of_a_range: int = 500_000) -> DataFrame:
     """One row a statement, in ``order``: adds ``_late`` against the running maximum of what came before (of ``by``).
 
     Without ``by`` the running maximum is taken in two levels, so that no task sees all rows: maxima of ranges of the
-    order column, then a running maximum in each range that starts from the maxima of the ranges before.
+    first order column (about ``of_a_range`` rows each), then a running maximum in each range that starts from the maxima
+    of the ranges before.
     """
     from pyspark.sql import Window
 
@@ -110,14 +129,14 @@ def mark_late(rows: DataFrame, column: str, order: list[str], grace: Any = None,
     keys = [F.col(o) for o in order]
     if by:
         w = Window.partitionBy(*by).orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
-        before = F.max(c).over(w)
-        return rows.withColumn("_top", before).withColumn("_late", _below(c, F.col("_top"), grace, strict)).drop("_top")
-    bounds = rows.select(F.col(order[0]).cast("double").alias("x") if dict(rows.dtypes)[order[0]] not in ("timestamp_ntz", "timestamp", "date") else F.unix_micros(F.col(order[0]).cast("timestamp")).cast("double").alias("x"))
-    low, high = bounds.agg(F.min("x"), F.max("x")).first()
-    place = F.col(order[0]).cast("double") if dict(rows.dtypes)[order[0]] not in ("timestamp_ntz", "timestamp", "date") else F.unix_micros(F.col(order[0]).cast("timestamp")).cast("double")
-    width = max((high - low) / buckets, 1e-9) if low is not None else 1.0
+        return rows.withColumn("_top", F.max(c).over(w)).withColumn("_late", _below(c, F.col("_top"), grace, strict)).drop("_top")
+    first = F.col(order[0])
+    place = F.unix_micros(first.cast("timestamp")).cast("double") if dict(rows.dtypes)[order[0]] in ("timestamp_ntz", "timestamp", "date") else first.cast("double")
+    low, high, n = rows.agg(F.min(place), F.max(place), F.count("*")).first()
+    ranges = min(1_000_000, max(16, n // of_a_range))
+    width = max((high - low) / ranges, 1e-9) if low is not None else 1.0
     dealt = rows.withColumn("_range", F.floor((place - F.lit(low if low is not None else 0.0)) / width).cast("int"))
-    tops = dealt.groupBy("_range").agg(F.max(c).alias("_most"))  # one row a range, at most ``buckets`` + 1
+    tops = dealt.groupBy("_range").agg(F.max(c).alias("_most"))  # one row a range, a million at most
     starts = tops.select("_range", F.max("_most").over(Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)).alias("_start"))
     own = Window.partitionBy("_range").orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
     out = dealt.join(F.broadcast(starts), "_range").withColumn("_top", F.greatest(F.max(c).over(own), F.col("_start")))

@@ -101,9 +101,14 @@ def purge(table: Table, now: datetime, before: str | None = None, archive: str |
         gone = gone & F.expr(before)
     plain = [f.name for f in table.schema.fields if f.dataType.typeName() not in ("array", "map", "struct", "binary")]
     spark, done = table.db.spark, {"dropped": 0, "rewritten": 0, "rows": 0}
+    fate: dict[str, str | None] = {}  # files that several commits share are looked at once
     for manifest in table.db.manifests:
         entry = manifest["tables"].get(table.name)
         for i, path in enumerate(entry["files"] if entry else []):
+            if path in fate:
+                entry["files"][i] = fate[path]
+                continue
+            fate[path] = path
             rows = spark.read.schema(log_schema(table.schema)).parquet(path)
             seen = rows.agg(
                 F.count("*").alias("n"), F.sum(gone.cast("long")).alias("g"),
@@ -115,11 +120,11 @@ def purge(table: Table, now: datetime, before: str | None = None, archive: str |
                 rows.filter(gone).write.mode("append").parquet(archive)
             new = f"{table.db.root}/data/{table.name}/purged-{uuid.uuid4().hex}"
             if seen.g == seen.n:
-                entry["files"][i] = None
+                entry["files"][i] = fate[path] = None
                 done["dropped"] += 1
             else:
                 rows.filter(~gone).write.parquet(new)
-                entry["files"][i] = new
+                entry["files"][i] = fate[path] = new
                 done["rewritten"] += 1
             done["rows"] += seen.g
             table.meta.purged.append({"rows": seen.g, "box": {c: [seen[f"lo_{c}"], seen[f"hi_{c}"]] for c in plain}})
@@ -127,6 +132,7 @@ def purge(table: Table, now: datetime, before: str | None = None, archive: str |
             entry["files"] = [f for f in entry["files"] if f]
         if entry:
             table.db.log.replace(f"_manifest/{manifest['commit']:020d}.json", manifest)
+    table.db.gather_manifests()
     table.db.save()
     return done
 

@@ -14,7 +14,7 @@ from standq.errors import ConstraintViolation, NotInsertOnly, UnboundedState
 from standq.functions.ranges import Axis
 from standq.operators.constraints import Increasing
 from standq.operators.windows import hop_aggregate, window_table
-from standq.plans.relation import Aggregate, Filter, Relation, Scan, key_id
+from standq.plans.relation import Aggregate, Filter, Relation, Scan, WindowTable, key_id
 from standq.sources.store import Table
 
 
@@ -180,10 +180,28 @@ def final(rel: Relation, on_expired: str = "error", now: Any = None) -> DataFram
             return rel.to_df().filter(F.expr(rel.table.meta.finalize))
         return final_live(rel.table, "true", now) if rel.table.meta.expire else rel.to_df()
     if isinstance(rel, Aggregate):
-        raise UnboundedState("groups of unknown bounds are never final; use a range or a bucket")
+        return final_of_aggregate(rel).to_df().select(*rel.keys, *rel.aggregates)
     raise UnboundedState(f"no finality is known for {type(rel).__name__}")
 
 
+CALL = re.compile(r"\s*(sum|count|min|max|avg)\s*\((.*)\)\s*", re.I | re.S)
+
+
+def final_of_aggregate(rel: Aggregate) -> FinalWindow:
+    """FINAL of a grouping by the bounds of a window table: both bounds must be among the keys, for no grouping is hidden."""
+    child = rel.inputs[0]
+    if not isinstance(child, WindowTable) or not isinstance(child.inputs[0], Scan):
+        raise UnboundedState("groups of unknown bounds are never final; use a window or a bucket")
+    if not {"win_start", "win_end"} <= set(rel.keys):
+        raise UnboundedState("the bounds of the window must be grouping keys")
+    calls = {n: CALL.fullmatch(e) for n, e in rel.aggregates.items()}
+    if bad := [n for n, m in calls.items() if not m]:
+        raise UnboundedState(f"not a plain aggregate: {bad}")
+    aggregates = {n: (m[1].lower(), "1" if m[2].strip() == "*" else m[2]) for n, m in calls.items()}
+    keys = [k for k in rel.keys if k not in ("win_start", "win_end")]
+    return FinalWindow(child.inputs[0], child.column, keys, aggregates, child.size, child.advance, child.start_with, child.grace)
+
+
 # The same meaning from plain SQL operators: baselines
 
 

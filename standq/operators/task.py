@@ -12,8 +12,8 @@ from pyspark.sql import functions as F
 
 from standq.errors import IllegalTransition, NotInsertOnly, RejectLimit, StandingQueryError
 from standq.functions.compaction import compact_delete_insert, compact_update, value_columns
-from standq.plans.relation import Relation, Scan, net_changes, per_commit_changes
-from standq.sources.store import Database, log_schema, row_ids
+from standq.plans.relation import Relation, Scan, net_changes
+from standq.sources.store import Database, row_ids
 
 # Schedules
 
@@ -395,5 +395,3 @@ class View:
     def insert(self, tx, rows: DataFrame) -> int:
         return tx.insert(self.table, self.to_base(rows))
 
-
-__all__ = ["Cron", "Either", "ErrorPolicy", "Every", "OnCommit", "OnDemand", "Scheduler", "Task", "View", "create_target", "keep_in_sync", "log_schema", "per_commit_changes"]

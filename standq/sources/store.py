@@ -26,10 +26,11 @@ from pyspark.sql import types as T
 
 from standq.clock import SystemClock
 from standq.errors import ConcurrentCommit, ConstraintViolation, Dependent, StandingQueryError
-from standq.operators.constraints import Increasing, Late, check_increasing
+from standq.operators.constraints import Increasing, Late, check_increasing, check_increasing_by
 from standq.sources.logstore import LogStore
 
-LOG_COLUMNS = ("_action", "_row_id", "_before", "_time", "_commit_no", "_seq")
+#: Commits between two files that hold all manifests so far.
+GATHER = 100
 
 
 @dataclass
@@ -70,12 +71,18 @@ class Database:
         self.refresh()
 
     def refresh(self) -> int:
-        """Read manifests that came since; returns the last commit number."""
+        """Read manifests that came since; returns the last commit number. A fresh handle starts from the last file that
+        holds many of them together."""
+        if not self.manifests:
+            self.manifests = self.log.get("_manifests.json") or []
         for name in self.log.names("_manifest"):
             if int(name.split(".")[0]) > len(self.manifests):
                 self.manifests.append(self.log.get(f"_manifest/{name}"))
         return len(self.manifests)
 
+    def gather_manifests(self) -> None:
+        self.log.replace("_manifests.json", self.manifests)
+
     @property
     def version(self) -> int:
         return len(self.manifests)
@@ -141,10 +148,15 @@ class Database:
         yield tx
         tx.commit()
 
-    def publish(self, manifest: dict[str, Any]) -> int:
+    def publish(self, manifest: dict[str, Any], then: Callable[[], None] | None = None) -> int:
+        """Make a commit visible, note what follows from it, and only then wake what waits for commits."""
         number = manifest["commit"]
         self.log.put(f"_manifest/{number:020d}.json", manifest)
         self.manifests.append(manifest)
+        if number % GATHER == 0:
+            self.gather_manifests()
+        if then:
+            then()
         for told in list(self.listeners):
             told(manifest)
         return number
@@ -167,6 +179,8 @@ class Database:
         )
         made.repartition("part", F.pmod(F.xxhash64("_row_id"), F.lit(32))).write.partitionBy("part").parquet(place)
         written = self.spark.read.parquet(place)
+        if any(s.get("by") for s in meta.increasing.values()):
+            raise StandingQueryError("histories with maxima by key are loaded by transactions")
         tracked = [*meta.increasing]
         stats = written.groupBy("part").agg(F.count("*").alias("n"), *(f(F.col(f"`{c}`")).alias(f"{k}_{c}") for c in tracked for k, f in (("min", F.min), ("max", F.max)))).orderBy("part").collect()
         out = []
@@ -210,7 +224,7 @@ class Table:
         return self.schema.fieldNames()
 
     def files(self, after: int, upto: int) -> list[str]:
-        return [f for m in self.db.manifests[after:upto] for f in m["tables"].get(self.name, {}).get("files", [])]
+        return list(dict.fromkeys(f for m in self.db.manifests[after:upto] for f in m["tables"].get(self.name, {}).get("files", [])))
 
     def log_slice(self, after: int = 0, upto: int | None = None) -> DataFrame:
         """Change records of commits in (after, upto]; only their files are listed and read."""
@@ -218,7 +232,25 @@ class Table:
         files, kind = self.files(after, upto), log_schema(self.schema)
         if not files:
             return self.db.spark.createDataFrame([], kind)
-        return self.db.spark.read.schema(kind).parquet(*files)
+        rows = self.db.spark.read.schema(kind).parquet(*files)
+        if any(m["tables"].get(self.name, {}).get("merged") for m in self.db.manifests[after:upto]):
+            rows = rows.filter((F.col("_commit_no") > after) & (F.col("_commit_no") <= upto))
+        return rows
+
+    def merge_files(self, after: int, upto: int) -> int:
+        """Many small commits in few files: the records of (after, upto] are written together in order of commit, and all
+        those commits point to them. Slices still give the same rows, by the commit number in the records."""
+        rows = self.log_slice(after, upto)
+        path = f"{self.db.root}/data/{self.name}/merged-{after}-{upto}-{uuid.uuid4().hex}"
+        rows.repartitionByRange("_commit_no").sortWithinPartitions("_commit_no").write.parquet(path)
+        n = 0
+        for m in self.db.manifests[after:upto]:
+            if self.name in m["tables"] and m["tables"][self.name]["files"]:
+                m["tables"][self.name] |= {"files": [path], "merged": True}
+                self.db.log.replace(f"_manifest/{m['commit']:020d}.json", m)
+                n += 1
+        self.db.gather_manifests()
+        return n
 
     def only_inserts(self, upto: int) -> bool:
         return not any(m["tables"].get(self.name, {}).get("updates") or m["tables"].get(self.name, {}).get("deletes") for m in self.db.manifests[:upto])
@@ -260,8 +292,11 @@ class Table:
         self.meta.insert_only = on
         self.db.save()
 
-    def add_increasing(self, c: Increasing, enabled: bool = True) -> None:
-        """ENABLE seeds the maximum from the data; RELY or DISABLE take it as told."""
+    def add_increasing(self, c: Increasing, enabled: bool = True, validate: bool = False) -> None:
+        """ENABLE seeds the maximum from the data; RELY or DISABLE take it as told. VALIDATE is refused: the order in
+        which the rows there are came is not kept in their values."""
+        if validate:
+            raise StandingQueryError("rows that are there cannot be validated")
         state = c.state()
         if enabled and not c.rely:
             top = self.snapshot().agg(F.max(F.col(f"`{c.column}`"))).first()[0]
@@ -362,6 +397,9 @@ class Transaction:
             state = meta.increasing[c]
             if seen[f"null_{c}"] and not state.get("nulls_ok"):
                 raise ConstraintViolation(f"{name}: null in increasing column {c}")
+            if state.get("by"):
+                self._check_by(name, c, state, written)
+                continue
             # a row of this transaction may change again: the maximum is that at its start
             start = self.started[name][c]
             test = lambda least=seen[f"min_{c}"], start=start, c=c: check_increasing(start, least, c)
@@ -377,6 +415,15 @@ class Transaction:
         entry[{"INSERT": "inserts", "UPDATE": "updates", "DELETE": "deletes"}[kind]] += seen["n"]
         return seen["n"]
 
+    def _check_by(self, name: str, c: str, state: dict[str, Any], written: DataFrame) -> None:
+        held = self.db.table(name).snapshot(self.number - 1)
+        new = written.filter("_action <> 'DELETE'")
+        test = lambda: check_increasing_by(state, new, held, c)
+        if state.get("timing") == "deferred":
+            self.deferred.append(test)
+        else:
+            test()
+
     def insert(self, name: str, rows: DataFrame, late: Late | None = None) -> int:
         """Returns the number of rows kept; ``late`` says what becomes of rows too far behind."""
         table = self.db.table(name)
@@ -425,8 +472,11 @@ class Transaction:
             return None
         if self.db.refresh() + 1 != self.number:
             raise ConcurrentCommit(f"commit {self.number} is taken")
-        self.db.publish({"commit": self.number, "time": self.db.clock.now(), "tables": self.entries, "bookmarks": self.bookmarks})
-        for (name, c), top in self.top.items():
-            Increasing.advance(self.db.metas[name].increasing[c], top)
-        self.db.save()
+
+        def settle() -> None:
+            for (name, c), top in self.top.items():
+                Increasing.advance(self.db.metas[name].increasing[c], top)
+            self.db.save()
+
+        self.db.publish({"commit": self.number, "time": self.db.clock.now(), "tables": self.entries, "bookmarks": self.bookmarks}, settle)
         return self.number

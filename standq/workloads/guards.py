@@ -14,9 +14,11 @@ from standq.operators.expire import compare_policies, final_live, live, purge, r
 from standq.operators.final import FinalWindow, Watermark, final
 from standq.plans.prover import prove_insert_only
 from standq.scratch import scratch
+from standq.operators.windows import window_table
 from standq.streaming.final_stream import CommitFeed, final_stream, verbose_stream, windowed_stream
+from standq.streaming.operators import ROCKS, verbose_corrections
 from standq.workloads.fixtures import EV_COMMIT, built, ev, ev_late, fresh, read
-from standq.workloads.flows import CLOSED, EV, MONEY, SIZE, START, STEP, SUMS, shown, stamp, stamped
+from standq.workloads.flows import CLOSED, EV, HOP_CHANGES, MONEY, SIZE, START, STEP, SUMS, shown, stamp, stamped
 from standq.workloads.registry import workload
 
 LATE = "(SELECT *, epoch_us(ts) + ((event_id * 7919) % 1800 + CASE WHEN event_id % 97 = 0 THEN 172800 ELSE 0 END) * 1000000 AS arrival FROM events)"
@@ -295,6 +297,23 @@ def hop_streaming_update(spark, sf):
     return made.select("event_type", stamp("win_start"), place[F.col("batch")].cast("long").alias("batch"))
 
 
+@workload("hop_streaming_verbose", HOP_CHANGES.replace("SELECT event_type, strftime", "SELECT event_type, strftime").replace("c AS commit_no, 1 AS sign", "1 AS sign").replace("c, -1, b FROM", "-1, b FROM"))
+def hop_streaming_verbose(spark, sf):
+    """A stateful operator gives every correction with the image before it, as CHANGES does."""
+    db, seen = ev(spark, sf), scratch(spark)
+    feed, key = CommitFeed(spark, scratch(spark), db.table("ev").schema), "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key)
+    spark.conf.set(key, ROCKS)
+    try:
+        for rows in slices(db):
+            feed.push(rows)
+            made = window_table(feed.stream(), "ts", SIZE, STEP, START).withColumn("v", F.expr(MONEY))
+            feed.run(verbose_corrections(made, ["event_type", "win_start"], "v"), "update", lambda batch, n: batch.write.mode("append").parquet(seen))
+    finally:
+        spark.conf.set(key, before)
+    return spark.read.parquet(seen).select(F.col("k0").alias("event_type"), stamp("k1", "win_start"), "sign", "total")
+
+
 # Measures
 
 

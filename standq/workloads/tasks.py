@@ -388,6 +388,17 @@ def schedule_every_2(spark, sf):
     return spark.createDataFrame(out, "commit_no long, stale_commits int")
 
 
+@workload("task_chain", "SELECT event_type, count(*) AS n FROM events WHERE value > 10 GROUP BY event_type")
+def task_chain(spark, sf):
+    """A target that is itself followed: stream, filtered copy, counts."""
+    db = ev_table(spark, sf)
+    db.create_table("large", db.table("ev").schema, insert_only=True)
+    Task.insert(db, "copy", db.rel("ev").where("value > 10"), "large")
+    maintain(db, "count", db.rel("large").select(event_type="event_type", one="1"), "target", ["event_type"], {"ones": "one"})
+    play(db, ev_steps(spark, sf))
+    return db.table("target").snapshot().select("event_type", F.col("rows").alias("n"))
+
+
 @workload("label_scd", "SELECT doc_id, lang, CASE WHEN doc_id % 6 = 0 THEN 1 - quality ELSE quality END AS quality FROM documents JOIN labels USING (doc_id)")
 def label_scd(spark, sf):
     db, docs, labels = fresh(spark), read(spark, sf, "documents").select("doc_id", "lang"), read(spark, sf, "labels")

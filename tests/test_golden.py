@@ -352,3 +352,39 @@ def test_views_and_sync(db, spark):
     with pytest.raises(StandingQueryError), db.transaction() as tx:
         view.insert(tx, spark.createDataFrame([(3, 0)], "number int, value int"))
     assert db.table("auto").snapshot().count() == 3
+
+
+def test_merged_files(db, spark):
+    from standq.sources.store import Database
+
+    add = stream(db, spark)
+    for i in range(4):
+        add(i)
+    assert db.table("ev").merge_files(0, 3) == 3
+    assert len(db.table("ev").files(0, 4)) == 2
+    for handle in (db, Database(spark, db.root)):
+        assert [sorted(r.id for r in handle.table("ev").log_slice(v, v + 1).collect()) for v in range(4)] == [[0], [1], [2], [3]]
+        assert handle.table("ev").snapshot(2).count() == 2 and handle.table("ev").snapshot().count() == 4
+
+
+def test_chain_and_failing_task(db, spark):
+    """A task that fails within a commit does not undo it, and the constraint still moves."""
+    from standq.errors import RejectLimit
+
+    db.create_table("n", "v int", insert_only=True, increasing=[Increasing("v")])
+    db.create_table("copy", "v int", insert_only=True, checks=["v < 5"])
+    Task.insert(db, "c", db.rel("n"), "copy")
+    with pytest.raises(RejectLimit), db.transaction() as tx:
+        tx.insert("n", spark.createDataFrame([(9,)], "v int"))
+    assert db.table("n").snapshot().count() == 1 and Increasing.max_of(db.metas["n"].increasing["v"]) == 9
+
+
+def test_increasing_by_key(db, spark):
+    db.create_table("turns", "conv string, turn int", insert_only=True, increasing=[Increasing("turn", strict=True, by=("conv",))])
+    rows = lambda *v: spark.createDataFrame(v, "conv string, turn int")
+    for v in ((("a", 5), ("b", 1)), (("b", 2), ("c", 0))):
+        with db.transaction() as tx:
+            tx.insert("turns", rows(*v))
+    with pytest.raises(ConstraintViolation), db.transaction() as tx:
+        tx.insert("turns", rows(("b", 9), ("a", 5)))
+    assert db.table("turns").snapshot().count() == 4

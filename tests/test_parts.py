@@ -81,8 +81,12 @@ def test_expiration(db, spark):
     assert purge(t, NOW, "level = 'DEBUG'")["rows"] == 1
     assert {r.state: r.n for r in row_state(t, NOW).collect()} == {"not expired": 2, "expired": 1, "purged": 1}
     assert changes(db.rel("logs")).filter("_action = 'DELETE'").count() == 0
+    from standq.scratch import scratch
+
+    cold = scratch(spark)
+    assert purge(t, NOW, archive=cold)["rows"] == 1 and spark.read.parquet(cold).count() == 1
     set_policy(t, None, "drop")
-    assert live(t, NOW).count() == 3
+    assert live(t, NOW).count() == 2
 
 
 def test_ranges(spark):
@@ -192,3 +196,76 @@ def test_numeric_finals_plan_is_pruned(spark):
 
     plan = final_window(ev(spark, SF)).delta(5, 6)._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(ts), LessThan(ts," in plan and "props" not in plan
+
+
+def test_streaming_operators(spark, db):
+    from standq.scratch import scratch
+    from standq.streaming.final_stream import CommitFeed
+    from standq.streaming.operators import dedup_within, interval_join, split_late
+
+    kind = spark.createDataFrame([], "id int, ts timestamp_ntz, v int").schema
+    at = lambda s: datetime(2024, 1, 1, 0, 0, s)
+    feed = CommitFeed(spark, scratch(spark), kind)
+    for rows in ([(1, at(0), 1), (1, at(1), 2)], [(1, at(2), 3), (2, at(3), 4)]):
+        feed.push(spark.createDataFrame(rows, kind))
+        feed.run(dedup_within(feed.stream(), "ts", ["id"], timedelta(seconds=30)), "append")
+    assert sorted(r.id for r in spark.read.parquet(f"{feed.place}/out").collect()) == [1, 2]
+    left, right = CommitFeed(spark, scratch(spark), kind), CommitFeed(spark, scratch(spark), kind)
+    left.push(spark.createDataFrame([(1, at(0), 1), (2, at(0), 2)], kind))
+    right.push(spark.createDataFrame([(1, at(4), 7), (2, at(30), 8)], kind))
+    b = right.stream().withColumnRenamed("ts", "other").withColumnRenamed("v", "w")
+    left.run(interval_join(left.stream(), b, "id", "ts", "other", timedelta(seconds=5), timedelta(seconds=10)), "append")
+    assert [(r.id, r.w) for r in spark.read.parquet(f"{left.place}/out").collect()] == [(1, 7)]
+    ok, late = split_late(spark.createDataFrame([(1, at(1), 1), (2, at(9), 1)], kind), "ts", at(5))
+    assert [r.id for r in ok.collect()] == [2] and [r.id for r in late.collect()] == [1]
+
+
+def test_range_function(spark):
+    from standq.functions.ranges import register_range_function
+
+    register_range_function(spark)
+    assert [r.i for r in spark.sql("SELECT * FROM range_numbers(9.0D, 5.0D, 2.0D, 0.0D)").collect()] == [3, 4]
+    assert [r.i for r in spark.sql("SELECT * FROM range_numbers(4.0D, 5.0D, 2.0D, 0.0D)").collect()] == [0, 1, 2]
+
+
+def test_measures(db, spark):
+    from standq import measures
+    from standq.operators.task import Task
+
+    db.create_table("ev", "id int", insert_only=True)
+    db.create_table("copy", "id int", insert_only=True)
+    Task.insert(db, "c", db.rel("ev"), "copy")
+
+    def commit():
+        with db.transaction() as tx:
+            tx.insert("ev", spark.createDataFrame([(1,), (2,)], "id int"))
+
+    got = measures.commit_delay(db, commit)
+    assert 0 < got["tasks_s"] < got["commit_s"]
+    assert measures.check_subset(db.rel("ev"), 0, db.version) and measures.staleness(db, "ev", 0) == 1
+    assert measures.applied_twice_or_never(db.table("ev").snapshot(), db.table("copy").snapshot(), ["id"]) == {"twice": 0, "never": 0}
+    assert measures.sync_error(db.table("copy").snapshot(), db.table("ev").snapshot()) == 0
+    assert measures.compaction_ratio(db.table("ev")) == {"log": 2, "delta": 2}
+
+
+def test_procedures(db, spark):
+    s = Session(db)
+    s.execute("CREATE TABLE ev (id INT) INSERT ONLY")
+    s.execute("INSERT INTO ev VALUES (1)")
+    from standq.operators.cursor import ContinuousCursor
+
+    assert s.call(lambda s: ContinuousCursor(db.rel("ev"), with_return=True)).df.count() == 1
+    with pytest.raises(StandingQueryError):
+        s.call(lambda s: ContinuousCursor(db.rel("ev")))
+
+
+def test_entry_without_the_llm_folders():
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    code = (
+        "import sys; sys.modules['standq.llm'] = None; sys.modules['corpus_pipeline'] = None; import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); "
+        "assert 'hop_final' in q and 'pipeline' not in q and not any(k[:2] == 'op' and k[2].isdigit() for k in q) and set(o) <= set(q)"
+    )
+    subprocess.run([sys.executable, "-c", code], cwd=Path(__file__).resolve().parents[1], check=True)
