@@ -20,7 +20,8 @@ from .common import ship, staged
 from .components import components, unite
 from .simhash import typed
 
-TILE = 8192
+#: Rows of a tile: a sixteenth of all, so that there is work for many tasks, between these bounds.
+LEAST_TILE, TILE = 1024, 8192
 LEADING = 16
 #: Room for rounding: bounds in single precision, and products that are decided again on the vectors as given.
 SLACK, CLOSE = 1e-4, 1e-9
@@ -152,7 +153,7 @@ def tiled(classes: DataFrame, axes: np.ndarray, count: int, reach: float, tile:
     return tiles, pairs
 
 
-def near_duplicates(vectors: DataFrame, threshold: float = 0.9, id_col: str = "vec_id", vec_col: str = "embedding", tile: int = TILE) -> DataFrame:
+def near_duplicates(vectors: DataFrame, threshold: float = 0.9, id_col: str = "vec_id", vec_col: str = "embedding", tile: int | None = None) -> DataFrame:
     """One row a vector: ``id_col``, n_links (other vectors with cosine >= threshold), component_id (least identifier
     reachable, itself included), kept (is its own component's least).
 
@@ -173,7 +174,8 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.9, id_col: str = "v
     for r in classes.groupBy(F.size("vec").alias("dim")).agg(F.count("*").alias("n")).collect():  # one row a vector length
         part = classes.filter(F.size("vec") == r.dim)
         axes = principal_axes(part, r.dim)
-        links = tile_links(*tiled(part, axes, r.n, reach, tile), axes, threshold)
+        size = tile or min(TILE, max(LEAST_TILE, -(-r.n // 16)))
+        links = tile_links(*tiled(part, axes, r.n, reach, size), axes, threshold)
         found = links if found is None else found.unionByName(links)
     if found is None:
         found = spark.createDataFrame([], "cid long, links long, root long")

@@ -199,6 +199,22 @@ def _open(uri: str):
     return fs.FileSystem.from_uri(uri)
 
 
+def put(uri: str, data: bytes) -> None:
+    """Write a file whole or not at all. A task that runs twice writes the same bytes under the same name."""
+    target, place = _open(uri)
+    folder, name = place.rsplit("/", 1)
+    target.create_dir(folder, recursive=True)
+    temporary = f"{folder}/.{name}-{uuid.uuid4().hex}"
+    with target.open_output_stream(temporary) as f:
+        f.write(data)
+    try:
+        target.move(temporary, place)
+    except OSError:  # some file systems don't rename onto a file
+        target.delete_file(temporary)
+        if target.get_file_info(place).size != len(data):
+            raise
+
+
 MANIFEST = "path string, first_key binary, last_key binary, task int, seq int, n_docs long, n_tokens long, n_bytes long"
 
 
@@ -215,8 +231,8 @@ def write_shards(
     """Encode every text and write shards in ascending order of ``id_col``; returns the manifest, also kept at ``out``.
 
     One shuffle deals rows by range of (identifier, hash of text), so even an identifier that many rows share is spread.
-    A task streams its sorted rows into shards of about ``shard_bytes``, and holds one at a time. Files have names of
-    their own for every attempt and only the manifest makes them count, so a task that runs twice does no harm. Null
+    A task streams its sorted rows into shards of about ``shard_bytes``, and holds one at a time. Names and bytes follow
+    from the rows alone, and files appear whole, so a task that runs twice does no harm. Null
     text is empty (the end id alone), null identifiers come first, repeated rows are all kept in order of their text;
     an empty table gives an empty manifest; other columns are not read.
     """
@@ -235,11 +251,8 @@ def write_shards(
 
         def close() -> pa.RecordBatch:
             data = writer.finish()
-            uri = f"{out}/shards/{task:07d}-{seq:05d}-{uuid.uuid4().hex}.sst"
-            target, place = _open(uri)
-            target.create_dir(place.rsplit("/", 1)[0], recursive=True)
-            with target.open_output_stream(place) as f:
-                f.write(data)
+            uri = f"{out}/shards/{task:07d}-{seq:05d}.sst"
+            put(uri, data)
             row = [[uri], [first], [last], [task], [seq], [len(writer.keys)], [writer.tokens], [len(data)]]
             kinds = [pa.string(), pa.binary(), pa.binary(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
             names = [c.split()[0] for c in MANIFEST.split(", ")]

@@ -482,3 +482,22 @@ def test_digest_columns(spark):
         n, hit, own = brute_hits(r.text, bench)
         f = got[got.doc_id == r.doc_id].iloc[0]
         assert (f.n_words, f.n_hit, f.n_items, f.items_sha256, f.contaminated) == (n, hit, len(own), hashlib.sha256(",".join(own).encode()).hexdigest(), hit > 0)
+
+
+def test_license_query(spark):
+    """Against plain search and the longest common subsequence, which no alignment can exceed."""
+    got = {r.doc_id: r for r in QUERIES["op3_license_scan"](spark, SF).collect()}
+    templates = {k: license_scan.words_of(v) for k, v in license_scan.TEMPLATES.items()}
+    for r in spark.read.parquet(f"{SF}/documents.parquet").collect():
+        words, f = license_scan.words_of(r.text or ""), got[r.doc_id]
+        padded = b" " + b" ".join(words) + b" "
+        whole = {k for k, w in templates.items() if b" " + b" ".join(w) + b" " in padded}
+        assert whole <= set(filter(None, f.licenses.split(","))) and (f.coverage == 1.0 if whole else f.coverage < 1.0)
+        if f.license:
+            best = [0] * (len(templates[f.license]) + 1)
+            for w in words[f.from_word : f.to_word]:
+                row = best[:]
+                for j, t in enumerate(templates[f.license], 1):
+                    row[j] = max(best[j], row[j - 1], best[j - 1] + (w == t))
+                best = row
+            assert f.coverage * len(templates[f.license]) <= best[-1] + 1e-9
