@@ -283,12 +283,9 @@ def cust_columns(df, *more):
     return df.select(F.col("c_custkey").alias("k"), F.col("c_acctbal").alias("a"), F.col("c_mktsegment").alias("m"), F.col("_action").alias("action"), *more)
 
 
-NO = F.col("_commit_no").cast("int").alias("commit_no")
-
-
 @workload("changes_log", LOG)
 def changes_log(spark, sf):
-    return cust_columns(changes(cust(spark, sf).rel("cust"), format="LOG", encoding="single"), NO)
+    return cust_columns(changes(cust(spark, sf).rel("cust"), format="LOG", encoding="single"), F.col("_commit_no").cast("int").alias("commit_no"))
 
 
 @workload("changes_delta", f"SELECT c_custkey AS k, c_acctbal AS a, c_mktsegment AS m, 'INSERT' AS action FROM ({CUST_FINAL})")
