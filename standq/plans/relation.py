@@ -346,28 +346,42 @@ class Ranked(Keyed):
 
 
 class TopK(Relation):
-    """The n first rows. Candidates are the old ones and what was added; only if one of the old was removed are all rows
-    ranked again."""
+    """The n first rows. Candidates are the old ones, less those removed, and what was added. They are enough while n of
+    them rank no lower than the old last one did, for no other row ranks higher than that; else all rows are ranked again.
+    Only rows of the top, three times n at most, are held on the driver."""
 
     def __init__(self, child: Relation, n: int, order: list[tuple[str, bool]]):
         self.inputs, self.db, self.n, self.order = (child,), child.db, n, order
 
+    def _sorted(self, rows: DataFrame, *more: str) -> DataFrame:
+        return rows.orderBy(*(F.col(c).desc() if down else F.col(c).asc() for c, down in self.order), *more)
+
     def _first(self, rows: DataFrame) -> DataFrame:
-        return rows.orderBy(*(F.col(c).desc() if down else F.col(c).asc() for c, down in self.order)).limit(self.n)
+        return self._sorted(rows).limit(self.n)
 
     def at(self, version):
         return self._first(self.inputs[0].at(version))
 
     def delta(self, v0, v1):
-        before = self.at(v0)
+        spark, now = self.db.spark, self.at(v0)
+        held = now.collect()
+        local = lambda rows: spark.createDataFrame(rows, now.schema)
+        before = local(held)
         change = consolidate(self.inputs[0].delta(v0, v1))
-        gone = change.filter("_sign < 0").select("_row_id")
-        lost = not before.join(gone, "_row_id", "left_semi").limit(1).isEmpty()
-        if lost:
-            after = self.at(v1)
+        added = self._first(change.filter("_sign > 0").drop("_sign")).withColumn("_sign", F.lit(1))
+        gone = change.filter("_sign < 0").join(F.broadcast(before.select("_row_id")), "_row_id", "left_semi")
+        columns = now.columns
+        got = added.select(*columns, "_sign").unionByName(gone.select(*columns, F.col("_sign").cast("int"))).collect()
+        plus, minus = [r[:-1] for r in got if r._sign > 0], {r._row_id for r in got if r._sign < 0}
+        stay = [tuple(r) for r in held if r._row_id not in minus]
+        after = self._sorted(local([*stay, *plus]).withColumn("_last", F.lit(0)).unionByName(local(held[-1:]).withColumn("_last", F.lit(1))), "_last")
+        ranked = after.collect()
+        ahead = next((i for i, r in enumerate(ranked) if r._last), len(ranked))
+        if len(held) < self.n or ahead >= self.n:
+            result = local([r[:-1] for r in ranked if not r._last][: self.n])
         else:
-            after = self._first(before.unionByName(change.filter("_sign > 0").drop("_sign")))
-        return consolidate(before.withColumn("_sign", F.lit(-1)).unionByName(after.withColumn("_sign", F.lit(1))))
+            result = self.at(v1)
+        return consolidate(before.withColumn("_sign", F.lit(-1)).unionByName(result.withColumn("_sign", F.lit(1))))
 
     def strategy(self):
         return "candidates"

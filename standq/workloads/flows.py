@@ -43,7 +43,7 @@ def select_all_table(spark, sf):
 @workload("subscribe_all", f"SELECT event_id, value, c AS fetch_no FROM {EV}")
 def subscribe_all(spark, sf):
     db = ev(spark, sf)
-    cursor, out = ContinuousCursor(db.rel("ev"), "subscribe_all_" + str(id(object()))), None
+    cursor, out = ContinuousCursor(db.rel("ev")), None
     for n in range(1, db.version + 1):
         part = cursor.fetch(max_commits=1).df.select("event_id", "value", F.lit(n).cast("long").alias("fetch_no"))
         out = part if out is None else out.unionByName(part)
@@ -53,14 +53,14 @@ def subscribe_all(spark, sf):
 
 @workload("cursor_second_fetch", f"SELECT event_id, value FROM {EV} WHERE c = 2")
 def cursor_second_fetch(spark, sf):
-    cursor = ContinuousCursor(ev(spark, sf).rel("ev"), "second_" + str(id(object())))
+    cursor = ContinuousCursor(ev(spark, sf).rel("ev"))
     cursor.fetch(max_commits=1)
     return cursor.fetch(max_commits=1).df.select("event_id", "value")
 
 
 @workload("cursor_from_bookmark", f"SELECT event_id, value FROM {EV} WHERE c >= 4")
 def cursor_from_bookmark(spark, sf):
-    return ContinuousCursor(ev(spark, sf).rel("ev"), "bookmark_" + str(id(object())), start_at=3).fetch().df.select("event_id", "value")
+    return ContinuousCursor(ev(spark, sf).rel("ev"), start_at=3).fetch().df.select("event_id", "value")
 
 
 @workload(
@@ -140,7 +140,7 @@ def hop_final_grace(spark, sf):
 def hop_final_fetches(spark, sf):
     """The union of all fetches of a cursor over FINAL: no range twice, none missing."""
     db = ev(spark, sf)
-    cursor, out = ContinuousCursor(final_window(db), "final_" + str(id(object())), rules="extended"), None
+    cursor, out = ContinuousCursor(final_window(db), rules="extended"), None
     for _ in range(db.version):
         part = cursor.fetch(max_commits=1).df
         out = part if out is None else out.unionByName(part)
