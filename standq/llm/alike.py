@@ -1,0 +1,272 @@
+"""Near-duplicates by Jaccard similarity of word shingles, exact: no pair at or above the threshold is lost.
+
+Texts of equal shingle sets are one class, known by its key. Two sets of similarity s or more share so many shingles
+that, all sets put in one order, they already meet in the first n - ceil(s n) + 1 of each; those prefixes are filed, what
+meets and passes the bounds on sizes and places is compared in full. Any order is right; shingles that are frequent in a
+sample go last, so boilerplate makes no bucket.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+from fractions import Fraction
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from .common import annotate, free, ship, staged, texts
+from .components import components
+from .simhash import signed, typed
+
+#: Classes that the order of shingles is estimated on, and frequent shingles that are put last. Neither changes results.
+SAMPLE, FREQUENT = 10_000, 100_000
+#: Rows up to which a table of identifiers is broadcast.
+FEW = 1_000_000
+#: Buckets of more classes are first compared with their leaders, then where those connected nothing.
+SMALL, LEADERS = 24, 8
+#: Texts held at once to compare pairs of them.
+TILE = 512
+
+
+def shingles(text: str, words: int = 5, seed: int = 42) -> np.ndarray:
+    """Sorted distinct hashes of the word shingles; a shorter text is one shingle, a blank one has none."""
+    parts = text.encode("utf-8", "surrogatepass").lower().split()  # bytes: A-Z and ASCII blanks alone
+    if not parts:
+        return np.zeros(0, np.uint64)
+    joined = b" ".join(parts)
+    ends = np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)) + 1) - 1
+    starts = np.concatenate(([0], ends[:-1] + 1))
+    words = min(words, len(parts))
+    hashed = xxhash.xxh64_intdigest
+    pairs = zip(starts[: len(parts) - words + 1].tolist(), ends[words - 1 :].tolist(), strict=True)
+    return np.unique(np.fromiter((hashed(joined[x:y], seed) for x, y in pairs), np.uint64))
+
+
+def class_key(own: np.ndarray) -> int:
+    return signed(xxhash.xxh64_intdigest(own.tobytes(), 7)) if len(own) else 0
+
+
+def frequent_shingles(own: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
+    """The shingles met most often in a sample of the classes, sorted, and how often."""
+    many = own.select(F.approx_count_distinct("key")).first()[0]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 100):
+                found = [shingles(t or "", words) for t in batch.column(0).slice(at, 100).to_pylist()]
+                yield pa.RecordBatch.from_pydict({"s": np.concatenate(found).view(np.int64)})
+
+    sample = own.filter(F.pmod("key", F.lit(max(1, many // SAMPLE))) == 0).select("text").mapInArrow(typed(run, "s long"), "s long")
+    found = sample.groupBy("s").agg(F.count("*").alias("n")).filter("n > 2").orderBy(F.desc("n"), "s").limit(FREQUENT).toArrow()
+    s, n = found.column("s").to_numpy().view(np.uint64), found.column("n").to_numpy()
+    by = np.argsort(s)
+    return s[by], n[by]
+
+
+def prefix(own: np.ndarray, frequent: tuple[np.ndarray, np.ndarray], s: Fraction) -> np.ndarray:
+    """The first n - ceil(s n) + 1 shingles, rare ones first."""
+    often, n = frequent
+    if len(often) and len(own):
+        at = np.minimum(np.searchsorted(often, own), len(often) - 1)
+        own = own[np.lexsort((own, np.where(often[at] == own, n[at], 0)))]
+    return own[: len(own) + int(s * len(own) // -1) + 1] if len(own) else own
+
+
+def prefixes(own: DataFrame, words: int, s: Fraction, frequent: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+    """(bucket, key, n, place) for every shingle of the prefixes of own (key, text)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            held, size = [], 0
+            for key, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                every = shingles(t or "", words)
+                first = prefix(every, frequent, s)
+                held.append((first.view(np.int64), np.full(len(first), key), np.full(len(first), len(every)), np.arange(len(first))))
+                size += len(first)
+                if size > 65_536:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*held, strict=True)], names=["bucket", "key", "n", "place"])
+                    held, size = [], 0
+            if size:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*held, strict=True)], names=["bucket", "key", "n", "place"])
+
+    kinds = "bucket long, key long, n int, place int"
+    return own.select("key", "text").mapInArrow(typed(run, kinds), kinds)
+
+
+def bucket_pairs(key: np.ndarray, n: np.ndarray, place: np.ndarray, s: Fraction, least: int = 0, root: np.ndarray | None = None) -> Iterator[np.ndarray]:
+    """Pairs of one bucket, smaller key first, that sizes and places do not rule out, a block at a time; none with the
+    first ``least`` rows, and only pairs of different roots, if given."""
+    key, n, place = key[least:], n[least:].astype(np.int64), place[least:].astype(np.int64)
+    by = np.argsort(n, kind="stable")
+    key, n, place, root = key[by], n[by], place[by], None if root is None else root[least:][by]
+    ends = np.searchsorted(n * s.numerator, n * s.denominator, "right")  # partners no larger than n / s
+    step = max(1, (1 << 20) // max(len(key), 1))
+    for at in range(0, len(key), step):
+        i = np.arange(at, min(at + step, len(key)))
+        width = np.maximum(ends[i] - i - 1, 0)
+        a = np.repeat(i, width)
+        b = a + 1 + np.arange(len(a)) - np.repeat(np.cumsum(width) - width, width)
+        ok = possible(n, place, a, b, s)
+        if root is not None:
+            ok &= root[a] != root[b]
+        yield pair_of(key[a[ok]], key[b[ok]])
+
+
+def possible(n: np.ndarray, place: np.ndarray, a: np.ndarray, b: np.ndarray, s: Fraction) -> np.ndarray:
+    most = np.minimum(place[a], place[b]) + np.minimum(n[a] - place[a], n[b] - place[b])
+    return most * (s.denominator + s.numerator) >= s.numerator * (n[a] + n[b])
+
+
+def pair_of(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return np.stack((np.minimum(a, b), np.maximum(a, b)))
+
+
+def by_bucket(rows: DataFrame, work, names: list[str], kinds: str) -> DataFrame:
+    """Apply ``work`` to the columns of whole buckets, sorted by bucket and key, of one partition."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[np.ndarray]] = []
+        size = 0
+        for batch in batches:
+            held.append([c.to_numpy() for c in batch.columns[: len(names)]])
+            size += batch.num_rows
+            if held[0][0][0] == held[-1][0][-1] or size < 65_536:  # the bucket goes on, or there is little to do yet
+                continue
+            whole = [np.concatenate(c) for c in zip(*held, strict=True)]
+            cut = int(np.flatnonzero(whole[0] != whole[0][-1])[-1]) + 1
+            yield from parts(*(c[:cut] for c in whole))
+            held, size = [[c[cut:] for c in whole]], len(whole[0]) - cut
+        if held:
+            yield from parts(*(np.concatenate(c) for c in zip(*held, strict=True)))
+
+    def parts(*whole):
+        bucket, key = whole[:2]
+        new = np.concatenate(([True], (bucket[1:] != bucket[:-1]) | (key[1:] != key[:-1])))  # copies of a class meet once
+        whole = [c[new] for c in whole]
+        starts = np.concatenate(([0], np.flatnonzero(whole[0][1:] != whole[0][:-1]) + 1, [len(whole[0])]))
+        for k in np.flatnonzero(np.diff(starts) > 1).tolist():
+            yield from work(*(c[starts[k] : starts[k + 1]] for c in whole))
+
+    def dense(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out, size = [], 0
+        for made in run(batches):
+            out.append(made)
+            size += made.shape[1]
+            if size > 65_536:
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in np.unique(np.concatenate(out, axis=1), axis=1)], names=columns)
+                out, size = [], 0
+        if size:
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in np.unique(np.concatenate(out, axis=1), axis=1)], names=columns)
+
+    columns = [k.split()[0] for k in kinds.split(", ")]
+    dealt = rows.select(*names).repartition("bucket").sortWithinPartitions("bucket", "key")
+    return dealt.mapInArrow(typed(dense, kinds), kinds)
+
+
+def first_pairs(rows: DataFrame, s: Fraction) -> DataFrame:
+    """(a, b, bucket, n, place): the pairs of a bucket, all of a small one and those with the LEADERS least keys of a large
+    one; and the rows of large buckets, as a = b."""
+
+    def work(bucket, key, n, place):
+        zero = lambda x: np.zeros(x.shape[1], np.int64)
+        if len(key) <= SMALL:
+            for x in bucket_pairs(key, n, place, s):
+                yield np.concatenate((x, [zero(x)] * 3))
+            return
+        n, place = n.astype(np.int64), place.astype(np.int64)
+        for i in range(LEADERS):
+            b = np.arange(i + 1, len(key))
+            a = np.full(len(b), i)
+            ok = possible(n, place, a, b, s) & (np.minimum(n[a], n[b]) * s.denominator >= np.maximum(n[a], n[b]) * s.numerator)
+            x = pair_of(key[a[ok]], key[b[ok]])
+            yield np.concatenate((x, [zero(x)] * 3))
+        yield np.stack((key, key, bucket, n, place))
+
+    return by_bucket(rows, work, ["bucket", "key", "n", "place"], "a long, b long, bucket long, n int, place int")
+
+
+def other_pairs(rows: DataFrame, s: Fraction) -> DataFrame:
+    """(a, b): the pairs of large buckets that ``first_pairs`` left and whose ends are not connected yet."""
+
+    def work(bucket, key, n, place, root):
+        if (root != root[0]).any():
+            yield from bucket_pairs(key, n, place, s, LEADERS, root)
+
+    return by_bucket(rows, work, ["bucket", "key", "n", "place", "root"], "a long, b long").distinct()
+
+
+def verified(pairs: DataFrame, slim: DataFrame, classes: DataFrame, words: int, s: Fraction) -> DataFrame:
+    """The pairs of classes whose whole sets have similarity ``s`` or more.
+
+    Texts move once to where the pairs of their group are compared, and once for each tile of a group beyond ``TILE``.
+    """
+    pairs = staged(pairs, "pairs")
+    group = components(pairs)
+    tiles = group.groupBy("root").agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles"))
+    own = F.pmod(F.xxhash64("node"), F.col("tiles")).cast("int").alias("own")
+    rids = classes.select(F.col("key").alias("node"), F.col("least.rid").alias("rid"))
+    ends = staged(group.join(tiles, "root").join(rids, "node").select(F.col("node").alias("key"), "root", "tiles", own, "rid"), "ends")
+    bundles = F.lit(max(1, ends.count() // TILE))
+
+    def at(x, y):
+        tile = F.xxhash64(F.col("root"), F.least(x, y), F.greatest(x, y))
+        return F.when(F.col("tiles") == 1, F.pmod(F.xxhash64("root"), bundles)).otherwise(tile)
+
+    sets = slim.drop("key").join(few(ends), "rid")
+    sets = sets.withColumn("at", F.explode(F.transform(F.sequence(F.lit(0), F.col("tiles") - 1), lambda j: at(F.col("own"), j)))).select("at", "key", "text")
+    one, two = (ends.select(F.col("key").alias(c), *more, F.col("own").alias(f"o{c}")) for c, more in (("a", ["root", "tiles"]), ("b", [])))
+    asked = pairs.join(one, "a").join(two, "b").select(at(F.col("oa"), F.col("ob")).alias("at"), "a", "b")
+
+    def run(asked: pa.Table, sets: pa.Table) -> pa.Table:
+        held = {k: shingles(t or "", words) for k, t in zip(sets.column("key").to_pylist(), sets.column("text").to_pylist(), strict=True)}
+        a, b = asked.column("a").to_pylist(), asked.column("b").to_pylist()
+        ok = np.zeros(len(a), bool)
+        for k in range(len(a)):
+            x, y = held[a[k]], held[b[k]]
+            both = len(np.intersect1d(x, y, assume_unique=True))
+            ok[k] = both * s.denominator >= s.numerator * (len(x) + len(y) - both)
+        return pa.table({"a": np.array(a, np.int64)[ok], "b": np.array(b, np.int64)[ok]})
+
+    return asked.groupBy("at").cogroup(sets.groupBy("at")).applyInArrow(run, "a long, b long")
+
+
+def few(df: DataFrame) -> DataFrame:
+    return F.broadcast(df) if df.count() <= FEW else df
+
+
+def keep_dissimilar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8) -> DataFrame:
+    """``docs`` with one document of each group that links of shingle similarity ``similarity`` or more connect: that of
+    the least identifier (nulls last), then the least key and hash of text; whole rows and columns as they were.
+
+    Null and blank texts are alike. In large groups texts are compared with a few of them first, then only where that has
+    connected nothing; many texts that share rare shingles and are not near each other cost the square of their number.
+    """
+    ship(docs.sparkSession)
+    s = Fraction(str(similarity))
+    key, rid, h = (free(docs, n) for n in ("_key", "_rid", "_h"))
+
+    def start():
+        return lambda batch: {key: [class_key(shingles(t, words)) for t in texts(batch, text_col)]}
+
+    numbered = annotate(docs, start, [T.StructField(key, T.LongType())], [text_col]).withColumn(rid, F.monotonically_increasing_id())
+    own = staged(numbered.withColumn(h, F.xxhash64(f"`{text_col}`")), "keys")
+    slim = own.select(F.col(key).alias("key"), F.col(rid).alias("rid"), F.col(f"`{text_col}`").alias("text"))
+    name = F.col(f"`{id_col}`")
+    who = F.struct(name.isNull().alias("none"), name.alias("doc"), F.col(key).alias("key"), F.col(h).alias("h"), F.col(rid).alias("rid"))
+    classes = staged(own.groupBy(F.col(key).alias("key")).agg(F.min(who).alias("least")), "classes")
+    made = staged(first_pairs(prefixes(slim, words, s, frequent_shingles(slim, words)), s), "met")
+    links = staged(verified(made.filter("a <> b").select("a", "b").distinct(), slim, classes, words, s), "near")
+    linked = components(links)
+    large = made.filter("a = b").select("bucket", F.col("a").alias("key"), "n", "place")
+    rest = large.join(linked.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    rest = staged(other_pairs(rest, s), "rest")
+    if not rest.isEmpty():
+        linked = components(links.union(verified(rest, slim, classes, words, s)))
+    linked = linked.select(F.col("node").alias("key"), "root")
+    whole = classes.join(linked, "key", "left").withColumn("root", F.coalesce("root", "key"))
+    chosen = whole.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.rid").alias(rid))
+    return own.join(chosen, rid, "left_semi").select(*(F.col(f"`{c}`") for c in docs.columns))

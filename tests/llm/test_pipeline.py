@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import random
 import zlib
 
 import numpy as np
@@ -9,7 +10,7 @@ from test_operators import brute_fingerprint, brute_hits, check_packing, union
 from tokenizers import Tokenizer
 
 import corpus_pipeline
-from standq.llm import pii, quality_mil, tokens
+from standq.llm import alike, pii, quality_mil, simhash, tokens
 
 SF = "/root/testdata/sf0.001"
 
@@ -45,3 +46,41 @@ def test_columns_stay(spark, docs):
         out = stage(spark, docs, SF)
         assert out.columns == docs.columns, name
         docs = out.select("*")
+
+
+def brute_dissimilar(rows, words=5):
+    """Identifiers kept of (id, text): all pairs of whole shingle sets, Jaccard 0.8 or more."""
+    sets = []
+    for _, t in rows:
+        w = "".join(c.lower() if "A" <= c <= "Z" else c for c in t or "").encode().split()
+        sets.append({tuple(w[i : i + words]) for i in range(max(1, len(w) - words + 1))} if w else set())
+    near = [(i, j) for i, x in enumerate(sets) for j, y in enumerate(sets[:i]) if min(len(x), len(y)) >= 0.8 * max(len(x), len(y)) and 5 * len(x & y) >= 4 * len(x | y)]
+    root = union(len(rows), near)
+    kept = {}
+    for (i, _), r in zip(rows, root, strict=True):
+        kept[r] = min(i, kept.get(r, i))
+    return sorted(kept.values()), near
+
+
+def test_near_copies_of_the_stage(spark, monkeypatch):
+    """Copies planted at similarities around 0.8 to 0.95, under a frequent heading, beside chance ones."""
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(5))
+    head, rows = "this text may be used and copied by anybody who keeps this notice with it", []
+    for n in range(60):
+        base = [word() for _ in range(rng.choice([8, 40, 200, 600]))]
+        rows += [(7 * n, " ".join([head, *base])), (7 * n + 1, " ".join([head.upper(), *base]))]
+        for k in range(2, 7):
+            other = list(base)
+            for _ in range(rng.randint(1, 1 + len(base) // 50)):
+                other[rng.randrange(len(base))] = word()
+            rows.append((7 * n + k, " ".join([head, *other])))
+    rows += [(1000, None), (1001, " "), (1002, "a b"), (1003, "A  b"), (1004, "a b c")]
+    want, near = brute_dissimilar(rows)
+    assert len(near) > 200
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(r.doc_id for r in corpus_pipeline.near_dedup(spark, docs, SF).collect()) == want
+    for name, small in (("FEW", 0), ("SAMPLE", 20), ("SMALL", 2), ("LEADERS", 1), ("TILE", 3)):
+        monkeypatch.setattr(alike, name, small)
+    assert sorted(r.doc_id for r in alike.keep_dissimilar(docs).collect()) == want
+    assert simhash.keep_one(docs).count() > len(want)  # the rule of op7 is narrower
