@@ -18,6 +18,41 @@ from .tokens import public_path, tokenizer
 CAPACITY = 2048
 #: Pieces packed together in one task (some 30 MB of Python objects); more pieces make more groups.
 GROUP = 40_000
+#: Bins that a round of the local search tries to empty.
+EMPTIEST = 50
+
+
+class Reach:
+    """Which bins an exchange or a move could gain in, told from sizes alone, so that no other is visited."""
+
+    def __init__(self, bins: Bins, sizes: list[int]):
+        self.bins, self.sizes, self.size = bins, sizes, np.array(sizes, np.int64)
+        self.room, self.of = np.array(bins.room, np.int64), np.zeros(len(sizes), np.int64)
+        self.two = np.zeros((len(bins.items), 2), np.int64)  # least and greatest sum of two items
+        for b in range(len(bins.items)):
+            self.update(b)
+
+    def update(self, b: int) -> None:
+        own = self.bins.items[b]
+        self.of[own], self.room[b] = b, self.bins.room[b] if own else 0
+        x = sorted(self.sizes[i] for i in own)
+        self.two[b] = (x[0] + x[1], x[-1] + x[-2]) if len(x) > 1 else (self.bins.capacity, 0)
+
+    def targets(self, source: int) -> list[int]:
+        """By room, most first."""
+        single = np.unique(self.size[self.bins.items[source]])
+        own = self.size[self.bins.items[source]]
+        i, j = np.triu_indices(len(own), 1)
+        after = lambda sums: np.append(sums, 1 << 40)[np.searchsorted(sums, np.arange(self.bins.capacity + 1), "right")]
+        room = self.room[self.of]
+        ok = self.room >= single[0]
+        ok[self.of[(room > 0) & (after(np.unique(np.concatenate((single, own[i] + own[j]))))[self.size] <= self.size + room)]] = True
+        least, most = np.minimum(self.two, self.bins.capacity).T
+        ok |= after(single)[least] <= most + self.room
+        ok &= self.room > 0
+        ok[source] = False
+        found = np.flatnonzero(ok)
+        return found[np.argsort(-self.room[found], kind="stable")].tolist()
 
 
 class Bins:
@@ -58,24 +93,26 @@ def best_fit(sizes: list[int], capacity: int) -> Bins:
     return bins
 
 
-def improve(bins: Bins, sizes: list[int], rounds: int = 8, others: int = 400) -> None:
+def improve(bins: Bins, sizes: list[int]) -> None:
     """Local search: take the emptiest bins one by one and try to spread their items over other underfull bins.
 
     A move puts an item where it fits; a one-for-one exchange gives a larger item for a smaller one; a two-for-one
     exchange gives one item for two. Each is made only if it raises the sum of squared fill, so what is left in the
-    emptiest bin shrinks until the bin is empty. A round that empties no bin ends the search. Partners are the ``others``
-    bins with most room, which is where exchanges can gain.
+    emptiest bin shrinks until the bin is empty. A round takes the ``EMPTIEST`` bins with most room; one that empties no
+    bin ends the search, and so does the least number of bins that the total needs. Every bin with room is a partner.
     """
     cap, items, room = bins.capacity, bins.items, bins.room
-    for _ in range(rounds):
+    least = -(-sum(sizes) // cap)
+    left = sum(1 for b in items if b)
+    reach = Reach(bins, sizes) if left > least else None
+    while left > least:
         order = sorted((b for b in range(len(items)) if items[b] and room[b]), key=lambda b: -room[b])
         emptied = 0
-        for source in order[:50]:
-            partners = [b for b in order[: others + 1] if b != source and items[b] and room[b]]
+        for source in order[:EMPTIEST]:
             changed = True
             while items[source] and changed:
                 changed = False
-                for target in partners:
+                for target in reach.targets(source):
                     if not items[source]:
                         break
                     free, fill_s, fill_t = room[target], cap - room[source], cap - room[target]
@@ -86,6 +123,8 @@ def improve(bins: Bins, sizes: list[int], rounds: int = 8, others: int = 400) ->
                         items[target].append(best)
                         room[source] += sizes[best]
                         room[target] -= sizes[best]
+                        reach.update(target)
+                        reach.update(source)
                         changed = True
                         continue
                     if not free:
@@ -103,8 +142,11 @@ def improve(bins: Bins, sizes: list[int], rounds: int = 8, others: int = 400) ->
                                 items[source].append(i)
                             room[source] += gain
                             room[target] -= gain
+                            reach.update(target)
+                            reach.update(source)
                             changed = True
             emptied += not items[source]
+        left -= emptied
         if not emptied:
             return
 
@@ -113,9 +155,8 @@ def best_exchange(give_from: list[int], take_from: list[int], sizes: list[int],
     """The exchange that moves most tokens, 1 to ``free``, into the other bin: one for one, two for one or one for two."""
     best, out = 0, None
     singles = [([i], sizes[i]) for i in give_from]
-    short = give_from[:24]
-    pairs = [([i, j], sizes[i] + sizes[j]) for n, i in enumerate(short) for j in short[n + 1 :]]
-    takes = take_from[:24]
+    pairs = [([i, j], sizes[i] + sizes[j]) for n, i in enumerate(give_from) for j in give_from[n + 1 :]]
+    takes = take_from
     for give, size in [*singles, *pairs]:
         for j in takes:
             gain = size - sizes[j]

@@ -221,6 +221,15 @@ def test_exchange_empties_a_bin():
     assert sorted(i for b in bins.items for i in b) == list(range(10)) and all(sum(sizes[i] for i in b) == 100 - bins.room[k] for k, b in enumerate(bins.items))
 
 
+def test_search_goes_on_until_no_bin_is_emptied():
+    """All items of a bin and all bins with room take part; 1,628 bins by best fit here."""
+    assert packing.best_exchange([0], [*range(1, 32)], [15, *[30] * 30, 10], 5) == ([0], [31])
+    rng = random.Random(1)
+    sizes = [rng.randint(500, 1000) for _ in range(4000)]
+    plain = len(packing.best_fit(sizes, 2048).items)
+    assert len(packing.pack(sizes)) <= plain - 45
+
+
 # Classifiers
 
 
