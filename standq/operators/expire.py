@@ -16,6 +16,13 @@ from standq.sources.store import Table, log_schema
 
 CLOCK = re.compile(r"\b(?:now\(\)|current_timestamp(?:\(\))?)", re.I)
 
+STRING = re.compile(r"'[^'\\]*'")
+RANGE = re.compile(
+    r"\s*(?P<column>`[^`]+`|[a-z_]\w*)\s*(?P<op><=|>=|<|>|=)\s*"
+    r"(?P<literal>(?P<number>-?\d+(?:\.\d+)?)|(?P<time>(?:date|timestamp_ntz|timestamp)\s*'[^'\\]*')|(?P<string>'[^'\\]*'))\s*", re.I,
+)
+NUMBERS = {"byte", "short", "integer", "long", "float", "double", "decimal"}
+
 
 def at_time(predicate: str, now: datetime) -> Column:
     """The policy with the clock at ``now``; unknown is not expired."""
@@ -58,25 +65,41 @@ def final_live(table: Table, where: str = "true", now: datetime | None = None) -
     return live(table, now, "error", where)
 
 
+def bounds(table: Table, where: str) -> list[tuple[str, str, str]]:
+    """(column, comparison, literal) of every plain range that ``where`` demands; what else it demands is left out."""
+    bare = STRING.sub(lambda m: "'" + "x" * (len(m[0]) - 2) + "'", where)
+    if re.search(r"[()\\\"]|--|/\*|\|\||\b(?:or|not|case|between)\b", bare, re.I):
+        return []
+    cuts = [0, *(x for m in re.finditer(r"\band\b", bare, re.I) for x in m.span()), len(where)]
+    kinds = {f.name.lower(): (f.name, f.dataType.typeName().split("(")[0]) for f in table.schema.fields}
+    out = []
+    for x, y in zip(cuts[::2], cuts[1::2], strict=True):
+        m = RANGE.fullmatch(where[x:y])
+        name, kind = kinds.get(m["column"].strip("`").lower(), ("", "")) if m else ("", "")
+        fits = {"string": "string", "date": "time string", "timestamp": "time string", "timestamp_ntz": "time string"}.get(kind, "number" if kind in NUMBERS else "")
+        if m and any(m[k] for k in fits.split()):  # other pairs of types do not compare in the column's own order
+            out.append((name, m["op"], m["literal"]))
+    return out
+
+
 def overlaps(table: Table, where: str) -> bool:
-    """Whether a purged row may hold ``where``: the ledger keeps samples at the least and greatest value of each column of
-    what was purged; a range condition that holds at neither end and between them nowhere holds for none. Conservative:
-    any box whose corners cannot rule the condition out counts."""
-    spark = table.db.spark
+    """Whether a purged row may hold ``where``: the ledger keeps the least and greatest value of each column of what was
+    purged. Ruled out only if a plain range that the condition demands of one column misses the box; all else counts as
+    an overlap."""
+    asked = bounds(table, where)
     for entry in table.meta.purged:
-        box = spark.createDataFrame([(entry["rows"],)], "n long").select(
-            *(F.lit(v[0]).cast(table.schema[c].dataType).alias(c) for c, v in entry["box"].items())
-        )
-        top = spark.createDataFrame([(entry["rows"],)], "n long").select(
-            *(F.lit(v[1]).cast(table.schema[c].dataType).alias(c) for c, v in entry["box"].items())
-        )
-        try:
-            if not box.unionByName(top).filter(F.expr(where)).limit(1).isEmpty():
-                return True
-        except Exception as e:  # a column without a box: cannot be ruled out
-            if "UNRESOLVED_COLUMN" in str(e):
-                return True
-            raise
+        tests = []
+        for c, op, literal in asked:
+            if c not in entry["box"]:
+                continue
+            lo, hi = (F.lit(v).cast(table.schema[c].dataType) for v in entry["box"][c])
+            v = F.expr(literal)
+            tests.append({"<": lo < v, "<=": lo <= v, ">": hi > v, ">=": hi >= v, "=": (lo <= v) & (hi >= v)}[op])
+        if not tests:
+            return True
+        met = table.db.spark.range(1).select(*(F.coalesce(x, F.lit(False)).alias(f"t{i}") for i, x in enumerate(tests))).first()  # no range holds a null
+        if all(met):
+            return True
     return False
 
 

@@ -89,6 +89,28 @@ def test_expiration(db, spark):
     assert live(t, NOW).count() == 2
 
 
+@pytest.mark.parametrize(
+    ("where", "purged"),
+    [
+        ("ts >= timestamp_ntz'2024-01-03' and ts < timestamp_ntz'2024-01-05'", True), ("ts < timestamp_ntz'2024-01-03' and value > 5", True), ("value = 4", True), ("abs(value) = 4", True),
+        ("value > 10", False), ("ts >= timestamp_ntz'2024-01-11' and value > 5", False), ("level = 'WARN'", False), ("value > 10 or ts < timestamp_ntz'2024-01-05'", True), ("level > 5", True),
+        ("note = 'a and value > 10'", True), ("note = 'b'", False),
+    ],
+)
+def test_purged_box(db, spark, where, purged):
+    db.create_table("logs", "level string, ts timestamp_ntz, value int, note string", insert_only=True, expire="level = 'DEBUG'")
+    rows = [("DEBUG", datetime(2024, 1, d), d, "a and value > 10") for d in range(1, 11)]
+    with db.transaction() as tx:
+        tx.insert("logs", spark.createDataFrame(rows, "level string, ts timestamp_ntz, value int, note string"))
+    t = db.table("logs")
+    assert purge(t, NOW)["rows"] == 10
+    if purged:
+        with pytest.raises(ExpiredData):
+            final_live(t, where, NOW)
+    else:
+        assert final_live(t, where, NOW).count() == 0
+
+
 def test_ranges(spark):
     rows = spark.createDataFrame([(i, None if i == 3 else float(i), datetime(2024, 1 + i % 12, 5)) for i in range(12)], "i int, x double, t timestamp_ntz")
     assert window_table(rows, "i", 2, 5).count() == 6  # gaps
