@@ -63,24 +63,24 @@ def with_fingerprints(docs: DataFrame, text_col: str = "text", out: str = "fp",
     return annotate(docs, start, [T.StructField(out, T.LongType())], [text_col], keep)
 
 
-def bit_statistics(prints: DataFrame) -> tuple[int, np.ndarray]:
-    """Number of distinct fingerprints, and how often each two bits are both set (64 x 64), over all of them."""
+def bit_statistics(prints: DataFrame, words: tuple[str, ...] = ("fp",)) -> tuple[int, np.ndarray]:
+    """Number of fingerprints (of 64 bits a column of ``words``), and how often each two bits are both set, over all."""
+    bits = BITS * len(words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        both, n = np.zeros((BITS, BITS), np.int64), 0
+        both, n = np.zeros((bits, bits), np.int64), 0
         for batch in batches:
-            x = spread(batch.column(0).to_numpy().view(np.uint64)).astype(np.float32)
+            x = np.concatenate([spread(c.to_numpy().view(np.uint64)) for c in batch.columns], axis=1).astype(np.float32)
             both += np.rint(x.T @ x).astype(np.int64)
             n += len(x)
         if n:
-            yield pa.RecordBatch.from_pydict({"i": list(range(BITS)), "n": [n] * BITS, **{f"c{j}": both[:, j] for j in range(BITS)}})
+            yield pa.RecordBatch.from_pydict({"i": list(range(bits)), "n": [n] * bits, "c": both.tolist()})
 
-    kinds = "i int, n long, " + ", ".join(f"c{j} long" for j in range(BITS))
-    made = prints.select("fp").mapInArrow(typed(run, kinds), kinds)
-    rows = made.groupBy("i").agg(F.sum("n").alias("n"), *(F.sum(f"c{j}").alias(f"c{j}") for j in range(BITS))).collect()  # 64 rows
-    both = np.zeros((BITS, BITS))
+    made = prints.select(*words).mapInArrow(typed(run, "i int, n long, c array<long>"), "i int, n long, c array<long>")
+    rows = made.groupBy("i").agg(F.sum("n").alias("n"), F.array(*(F.sum(F.col("c")[j]) for j in range(bits))).alias("c")).collect()  # one row a bit
+    both = np.zeros((bits, bits))
     for r in rows:
-        both[r.i] = [r[f"c{j}"] for j in range(BITS)]
+        both[r.i] = r.c
     return (rows[0].n if rows else 0), both
 
 
@@ -112,32 +112,52 @@ class Plan:
 
 def grouped(correlation: np.ndarray, m: int) -> list[list[int]]:
     """m groups of about equal size; a group takes the bit that correlates most with those it has."""
-    free, out = set(range(BITS)), []
+    bits = len(correlation)
+    free, out = np.ones(bits, bool), []
+    rest = correlation.sum(axis=1) - np.diag(correlation)  # with the bits that are free
     for g in range(m):
-        room = BITS // m + (g < BITS % m)
-        rest = sorted(free)
-        first = max(rest, key=lambda i: (correlation[i, rest].sum() - correlation[i, i], -i))
-        own = [first]
-        free.discard(first)
-        while len(own) < room:
-            nxt = max(sorted(free), key=lambda i: correlation[i, own].sum())
-            own.append(nxt)
-            free.discard(nxt)
+        own, near = [], np.zeros(bits)
+        for k in range(bits // m + (g < bits % m)):
+            pick = int(np.argmax(np.where(free, near if k else rest, -np.inf)))
+            own.append(pick)
+            free[pick] = False
+            near = near + correlation[:, pick]
+            rest = rest - correlation[:, pick]
         out.append(own)
     return out
 
 
-def allocate(n: int, agree: np.ndarray, groups: list[list[int]], tau: int) -> Plan:
+def apart(agree: np.ndarray, joint: np.ndarray | None, bits: list[int]) -> np.ndarray:
+    """Chances that two fingerprints differ in 0, 1, .. of these bits.
+
+    Of independent bits it is their convolution. Where bits agree together more often than by chance (``joint``: the
+    chance that both of two bits agree), a beta-binomial of the same mean and variance.
+    """
+    mean = float((1 - agree[bits]).sum())
+    if joint is not None:
+        own = joint[np.ix_(bits, bits)] - np.outer(agree[bits], agree[bits])
+        np.fill_diagonal(own, agree[bits] * (1 - agree[bits]))
+        w, q, var = len(bits), mean / len(bits), float(own.sum())
+        rho = (var / max(w * q * (1 - q), 1e-12) - 1) / max(w - 1, 1)
+        if 1e-6 < rho < 1 - 1e-6 and 0 < q < 1:
+            a, b = q * (1 / rho - 1), (1 - q) * (1 / rho - 1)
+            lg = math.lgamma
+            row = [math.comb(w, k) * math.exp(lg(k + a) + lg(w - k + b) - lg(w + a + b) - lg(a) - lg(b) + lg(a + b)) for k in range(w + 1)]
+            return np.array(row)
+    out = np.array([1.0])
+    for i in bits:
+        out = np.convolve(out, [agree[i], 1 - agree[i]])
+    return out
+
+
+def allocate(n: int, agree: np.ndarray, groups: list[list[int]], tau: int, joint: np.ndarray | None = None, probe: float = PROBE_COST) -> Plan:
     """Thresholds of least estimated cost with sum(t + 1) = tau + 1, by dynamic programming over the groups."""
     costs = []
     for g in groups:
-        apart = np.array([1.0])  # chances of 0, 1, .. differing bits
-        for i in g:
-            apart = np.convolve(apart, [agree[i], 1 - agree[i]])
-        row = [0.0]
+        chance, row = apart(agree, joint, g), [0.0]
         for t in range(tau + 1):
             ball = sum(math.comb(len(g), k) for k in range(t + 1))
-            row.append(n * (1 + (ball - 1) / 2) * PROBE_COST + n * n / 2 * apart[: t + 1].sum())
+            row.append(n * (1 + (ball - 1) / 2) * probe + n * n / 2 * chance[: t + 1].sum())
         costs.append(row)
     best: dict[int, tuple[float, tuple[int, ...]]] = {0: (0.0, ())}
     for row in costs:
@@ -152,12 +172,17 @@ def allocate(n: int, agree: np.ndarray, groups: list[list[int]], tau: int) -> Pl
     return Plan(tuple(tuple(g) for g in groups), limits, cost)
 
 
-def plan_groups(n: int, both: np.ndarray, tau: int) -> Plan:
-    p = np.diag(both) / max(n, 1)
+def plan_groups(n: int, both: np.ndarray, tau: int, probe: float = PROBE_COST, numbers: tuple[int, ...] | None = None) -> Plan:
+    """Groups (in one of the ``numbers``) and thresholds of least cost, from how often each two bits are set together."""
+    two = both / max(n, 1)
+    p = np.diag(two)
     deviation = np.sqrt(np.maximum(p * (1 - p), 1e-12))
-    correlation = np.abs(both / max(n, 1) - np.outer(p, p)) / np.outer(deviation, deviation)
+    correlation = np.abs(two - np.outer(p, p)) / np.outer(deviation, deviation)
     agree = p * p + (1 - p) * (1 - p)
-    return min((allocate(n, agree, grouped(correlation, m), tau) for m in range(2, tau + 2)), key=lambda x: x.cost)
+    one = p[:, None] - two  # the first bit set and not the second
+    neither = 1 - p[:, None] - p[None, :] + two
+    joint = two**2 + one**2 + one.T**2 + neither**2
+    return min((allocate(n, agree, grouped(correlation, m), tau, joint, probe) for m in numbers or range(2, tau + 2)), key=lambda x: x.cost)
 
 
 def probes(prints: DataFrame, plan: Plan) -> DataFrame:
@@ -249,19 +274,21 @@ def links(rows: DataFrame, tau: int) -> DataFrame:
     return rows.select("bucket", "kind", "fp").mapInArrow(typed(run, "a long, b long"), "a long, b long").distinct()
 
 
-def cut_hot(rows: DataFrame, tile: int = TILE) -> DataFrame:
-    """Give every row of a bucket beyond ``tile`` rows one copy for each pair of tiles that its own is in."""
+def cut_hot(rows: DataFrame, tile: int = TILE, by: str = "fp") -> DataFrame:
+    """Give every row of a bucket beyond ``tile`` rows one copy for each pair of tiles that its own is in; tiles are
+    dealt by hash of ``by``. Of such a bucket in which nothing is filed no row is left, for it has no pair."""
     hot = rows.groupBy("bucket").agg(F.count("*").alias("n"), F.sum((F.col("kind") == 0).cast("long")).alias("filed"))
-    hot = staged(hot.filter((F.col("n") > tile) & (F.col("filed") > 0)).select("bucket", F.ceil(F.col("n") / tile).cast("int").alias("tiles")), "hot")
+    tiles = F.when(F.col("filed") > 0, F.ceil(F.col("n") / tile)).otherwise(0).cast("int")
+    hot = staged(hot.filter(F.col("n") > tile).select("bucket", tiles.alias("tiles")), "hot")
     few = hot.count()
     if not few:
         return rows
     held = F.broadcast(hot) if few <= 100_000 else hot  # two numbers a bucket
-    own = F.pmod(F.xxhash64("fp"), F.col("tiles")).cast("int")
+    own = F.pmod(F.xxhash64(by), F.col("tiles")).cast("int")
     pair = F.transform(F.sequence(F.lit(0), F.col("tiles") - 1), lambda j: F.xxhash64(F.col("bucket"), F.least(own, j), F.greatest(own, j)))
-    return rows.join(held, "bucket", "left").select(
-        F.explode(F.when(F.col("tiles").isNull(), F.array("bucket")).otherwise(pair)).alias("bucket"), "kind", "fp"
-    )
+    to = F.when(F.col("tiles").isNull(), F.array("bucket")).when(F.col("tiles") > 0, pair).otherwise(F.array().cast("array<bigint>"))
+    rest = [c for c in rows.columns if c != "bucket"]
+    return rows.join(held, "bucket", "left").select(F.explode(to).alias("bucket"), *rest)
 
 
 def fingerprint_classes(prints: DataFrame, tau: int = 4) -> DataFrame:
