@@ -4,12 +4,12 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from standq.llm.alike import keep_dissimilar
 from standq.llm.common import staged
 from standq.llm.decontaminate import decontaminate
 from standq.llm.packing import pack_documents
 from standq.llm.pii import redact
 from standq.llm.quality_mil import keep_good
+from standq.llm.simhash_verified import keep_dissimilar
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -18,7 +18,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group that five-word similarities of 0.8 or more connect."""
+    """One document of each group of near-duplicates: SimHash candidates of five-word similarity 0.8 or more."""
     return keep_dissimilar(docs)
 
 
