@@ -39,8 +39,37 @@ def state_size(window: FinalWindow) -> DataFrame:
     return rows
 
 
-def work_ratio(table: Table) -> DataFrame:
-    """Rows that each commit adds to read, against all rows there are then."""
+def rows_read(df: DataFrame) -> int:
+    """Rows that the scans of a query put out when it runs, by Spark's own counters. A scan whose exchange is used again
+    counts once, as it runs once."""
+    execution = df._jdf.queryExecution()
+    execution.toRdd().count()
+
+    def leaves(plan: Any) -> int:
+        kind = plan.getClass().getSimpleName()
+        if kind == "AdaptiveSparkPlanExec":
+            return leaves(plan.executedPlan())
+        if kind.startswith("ReusedExchange"):
+            return 0
+        if kind.endswith("QueryStageExec"):
+            return leaves(plan.plan())
+        children = plan.children()
+        if children.size():
+            return sum(leaves(children.apply(i)) for i in range(children.size()))
+        n = plan.metrics().get("numOutputRows")
+        return n.get().value() if "Scan" in kind and n.isDefined() else 0
+
+    return leaves(execution.executedPlan())
+
+
+def work_ratio(rel: Relation) -> DataFrame:
+    """Rows that are read to derive the change of each commit, against those read to evaluate the relation anew then."""
+    out = [(v, rows_read(rel.delta(v - 1, v)), rows_read(rel.at(v))) for v in range(1, rel.db.version + 1)]
+    return rel.db.spark.createDataFrame(out, "commit_no long, delta_rows long, full_rows long")
+
+
+def commit_sizes(table: Table) -> DataFrame:
+    """Records that each commit adds to the log, against the rows there are then."""
     out, total = [], 0
     for m in table.db.manifests:
         e = m["tables"].get(table.name)

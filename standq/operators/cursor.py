@@ -5,15 +5,20 @@ from __future__ import annotations
 import uuid
 from collections.abc import Callable
 from dataclasses import dataclass
+from datetime import datetime
 from typing import Any
 
-from pyspark.sql import DataFrame, Window
-from pyspark.sql import functions as F
+from pyspark.sql import DataFrame
 
 from standq.errors import NotInsertOnly, StandingQueryError
 from standq.plans.relation import Changes, Relation, simplify
 
 
+def moment(v: Any) -> datetime:
+    """A commit's time, which a manifest that was read has as text."""
+    return v if isinstance(v, datetime) else datetime.fromisoformat(v)
+
+
 @dataclass
 class Fetch:
     df: DataFrame
@@ -29,7 +34,7 @@ class ContinuousCursor:
     or at the next fetch. The first fetch gives all rows, a later one those committed since.
     """
 
-    def __init__(self, rel: Relation, name: str | None = None, start_at: int | str = "beginning", with_return: bool = False, strict_syntax: bool = False, yet_status: bool = False, rules: str = "paper"):
+    def __init__(self, rel: Relation, name: str | None = None, start_at: int | str | datetime = "beginning", with_return: bool = False, strict_syntax: bool = False, yet_status: bool = False, rules: str = "paper"):
         self.rel = simplify(rel).rel
         if strict_syntax and not isinstance(rel, Changes):
             raise NotInsertOnly("the cursor's source must be CHANGES of a relation")
@@ -40,17 +45,41 @@ class ContinuousCursor:
         self.with_return, self.yet_status, self.open = with_return, yet_status, True
         self.file = f"_cursors/{self.name}.json"
         kept = self.db.log.get(self.file)
-        start = 0 if start_at == "beginning" else self.db.version if start_at == "now" else int(start_at)
-        self.bookmark = kept["last_commit_no"] if kept else start
+        self.bookmark = kept["last_commit_no"] if kept else self._start(start_at)
         self.db.cursors[self.name] = self.rel.tables()
         self.pending: int | None = None
 
-    def fetch(self, max_commits: int | None = None) -> Fetch:
-        """Rows of whole commits after the bookmark; the caller acknowledges by the next fetch or ``commit``."""
+    def _start(self, at: int | str | datetime) -> int:
+        """``beginning``, ``now``, a commit, or a time: after the last commit that is not later."""
+        if isinstance(at, datetime):
+            return max((m["commit"] for m in self.db.manifests if moment(m["time"]) <= at), default=0)
+        return 0 if at == "beginning" else self.db.version if at == "now" else int(at)
+
+    def _admitted(self, max_commits: int | None, max_rows: int | None) -> int:
+        """The last commit of a fetch: whole commits, at least one of the source's, and no more than asked for."""
+        upto = self.db.refresh()
+        if max_commits is not None:
+            upto = min(upto, self.bookmark + max_commits)
+        if max_rows is not None:
+            held, tables = 0, self.rel.tables()
+            for m in self.db.manifests[self.bookmark : upto]:
+                n = sum(e["inserts"] + e["updates"] + e["deletes"] for t, e in m["tables"].items() if t in tables)
+                if held and held + n > max_rows:
+                    return m["commit"] - 1
+                held += n
+        return upto
+
+    def fetch(self, max_commits: int | None = None, max_rows: int | None = None) -> Fetch:
+        """Rows of whole commits after the bookmark, as many as hold at most ``max_rows`` records of the source (one commit
+        at least); the caller acknowledges by the next fetch or ``commit``."""
         if not self.open:
             raise StandingQueryError(f"cursor {self.name} is closed")
         self.commit()
-        upto = self.db.refresh() if max_commits is None else min(self.db.refresh(), self.bookmark + max_commits)
+        upto = self._admitted(max_commits, max_rows)
+        if self.bookmark and not isinstance(self.rel, Changes):
+            for t in self.rel.tables():
+                if not self.db.table(t).only_inserts(upto, self.bookmark):
+                    raise NotInsertOnly(f"{t} was changed by other than inserts after commit {self.bookmark}, before it was declared insert-only")
         moved = self.bookmark == 0 and upto > 0 or bool(self.rel.tables() & self.db.changed(self.bookmark, upto))
         if not moved:
             rows = self.rel.at(0).drop("_row_id")
@@ -84,16 +113,15 @@ class SnapshotCursor:
 
     def _rows(self) -> DataFrame:
         if self.sensitive:
-            self.version = self.rel.db.refresh()
-        elif self.pinned is not None:
-            return self.pinned
-        place = F.row_number().over(Window.orderBy(*self.order))  # pages follow a total order, as a cursor must
-        self.pinned = self.rel.to_df(self.version).withColumn("_n", place)
+            self.version, self.pinned = self.rel.db.refresh(), None
+        if self.pinned is None:
+            self.pinned = self.rel.to_df(self.version)
         return self.pinned
 
     def _page(self, start: int, n: int) -> DataFrame:
+        """Pages follow a total order, as a cursor must; Spark keeps the first rows of each task, or sorts by ranges."""
         self.at = start + n - 1
-        return self._rows().filter(F.col("_n").between(start, start + n - 1)).orderBy("_n").drop("_n")
+        return self._rows().orderBy(*self.order).offset(start - 1).limit(n)
 
     def next(self, n: int = 1) -> DataFrame:
         return self._page(self.at + 1, n)

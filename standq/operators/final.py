@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import re
 from dataclasses import dataclass
-from datetime import date, datetime, timedelta
+from datetime import datetime, timedelta
 from typing import Any
 
 from pyspark.sql import Column, DataFrame, Window
@@ -13,26 +13,36 @@ from pyspark.sql import functions as F
 from standq.errors import ConstraintViolation, NotInsertOnly, UnboundedState
 from standq.functions.ranges import Axis
 from standq.operators.constraints import Increasing
+from standq.operators.windows import final as one
 from standq.operators.windows import hop_aggregate, window_table
 from standq.plans.relation import Aggregate, Filter, Relation, Scan, WindowTable, key_id
-from standq.sources.store import Table
-
-
-def parse_value(text: str, like: str) -> Any:
-    if like == "date":
-        return date.fromisoformat(text)
-    return datetime.fromisoformat(text) if like in ("timestamp", "timestamp_ntz") else int(text) if like in ("bigint", "int") else float(text)
+from standq.sources.store import TIMES, Table, parse_value
+
+
+def frontiers(table: Table, column: str, version: int, grace: Any = None) -> list[tuple[int, Any]]:
+    """(commit, maximum of the column in the commits up to it, less grace), for the commits that raised it: from the
+    manifests; where they do not hold the column's extremes, from one aggregate over that column."""
+    kind, since = table.schema[column].dataType.simpleString(), table.meta.since
+    own = [(m["commit"], m["tables"][table.name]) for m in table.db.manifests[since:version] if table.name in m["tables"]]
+    if all(column in e["stats"] or not e["files"] for _, e in own):
+        tops = [(n, e["stats"][column][1]) for n, e in own if column in e["stats"]]
+        tops = [(n, parse_value(t, kind)) for n, t in tops if t not in (None, "None")]
+    else:
+        log = table.log_slice(0, version).filter("_action <> 'DELETE'")
+        per = log.groupBy("_commit_no").agg(F.max(F.col(f"`{column}`")).alias("top")).filter("top is not null").orderBy("_commit_no")
+        tops = [(r._commit_no, r.top) for r in per.collect()]  # one row a commit
+    out: list[tuple[int, Any]] = []
+    for n, top in tops:
+        top = top - grace if grace is not None else top
+        if not out or top > out[-1][1]:
+            out.append((n, top))
+    return out
 
 
 def frontier(table: Table, column: str, version: int, grace: Any = None) -> Any:
-    """Maximum of the column in the commits up to ``version``, less grace: from the manifests, without reading data."""
-    kind = table.schema[column].dataType.simpleString()
-    tops = [m["tables"][table.name]["stats"].get(column, [None, None])[1] for m in table.db.manifests[:version] if table.name in m["tables"]]
-    tops = [t for t in tops if t not in (None, "None")]
-    if not tops:
-        return None
-    top = max(parse_value(t, kind) for t in tops)
-    return top - grace if grace is not None else top
+    """Maximum of the column in the commits up to ``version``, less grace."""
+    found = frontiers(table, column, version, grace)
+    return found[-1][1] if found else None
 
 
 def resolve_grace(table: Table, column: str, clause: Any = None) -> Any:
@@ -59,7 +69,8 @@ class FinalWindow(Relation):
     """FINAL of a windowed aggregate over an insert-only table: each range once, when it is closed.
 
     ``tight``: closed as soon as no accepted row can fall in, max - grace >= end. ``literal``: max > end + grace.
-    Ranges that were closed at a fetch stay closed; only rows of the ranges that close are read.
+    A closed range stays as it was: rows that come for it later (where the clause's grace is less than what the column
+    admits, or the column has no constraint) do not count in it. Only rows of the ranges that close are read.
     """
 
     def __init__(self, child: Scan, column: str, keys: list[str], aggregates: dict[str, tuple[str, str]], size: Any, advance: Any = None, start_with: Any = None, grace: Any = None, closure: str = "tight", strategy: str = "panes"):
@@ -70,28 +81,54 @@ class FinalWindow(Relation):
         self.size, self.advance, self.start_with, self.closure, self.way = size, advance or size, start_with, closure, strategy
         self.grace = resolve_grace(child.table, column, grace)
 
-    def _closed(self, rows: DataFrame, upto: Any, after: Any = None) -> DataFrame:
+    def _late(self) -> bool:
+        """Whether a row may come for a range that is closed: the clause's grace is less than what the column admits."""
+        state = self.table.meta.increasing.get(self.column)
+        if state is None or not state["enabled"] or state.get("by"):
+            return True
+        own = Increasing.grace_of(state)
+        return own is not None and (self.grace is None or own > self.grace)
+
+    def _closed(self, version: int, upto: Any, after: Any = None) -> DataFrame:
         c = F.col(f"`{self.column}`")
-        rows = rows.drop("_row_id").filter(c < F.lit(upto))
+        rows = self.table.log_slice(0, version).filter(c < F.lit(upto))
         if after is not None:
             rows = rows.filter(c >= F.lit(after - self.size))
-        made = hop_aggregate(rows, self.column, self.keys, self.aggregates, self.size, self.advance, self.start_with, self.way)
         end = F.col("win_end")
+        if self._late():
+            # a row counts in a range only if the range was open at the row's commit
+            known = frontiers(self.table, self.column, version, self.grace)
+            rows = self._with_frontier(rows, known)
+            rows = window_table(rows, self.column, self.size, self.advance, self.start_with)
+            was_open = F.col("_then").isNull() | (end > F.col("_then") if self.closure == "tight" else end >= F.col("_then"))
+            calls = [one(n, f, F.expr(e)) for n, (f, e) in self.aggregates.items()]
+            made = rows.filter(was_open).groupBy(*(F.col(f"`{k}`") for k in self.keys), "win_start", "win_end").agg(*calls)
+        else:
+            rows = rows.select(*(F.col(f"`{n}`") for n in self.table.columns))
+            made = hop_aggregate(rows, self.column, self.keys, self.aggregates, self.size, self.advance, self.start_with, self.way)
         made = made.filter(end <= F.lit(upto) if self.closure == "tight" else end < F.lit(upto))
         if after is not None:
             made = made.filter(end > F.lit(after) if self.closure == "tight" else end >= F.lit(after))
         return made.withColumn("_row_id", key_id([*self.keys, "win_start"]))
 
+    def _with_frontier(self, rows: DataFrame, known: list[tuple[int, Any]]) -> DataFrame:
+        """``_then``: the frontier before the row's commit; from one row a commit that raised it."""
+        spark, kind = self.db.spark, rows.schema[self.column].dataType.simpleString()
+        spans = [(n + 1, known[i + 1][0] if i + 1 < len(known) else 1 << 62, top) for i, (n, top) in enumerate(known)]
+        table = spark.createDataFrame(spans, f"_from long, _to long, _then {kind}")
+        return rows.join(F.broadcast(table), F.col("_commit_no").between(F.col("_from"), F.col("_to")), "left")
+
     def at(self, version):
         top = frontier(self.table, self.column, version, self.grace)
-        base = self.inputs[0].at(version)
-        return self._closed(base.limit(0) if top is None else base, top if top is not None else datetime(1970, 1, 1))
+        if top is None:
+            return self._closed(version, datetime(1970, 1, 1) if self.table.schema[self.column].dataType.simpleString() in TIMES else 0).limit(0)
+        return self._closed(version, top)
 
     def delta(self, v0, v1):
         before, now = (frontier(self.table, self.column, v, self.grace) for v in (v0, v1))
         if now is None or now == before:
             return self.at(0).withColumn("_sign", F.lit(1))
-        return self._closed(self.inputs[0].at(v1), now, before).withColumn("_sign", F.lit(1))
+        return self._closed(v1, now, before).withColumn("_sign", F.lit(1))
 
     def strategy(self):
         return "closing ranges"

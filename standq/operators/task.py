@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import threading
+import uuid
 from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 from datetime import datetime, timedelta
@@ -10,7 +12,7 @@ from typing import Any
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from standq.errors import IllegalTransition, NotInsertOnly, RejectLimit, StandingQueryError
+from standq.errors import ConcurrentCommit, ConstraintViolation, IllegalTransition, NotInsertOnly, RejectLimit, StandingQueryError
 from standq.functions.compaction import compact_delete_insert, compact_update, value_columns
 from standq.plans.relation import Relation, Scan, net_changes
 from standq.sources.store import Database, row_ids
@@ -99,13 +101,16 @@ class Either(Schedule):
 
 
 class Scheduler:
-    """Fires what is due: on commits at once (or queued, if asynchronous), on time when ``tick`` is called. Runs of one
-    task never overlap, for all run on the caller's thread one after another."""
+    """Fires what is due: on commits at once (or queued, if asynchronous), on time at ``tick``. ``start`` makes a thread
+    tick by itself; it also sees the commits of other sessions. Runs of one task never overlap: in a process they are told
+    apart here, between processes by the task's lease."""
 
     _of: dict[int, Scheduler] = {}
 
     def __init__(self, db: Database):
         self.db, self.members, self.queue, self.last, self.runs, self.busy = db, [], [], {}, {}, set()
+        self.seen, self.lock, self.thread, self.halt = db.version, threading.RLock(), None, threading.Event()
+        self.failed: list[tuple[str, Exception]] = []
         db.listeners.append(self._committed)
 
     @classmethod
@@ -134,6 +139,13 @@ class Scheduler:
             self.busy.discard(m.name)
 
     def _committed(self, manifest: dict[str, Any]) -> None:
+        """Take every commit up to this one in turn, those of other sessions too."""
+        with self.lock:
+            while self.seen < manifest["commit"]:
+                self.seen += 1
+                self._told(self.db.manifests[self.seen - 1])
+
+    def _told(self, manifest: dict[str, Any]) -> None:
         tables = set(manifest["tables"])
         for m in list(self.members):
             if tables & m.sources() and (how := m.schedule.on_commit(tables)):
@@ -144,12 +156,64 @@ class Scheduler:
 
     def tick(self) -> int:
         """Run what is queued and what time has made due; returns how many ran."""
-        waiting, self.queue = self.queue, []
-        now = self.db.clock.now()
-        ready = [*waiting, *(m for m in self.members if m not in waiting and m.schedule.due(self.last[m.name], now))]
-        for m in ready:
-            self._fire(m)
-        return len(ready)
+        with self.lock:
+            if self.db.refresh() > self.seen:
+                self._committed(self.db.manifests[-1])
+            waiting, self.queue = self.queue, []
+            now = self.db.clock.now()
+            ready = [*waiting, *(m for m in self.members if m not in waiting and m.schedule.due(self.last[m.name], now))]
+            for m in ready:
+                self._fire(m)
+            return len(ready)
+
+    def start(self, every: float = 1.0) -> None:
+        """Tick every so many seconds in a thread, until ``stop``. An error of a run is kept in ``failed`` and does not end
+        the thread; the task's bookmark stays, so its next run tries again."""
+        if self.thread is not None:
+            return
+        self.halt.clear()
+
+        def work() -> None:
+            while not self.halt.wait(every):
+                try:
+                    self.tick()
+                except Exception as e:
+                    self.failed.append((type(e).__name__, e))
+
+        self.thread = threading.Thread(target=work, name="standq-scheduler", daemon=True)
+        self.thread.start()
+
+    def stop(self) -> None:
+        self.halt.set()
+        if self.thread is not None:
+            self.thread.join()
+            self.thread = None
+
+
+class Lease:
+    """A file that one run of a task holds in the shared log; others pass meanwhile. It lapses after ``seconds``, so a
+    driver that was lost does not hold it for ever; should two runs overlap then, only one of their commits counts."""
+
+    def __init__(self, db: Database, name: str, seconds: float = 3600.0):
+        self.db, self.file, self.seconds, self.mark = db, f"_leases/{name}.json", seconds, uuid.uuid4().hex
+
+    def take(self) -> bool:
+        for _ in range(2):
+            now = self.db.clock.now()
+            try:
+                self.db.log.put(self.file, {"until": now + timedelta(seconds=self.seconds), "mark": self.mark})
+                return True
+            except ConcurrentCommit:
+                held = self.db.log.get(self.file)
+                if held and datetime.fromisoformat(held["until"]) > now:
+                    return False
+                self.db.log.delete(self.file)
+        return False
+
+    def free(self) -> None:
+        held = self.db.log.get(self.file)
+        if held and held["mark"] == self.mark:
+            self.db.log.delete(self.file)
 
 
 # Errors
@@ -250,9 +314,19 @@ class Task:
         self.db.log.delete(self._file)
 
     def run_now(self) -> int | None:
-        """One run; returns the commit made, or None if there was nothing to do or the task is not active."""
+        """One run; returns the commit made, or None if there was nothing to do, the task is not active, or another
+        process runs it."""
         if self.state != "ACTIVE":
             return None
+        lease = Lease(self.db, self.name)
+        if not lease.take():
+            return None
+        try:
+            return self._try()
+        finally:
+            lease.free()
+
+    def _try(self) -> int | None:
         self.db.refresh()
         if self.kind == "statement":
             return self._run(0, self.db.version)
@@ -262,24 +336,30 @@ class Task:
         for attempt in range(self.errors.retry_limit + 1):
             try:
                 return self._run(after, upto)
-            except RejectLimit:
+            except (RejectLimit, ConcurrentCommit):
                 if attempt == self.errors.retry_limit:
                     raise
+                upto = self.db.refresh()
         return None
 
     def _run(self, after: int, upto: int) -> int | None:
         from standq.sources.store import Transaction
 
         tx = Transaction(self.db)
-        if self.kind == "statement":
-            self.statement(tx)
-            return tx.commit()
-        made = self._changes(after, upto)
-        if self.db.metas[self.target].checks:
-            made = self._reject(tx, made)
-        tx.apply(self.target, made)
-        tx.bookmarks[self.name] = upto
-        number = tx.commit()
+        try:
+            if self.kind == "statement":
+                self.statement(tx)
+                return tx.commit()
+            made = self._changes(after, upto)
+            if self.db.metas[self.target].checks:
+                made = self._reject(tx, made)
+            tx.apply(self.target, made)
+            tx.bookmarks[self.name] = upto
+            number = tx.commit()
+        except BaseException:
+            if not tx.done:
+                tx.abort()
+            raise
         for told in self.callbacks:
             told(self.db.table(self.target).log_slice(number - 1, number))
         return number
@@ -315,6 +395,9 @@ class Task:
         for c in self.on:
             on = on & (F.col(f"s_{c}") == F.col(f"t_{c}"))
         both = source.join(target, on, "left")
+        twice = both.filter(F.col("_t").isNotNull()).groupBy("_t").agg(F.count("*").alias("n")).filter("n > 1")
+        if not twice.isEmpty():
+            raise ConstraintViolation(f"{self.name}: two source rows match one row of {self.target} by {self.on}")
         gone = F.expr(self.delete_where.replace("_action", "_a"))
         matched = F.col("_t").isNotNull()
         action = F.when(matched & gone, "DELETE").when(matched, "UPDATE").when(~gone, "INSERT")
@@ -322,7 +405,7 @@ class Task:
             matched & gone, F.col(f"t_{n}")
         ).when(matched, F.expr(self.set_[n]) if n in self.set_ else F.col(f"t_{n}")).otherwise(F.expr(self.insert_values.get(n, f"s_{n}")))
         before = F.when(matched, F.struct(*(F.col(f"t_{n}").alias(n) for n in names)))
-        fresh = row_ids([], [], F.lit(upto), F.lit(0))
+        fresh = row_ids(F.lit(upto), F.lit(0))
         return both.select(*(value(n).cast(schema[n].dataType).alias(n) for n in names), action.alias("_action"), F.coalesce("_t", F.concat(F.lit("m"), fresh)).alias("_row_id"), before.alias("_before")).filter("_action is not null")
 
     def _reject(self, tx, made: DataFrame) -> DataFrame:

@@ -8,10 +8,12 @@ compares two versions. ``strategy()`` says which of these a node uses.
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass, field
+from functools import cached_property
 from typing import Any
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from standq.functions.compaction import compact_net, compact_update, consolidate, encode, from_signed, signed, value_columns
@@ -31,10 +33,17 @@ def touching(rows: DataFrame, keys: DataFrame, on: list[str]) -> DataFrame:
     return rows.alias("l").join(keys.select(*on).distinct().alias("k"), same(on, "l", "k"), "left_semi")
 
 
+def applied(rows: DataFrame, change: DataFrame) -> DataFrame:
+    """Rows with a consolidated change: those it takes away are told by their identity."""
+    gone = change.filter("_sign < 0").select("_row_id")
+    return rows.join(gone, "_row_id", "left_anti").select(*rows.columns).unionByName(change.filter("_sign > 0").select(*rows.columns))
+
+
 def key_id(columns: list[str], tag: str = "g") -> Column:
-    """Identity from values: type-tagged and safe for nulls; a digest of the encoding itself."""
-    parts = [F.coalesce(F.concat(F.lit("v"), F.col(f"`{c}`").cast("string")), F.lit("n")) for c in columns]
-    return F.concat(F.lit(tag), F.sha2(F.concat_ws("\x1f", *parts) if parts else F.lit(""), 256))
+    """Identity from values: each with its length, so that no two rows run together, and safe for nulls."""
+    text = [F.col(f"`{c}`").cast("string") for c in columns]
+    parts = [F.coalesce(F.concat(F.length(t).cast("string"), F.lit(":"), t), F.lit("n")) for t in text]
+    return F.concat(F.lit(tag), F.sha2(F.concat_ws(",", *parts) if parts else F.lit(""), 256))
 
 
 class Relation:
@@ -43,7 +52,7 @@ class Relation:
     db: Database
     inputs: tuple[Relation, ...] = ()
 
-    @property
+    @cached_property
     def columns(self) -> list[str]:
         return [c for c in self.at(0).columns if c != "_row_id"]
 
@@ -124,7 +133,7 @@ class Scan(Relation):
         return self.table.snapshot(version, with_id=True)
 
     def delta(self, v0, v1):
-        if self.table.meta.insert_only:
+        if self.table.only_inserts(v1, v0):  # by what the commits did; the declaration may be younger than they are
             return self.table.log_slice(v0, v1).select(*self.table.columns, "_row_id", F.lit(1).alias("_sign"))
         return signed(compact_net(self.table.log_slice(v0, v1))).select(*self.table.columns, "_row_id", "_sign")
 
@@ -222,16 +231,22 @@ class UnionAll(Relation):
 
 
 class Join(Relation):
-    """Inner equi-join. The change is dA with B before, and A after with dB; signs multiply."""
+    """Inner join on equal columns, or on any condition over columns of different names (``true`` for all pairs). The
+    change is dA with B before, and A after with dB; signs multiply."""
 
-    def __init__(self, left: Relation, right: Relation, on: list[str]):
-        self.inputs, self.db, self.on = (left, right), left.db, on
+    def __init__(self, left: Relation, right: Relation, on: list[str] | None = None, condition: str | None = None):
+        self.inputs, self.db, self.on, self.condition = (left, right), left.db, on, condition
+        if on is None and condition is None:
+            raise ValueError("a join needs columns or a condition")
+        if on is None and (both := {c.lower() for c in left.columns} & {c.lower() for c in right.columns}):
+            raise ValueError(f"columns of both sides: {sorted(both)}")
 
     def _join(self, a: DataFrame, b: DataFrame) -> DataFrame:
         a, b = a.withColumnRenamed("_row_id", "_left"), b.withColumnRenamed("_row_id", "_right")
         if "_sign" in a.columns and "_sign" in b.columns:
             raise ValueError("one side of a join carries signs")
-        return a.join(b, self.on).withColumn("_row_id", F.concat_ws("|", "_left", "_right")).drop("_left", "_right")
+        made = a.join(b, self.on) if self.on is not None else a.join(b, F.expr(self.condition))
+        return made.withColumn("_row_id", F.concat_ws("|", "_left", "_right")).drop("_left", "_right")
 
     def at(self, version):
         return self._join(self.inputs[0].at(version), self.inputs[1].at(version))
@@ -268,18 +283,21 @@ class Keyed(Relation):
         return self.compute([i.at(version) for i in self.inputs])
 
     def delta(self, v0, v1):
+        """The rows of the changed keys before, and those rows with the inputs' change applied: the inputs are read once,
+        and only their rows of changed keys go on."""
         moved = self.db.changed(v0, v1)
+        change = [consolidate(i.delta(v0, v1)) if i.tables() & moved else None for i in self.inputs]
         touched = None
-        for i in self.inputs:
-            if i.tables() & moved:
-                keys = i.delta(v0, v1).select(*self.keys)
+        for d in change:
+            if d is not None:
+                keys = d.select(*self.keys)
                 touched = keys if touched is None else touched.unionByName(keys)
         if touched is None:
             return self.at(v1).withColumn("_sign", F.lit(1)).limit(0)
         touched = touched.distinct()
-        before = self.compute([touching(i.at(v0), touched, self.keys) for i in self.inputs])
-        after = self.compute([touching(i.at(v1), touched, self.keys) for i in self.inputs])
-        return consolidate(before.withColumn("_sign", F.lit(-1)).unionByName(after.withColumn("_sign", F.lit(1))))
+        before = [touching(i.at(v0), touched, self.keys) for i in self.inputs]
+        after = [rows if d is None else applied(rows, d) for rows, d in zip(before, change, strict=True)]
+        return consolidate(self.compute(before).withColumn("_sign", F.lit(-1)).unionByName(self.compute(after).withColumn("_sign", F.lit(1))))
 
     def strategy(self):
         return "changed keys"
@@ -319,7 +337,8 @@ class KeyedJoin(Keyed):
 
 
 class SetOperation(Keyed):
-    """intersect or except, of distinct rows; the key is the whole row."""
+    """intersect, except or union of distinct rows, ``intersect all`` and ``except all`` of rows with their numbers; the
+    key is the whole row. Equal rows of a result are told apart by a number."""
 
     def __init__(self, left: Relation, right: Relation, op: str):
         self.inputs, self.db, self.op = (left, right), left.db, op
@@ -327,11 +346,15 @@ class SetOperation(Keyed):
 
     def compute(self, inputs):
         a, b = (i.select(*self.keys) for i in inputs)
-        out = {"intersect": a.intersect, "except": a.subtract, "union": lambda x: a.union(x).distinct()}[self.op](b)
-        return out.withColumn("_row_id", key_id(self.keys))
+        ops = {"intersect": a.intersect, "except": a.subtract, "union": lambda x: a.union(x).distinct(), "intersect all": a.intersectAll, "except all": a.exceptAll}
+        out = ops[self.op](b)
+        if not self.op.endswith("all"):
+            return out.withColumn("_row_id", key_id(self.keys))
+        n = F.row_number().over(Window.partitionBy(*(F.col(f"`{k}`") for k in self.keys)).orderBy(F.lit(0)))
+        return out.withColumn("_n", n).withColumn("_row_id", F.concat_ws("#", key_id(self.keys), F.col("_n").cast("string"))).drop("_n")
 
     def insert_only(self, rules="paper"):
-        return (False, "EXCEPT") if self.op == "except" else self._all_insert_only(rules)
+        return (False, "EXCEPT") if self.op.startswith("except") else self._all_insert_only(rules)
 
 
 class Ranked(Keyed):
@@ -348,10 +371,12 @@ class Ranked(Keyed):
 class TopK(Relation):
     """The n first rows. Candidates are the old ones, less those removed, and what was added. They are enough while n of
     them rank no lower than the old last one did, for no other row ranks higher than that; else all rows are ranked again.
-    Only rows of the top, three times n at most, are held on the driver."""
+    Only rows of the top, three times n at most, are held on the driver; those of the last version asked for are kept, so
+    a task that follows commit by commit ranks all rows once."""
 
     def __init__(self, child: Relation, n: int, order: list[tuple[str, bool]]):
         self.inputs, self.db, self.n, self.order = (child,), child.db, n, order
+        self.kept: tuple[int, list] | None = None
 
     def _sorted(self, rows: DataFrame, *more: str) -> DataFrame:
         return rows.orderBy(*(F.col(c).desc() if down else F.col(c).asc() for c, down in self.order), *more)
@@ -364,23 +389,25 @@ class TopK(Relation):
 
     def delta(self, v0, v1):
         spark, now = self.db.spark, self.at(v0)
-        held = now.collect()
+        held = self.kept[1] if self.kept and self.kept[0] == v0 else now.collect()
         local = lambda rows: spark.createDataFrame(rows, now.schema)
-        before = local(held)
+        before, columns = local(held), now.columns
         change = consolidate(self.inputs[0].delta(v0, v1))
         added = self._first(change.filter("_sign > 0").drop("_sign")).withColumn("_sign", F.lit(1))
-        gone = change.filter("_sign < 0").join(F.broadcast(before.select("_row_id")), "_row_id", "left_semi")
-        columns = now.columns
+        gone = change.filter("_sign < 0").filter(F.col("_row_id").isin([r._row_id for r in held]))
         got = added.select(*columns, "_sign").unionByName(gone.select(*columns, F.col("_sign").cast("int"))).collect()
-        plus, minus = [r[:-1] for r in got if r._sign > 0], {r._row_id for r in got if r._sign < 0}
+        plus = [tuple(r[:-1]) for r in got if r._sign > 0]
+        minus = {r._row_id for r in got if r._sign < 0}
         stay = [tuple(r) for r in held if r._row_id not in minus]
         after = self._sorted(local([*stay, *plus]).withColumn("_last", F.lit(0)).unionByName(local(held[-1:]).withColumn("_last", F.lit(1))), "_last")
         ranked = after.collect()
         ahead = next((i for i, r in enumerate(ranked) if r._last), len(ranked))
         if len(held) < self.n or ahead >= self.n:
-            result = local([r[:-1] for r in ranked if not r._last][: self.n])
+            top = [tuple(r[:-1]) for r in ranked if not r._last][: self.n]
         else:
-            result = self.at(v1)
+            top = [tuple(r) for r in self.at(v1).collect()]
+        result = local(top)
+        self.kept = (v1, result.collect())
         return consolidate(before.withColumn("_sign", F.lit(-1)).unionByName(result.withColumn("_sign", F.lit(1))))
 
     def strategy(self):
@@ -393,10 +420,23 @@ class Sql(Relation):
     def __init__(self, db: Database, text: str, names: list[str], key: list[str] | None = None):
         self.db, self.text, self.names, self.key = db, text, names, key
 
+    def _analysed(self, version: int, use):
+        """``use()`` while the tables' rows at a version stand under their names; views of the user come back after."""
+        spark = self.db.spark
+        held = {n: spark.table(n) for n in self.names if any(t.isTemporary and t.name == n for t in spark.catalog.listTables(pattern=n))}
+        try:
+            for n in self.names:
+                self.db.table(n).snapshot(version).createOrReplaceTempView(n)
+            return use()
+        finally:
+            for n in self.names:
+                if n in held:
+                    held[n].createOrReplaceTempView(n)
+                else:
+                    spark.catalog.dropTempView(n)
+
     def at(self, version):
-        for n in self.names:
-            self.db.table(n).snapshot(version).createOrReplaceTempView(n)
-        out = self.db.spark.sql(self.text)
+        out = self._analysed(version, lambda: self.db.spark.sql(self.text))  # a query is analysed at once
         return out.withColumn("_row_id", key_id(self.key or out.columns))
 
     def tables(self):
@@ -405,9 +445,8 @@ class Sql(Relation):
     def insert_only(self, rules="paper"):
         from standq.plans.prover import prove_insert_only
 
-        for n in self.names:
-            self.db.table(n).snapshot(0).createOrReplaceTempView(n)
-        got = prove_insert_only(self.db.spark, self.text, {n: self.db.metas[n].insert_only for n in self.names}, rules)
+        own = {n: self.db.metas[n].insert_only for n in self.names}
+        got = self._analysed(0, lambda: prove_insert_only(self.db.spark, self.text, own, rules))
         return got.ok, got.reason
 
 
@@ -454,7 +493,60 @@ def changes(rel: Relation, start: int = 0, end: int | None = None, format: str =
     return encode(net_changes(rel, start, end), encoding)
 
 
+CAST = re.compile(r"\s*cast\s*\((.*)\s+as\s+[\w() ,]+\)\s*", re.I | re.S)
+CALL = re.compile(r"\s*(sum|count|min|max)\s*\((.*)\)\s*", re.I | re.S)
+
+
+def plain_call(text: str) -> re.Match | None:
+    """A single aggregate that partial ones make up, maybe in a cast."""
+    inner = m[1] if (m := CAST.fullmatch(text)) and balanced(m[1]) else text
+    m = CALL.fullmatch(inner)
+    return m if m and balanced(m[2]) and not re.match(r"\s*distinct\b", m[2], re.I) else None
+
+
+def running_commits(rel: Relation, start: int, end: int) -> DataFrame | None:
+    """The net change of every commit of a grouping over rows that were only ever added, in one plan whatever the number
+    of commits: partial aggregates by key and commit, then running ones in each key. None where that is not the case."""
+    chain, node = [], rel.inputs[0] if isinstance(rel, Aggregate) and rel.aggregates else None
+    while isinstance(node, Linear):
+        chain, node = [node, *chain], node.inputs[0]
+    if not isinstance(node, Scan) or not node.table.only_inserts(end):
+        return None
+    calls = {n: plain_call(e) for n, e in rel.aggregates.items()}
+    if not all(calls.values()):
+        return None
+    rows = node.table.log_slice(0, end).select(*node.table.columns, "_row_id", F.greatest(F.col("_commit_no"), F.lit(start)).alias("_commit_no"))
+    for step in chain:
+        rows = step.map(rows)
+    kinds = {f.name: f.dataType for f in rel.at(0).schema.fields}
+    merge = {"sum": F.sum, "count": F.sum, "min": F.min, "max": F.max}
+    per = rows.groupBy(*(F.col(f"`{k}`") for k in rel.keys), "_commit_no").agg(*(F.expr(f"{m[1]}({m[2]})").alias(n) for n, m in calls.items()))
+    by = Window.partitionBy(*(F.col(f"`{k}`") for k in rel.keys)).orderBy("_commit_no")
+    sofar = by.rowsBetween(Window.unboundedPreceding, 0)
+    run = per.select(*(F.col(f"`{k}`") for k in rel.keys), "_commit_no", *(merge[m[1].lower()](F.col(f"`{n}`")).over(sofar).cast(kinds[n]).alias(n) for n, m in calls.items()))
+    values = [*rel.keys, *rel.aggregates]
+    image = F.struct(*(F.col(f"`{c}`") for c in values))
+    made = run.withColumn("_before", F.lag(image).over(by)).filter(F.col("_commit_no") > start)
+    made = made.filter(F.col("_before").isNull() | ~F.col("_before").eqNullSafe(image))
+    action = F.when(F.col("_before").isNull(), "INSERT").otherwise("UPDATE").alias("_action")
+    return made.select(
+        *(F.col(f"`{c}`") for c in values), action, key_id(rel.keys).alias("_row_id"), "_before",
+        F.lit(None).cast("timestamp_ntz").alias("_time"), "_commit_no", F.lit(0).cast("long").alias("_seq"),
+    )
+
+
+def balanced(text: str) -> bool:
+    depth = 0
+    for c in text:
+        depth += (c == "(") - (c == ")")
+        if depth < 0:
+            return False
+    return depth == 0
+
+
 def per_commit_changes(rel: Relation, start: int, end: int) -> DataFrame:
+    if isinstance(rel, Aggregate) and rel.keys and (made := running_commits(rel, start, end)) is not None:
+        return made
     out = None
     for v in range(start, end):
         if not rel.tables() & rel.db.changed(v, v + 1):
@@ -485,8 +577,9 @@ class Simplified:
 
 
 def simplify(rel: Relation) -> Simplified:
-    """CHANGES over an insert-only table may be left out: its rows are the table's."""
-    if isinstance(rel, Changes) and isinstance(rel.inputs[0], Scan) and rel.inputs[0].table.meta.insert_only:
+    """CHANGES over an insert-only table may be left out: its rows are the table's, if nothing else ever happened to them
+    and they are asked for from the beginning."""
+    if isinstance(rel, Changes) and isinstance(rel.inputs[0], Scan) and not rel.start and rel.inputs[0].table.meta.insert_only and rel.inputs[0].table.only_inserts(rel.db.version):
         return Simplified(rel.inputs[0], ["changes of an insert-only table is the table"])
     return Simplified(rel)
 

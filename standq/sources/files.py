@@ -57,7 +57,7 @@ def follow_snapshot(db: Database, name: str, rows: DataFrame, key: list[str]) ->
         *(F.when(is_new, F.col(f"n_{c}")).otherwise(F.col(f"o_{c}")).alias(c) for c in names), action.alias("_action"),
         "_row_id", F.when(was, F.struct(*(F.col(f"o_{c}").alias(c) for c in names))).alias("_before"),
     ).filter("_action is not null")
-    made = made.withColumn("_row_id", F.coalesce("_row_id", row_ids(names, key, F.lit(tx.number), F.lit(1))))
+    made = made.withColumn("_row_id", F.coalesce("_row_id", row_ids(F.lit(tx.number), F.lit(1))))
     tx.apply(name, made)
     tx.commit()
     return db.version

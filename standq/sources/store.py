@@ -14,13 +14,16 @@ that ran it, visible at once or not at all.
 
 from __future__ import annotations
 
+import json
 import uuid
 from collections.abc import Callable
 from contextlib import contextmanager
 from dataclasses import asdict, dataclass, field
+from datetime import date, datetime
+from decimal import Decimal
 from typing import Any
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -47,6 +50,22 @@ class Meta:
     purged: list[dict[str, Any]] = field(default_factory=list)
     snapshots: dict[str, str] = field(default_factory=dict)
     checks: list[str] = field(default_factory=list)
+    since: int = 0  # commits before the table was made are not its own
+
+
+#: Types of columns whose extremes each commit notes, whether they are constrained or not.
+TIMES = ("date", "timestamp", "timestamp_ntz")
+
+
+def parse_value(text: str, like: str) -> Any:
+    """A value of a manifest back from its text."""
+    if like == "date":
+        return date.fromisoformat(text)
+    if like in TIMES:
+        return datetime.fromisoformat(text)
+    if like.startswith("decimal"):
+        return Decimal(text)
+    return int(text) if like in ("tinyint", "smallint", "int", "bigint") else float(text) if like in ("float", "double") else text
 
 
 def log_schema(schema: T.StructType) -> T.StructType:
@@ -64,22 +83,40 @@ class Database:
     def __init__(self, spark: SparkSession, root: str, clock: Any = None):
         self.spark, self.root, self.clock = spark, root.rstrip("/"), clock or SystemClock()
         self.log = LogStore(spark, self.root)
-        self.metas: dict[str, Meta] = {k: Meta(**v) for k, v in (self.log.get("_catalog.json") or {}).items()}
+        self.metas: dict[str, Meta] = {}
+        self.catalog = 0
         self.manifests: list[dict[str, Any]] = []
         self.listeners: list[Callable[[dict[str, Any]], None]] = []
         self.cursors: dict[str, set[str]] = {}
         self.refresh()
 
     def refresh(self) -> int:
-        """Read manifests that came since; returns the last commit number. A fresh handle starts from the last file that
-        holds many of them together."""
+        """Read the catalog and the manifests that came since; returns the last commit number. A fresh handle starts from
+        the last file that holds many manifests together. Maxima of increasing columns follow from the manifests, so all
+        handles have the same."""
+        kept = self.log.latest("_catalog", self.catalog)
+        if kept:
+            self.catalog, tables = kept
+            self.metas = {k: Meta(**v) for k, v in tables.items()}
+        known = 0 if kept else len(self.manifests)
         if not self.manifests:
             self.manifests = self.log.get("_manifests.json") or []
-        for name in self.log.names("_manifest"):
-            if int(name.split(".")[0]) > len(self.manifests):
-                self.manifests.append(self.log.get(f"_manifest/{name}"))
+        while (m := self.log.get(f"_manifest/{len(self.manifests) + 1:020d}.json")) is not None:
+            self.manifests.append(m)
+        for m in self.manifests[known:]:
+            self._advance(m)
         return len(self.manifests)
 
+    def _advance(self, manifest: dict[str, Any]) -> None:
+        for name, entry in manifest["tables"].items():
+            meta = self.metas.get(name)
+            if meta is None or manifest["commit"] <= meta.since:
+                continue
+            for c, state in meta.increasing.items():
+                top = entry["stats"].get(c, [None, None])[1]
+                if top not in (None, "None"):
+                    Increasing.advance(state, parse_value(top, Table(self, name).schema[c].dataType.simpleString()))
+
     def gather_manifests(self) -> None:
         self.log.replace("_manifests.json", self.manifests)
 
@@ -97,7 +134,13 @@ class Database:
         return Scan(self.table(name))
 
     def save(self) -> None:
-        self.log.replace("_catalog.json", {k: asdict(v) for k, v in self.metas.items()})
+        """A new version of the catalog; fails if another session has made one meanwhile."""
+        try:
+            self.log.put(f"_catalog/{self.catalog + 1:020d}.json", {k: asdict(v) for k, v in self.metas.items()})
+        except ConcurrentCommit:
+            self.refresh()
+            raise
+        self.catalog += 1
 
     def create_table(
         self,
@@ -111,6 +154,7 @@ class Database:
         checks: list[str] | None = None,
     ) -> Table:
         """Metadata only. Names that begin with an underscore are the engine's own."""
+        self.refresh()
         if name in self.metas:
             raise StandingQueryError(f"table {name} exists")
         if isinstance(schema, str):
@@ -123,7 +167,7 @@ class Database:
             for predicate in (finalize, expire):
                 if predicate:
                     require_monotone(predicate)
-        self.metas[name] = Meta(name, schema.json(), list(key or []), insert_only, {c.column: c.state() for c in increasing or []}, finalize, expire, checks=list(checks or []))
+        self.metas[name] = Meta(name, schema.json(), list(key or []), insert_only, {c.column: c.state() for c in increasing or []}, finalize, expire, checks=list(checks or []), since=self.version)
         self.save()
         return Table(self, name)
 
@@ -143,16 +187,22 @@ class Database:
 
     @contextmanager
     def transaction(self):
-        """All statements in the block commit together; an error leaves nothing behind."""
+        """All statements in the block commit together; an error leaves nothing behind, files included."""
         tx = Transaction(self)
-        yield tx
-        tx.commit()
+        try:
+            yield tx
+            tx.commit()
+        except BaseException:
+            if not tx.done:
+                tx.abort()
+            raise
 
     def publish(self, manifest: dict[str, Any], then: Callable[[], None] | None = None) -> int:
-        """Make a commit visible, note what follows from it, and only then wake what waits for commits."""
+        """Make a commit visible, advance the maxima, and only then wake what waits for commits."""
         number = manifest["commit"]
         self.log.put(f"_manifest/{number:020d}.json", manifest)
         self.manifests.append(manifest)
+        self._advance(manifest)
         if number % GATHER == 0:
             self.gather_manifests()
         if then:
@@ -168,38 +218,34 @@ class Database:
         """
         table, base = self.table(name), self.version
         meta = table.meta
-        stamped = rows.withColumn("_n", commit_no.cast("long"))
-        place = f"{self.root}/data/{name}/{uuid.uuid4().hex}"
+        if any(st.get("by") for st in meta.increasing.values()):
+            raise StandingQueryError("histories with maxima by key are loaded by transactions")
+        place = f"{self.root}/data/{name}/ins-{uuid.uuid4().hex}"
         own = [F.col(f"`{c}`") for c in table.columns]
         now = F.lit(self.clock.now()).cast("timestamp_ntz")
-        made = stamped.select(
-            *own, F.lit("INSERT").alias("_action"), row_ids(table.columns, meta.key, F.col("_n") + base, F.lit(0)).alias("_row_id"),
-            F.lit(None).cast(table.schema).alias("_before"), now.alias("_time"), (F.col("_n") + base).alias("_commit_no"),
-            F.lit(0).cast("long").alias("_seq"), F.col("_n").alias("part"),
-        )
-        made.repartition("part", F.pmod(F.xxhash64("_row_id"), F.lit(32))).write.partitionBy("part").parquet(place)
+        # files of a commit as large as Spark's advisory size says, whatever the number of its rows
+        dealt = rows.select(*own, commit_no.cast("long").alias("_n")).hint("rebalance", "_n")
+        dealt.select(
+            *own, F.lit("INSERT").alias("_action"), row_ids(F.col("_n") + base, F.lit(0)).alias("_row_id"), F.lit(None).cast(table.schema).alias("_before"),
+            now.alias("_time"), (F.col("_n") + base).alias("_commit_no"), F.lit(0).cast("long").alias("_seq"), F.col("_n").alias("part"),
+        ).write.partitionBy("part").parquet(place)
         written = self.spark.read.parquet(place)
-        if any(s.get("by") for s in meta.increasing.values()):
-            raise StandingQueryError("histories with maxima by key are loaded by transactions")
-        tracked = [*meta.increasing]
-        stats = written.groupBy("part").agg(F.count("*").alias("n"), *(f(F.col(f"`{c}`")).alias(f"{k}_{c}") for c in tracked for k, f in (("min", F.min), ("max", F.max)))).orderBy("part").collect()
+        tracked = table.noted()
+        measures = [f(F.col(f"`{c}`")).cast("string").alias(f"{k}_{c}") for c in tracked for k, f in (("min", F.min), ("max", F.max))]
+        stats = written.groupBy("part").agg(F.count("*").alias("n"), *measures).orderBy("part").collect()  # one row a commit
         out = []
         for r in stats:
-            for c in tracked:
-                check_increasing(meta.increasing[c], r[f"min_{c}"], c)
+            for c in meta.increasing:
+                low = r[f"min_{c}"]
+                check_increasing(meta.increasing[c], None if low is None else parse_value(low, table.schema[c].dataType.simpleString()), c)
             entry = {"files": [f"{place}/part={r.part}"], "inserts": r.n, "updates": 0, "deletes": 0, "stats": {c: [str(r[f"min_{c}"]), str(r[f"max_{c}"])] for c in tracked}}
-            for c in tracked:
-                Increasing.advance(meta.increasing[c], r[f"max_{c}"])
             out.append(self.publish({"commit": self.version + 1, "time": self.clock.now(), "tables": {name: entry}, "bookmarks": {}}))
-        self.save()
         return out
 
 
-def row_ids(columns: list[str], key: list[str], commit: Column, seq: Column) -> Column:
-    """Key and commit of the insert, or the row's place in its job: both unique and never used again."""
-    if key:
-        parts = [F.coalesce(F.col(f"`{c}`").cast("string"), F.lit("\x00")) for c in key]
-        return F.sha2(F.concat_ws("\x1f", *parts, commit.cast("string"), seq.cast("string")), 256)
+def row_ids(commit: Column, seq: Column) -> Column:
+    """Commit, statement and the row's place in the job that writes it: unique and never used again, whatever the row
+    holds, so rows of one key stay apart."""
     return F.concat_ws("-", commit.cast("string"), seq.cast("string"), F.monotonically_increasing_id().cast("string"))
 
 
@@ -215,15 +261,19 @@ class Table:
 
     @property
     def schema(self) -> T.StructType:
-        import json
-
         return T.StructType.fromJson(json.loads(self.meta.schema))
 
     @property
     def columns(self) -> list[str]:
         return self.schema.fieldNames()
 
+    def noted(self) -> list[str]:
+        """Columns whose extremes each commit notes: constrained ones and times."""
+        times = [f.name for f in self.schema.fields if f.dataType.simpleString() in TIMES]
+        return list(dict.fromkeys([*(c for c, s in self.meta.increasing.items() if s["enabled"]), *times]))
+
     def files(self, after: int, upto: int) -> list[str]:
+        after = max(after, self.meta.since)
         return list(dict.fromkeys(f for m in self.db.manifests[after:upto] for f in m["tables"].get(self.name, {}).get("files", [])))
 
     def log_slice(self, after: int = 0, upto: int | None = None) -> DataFrame:
@@ -252,25 +302,40 @@ class Table:
         self.db.gather_manifests()
         return n
 
-    def only_inserts(self, upto: int) -> bool:
-        return not any(m["tables"].get(self.name, {}).get("updates") or m["tables"].get(self.name, {}).get("deletes") for m in self.db.manifests[:upto])
+    def only_inserts(self, upto: int, after: int = 0) -> bool:
+        """Whether the commits (after, upto] added rows and did nothing else."""
+        own = (m["tables"].get(self.name, {}) for m in self.db.manifests[max(after, self.meta.since) : upto])
+        return not any(e.get("updates") or e.get("deletes") for e in own)
 
     def snapshot(self, version: int | None = None, pending: list[str] | None = None, with_id: bool = False) -> DataFrame:
-        """Rows at a version. A history of inserts alone is a plain scan; else the last record of each row counts, and
-        the newest folded snapshot stands for the log before it."""
+        """Rows at a version.
+
+        Files of fresh rows (and the newest folded snapshot) are scanned as they are, less the rows that updates and
+        deletes name; of those the last record counts. So only records of changes are grouped, and inserted rows move
+        only if the changes are too many for a broadcast.
+        """
         upto = self.db.version if version is None else version
         names = [*self.columns, *(["_row_id"] if with_id else [])]
+        kind, spark = log_schema(self.schema), self.db.spark
         folded = max((int(v) for v in self.meta.snapshots if int(v) <= upto), default=0)
         if not pending and not folded and self.only_inserts(upto):
             return self.log_slice(0, upto).select(*(F.col(f"`{c}`") for c in names))
-        log = self.log_slice(folded, upto)
-        if folded:
-            log = log.unionByName(self.db.spark.read.schema(log_schema(self.schema)).parquet(self.meta.snapshots[str(folded)]))
-        for path in pending or []:
-            log = log.unionByName(self.db.spark.read.schema(log_schema(self.schema)).parquet(path))
+        files = [*self.files(folded, upto), *(pending or [])]
+        fresh, changed = [f for f in files if "/ins-" in f], [f for f in files if "/ins-" not in f]
+        fresh += [self.meta.snapshots[str(folded)]] if folded else []
+        log = spark.read.schema(kind).parquet(*changed) if changed else None
+        if log is not None and any(m["tables"].get(self.name, {}).get("merged") for m in self.db.manifests[folded:upto]):
+            log = log.filter(F.col("_commit_no").between(folded + 1, upto + bool(pending)))
+        own = [F.col(f"`{c}`") for c in names]
+        base = spark.read.schema(kind).parquet(*fresh).select(*(F.col(f"`{c}`") for c in self.columns), "_row_id") if fresh else None
+        if log is None:
+            return (base if base is not None else spark.createDataFrame([], kind)).select(*own)
         row = F.struct(*(F.col(f"`{c}`") for c in self.columns), "_action")
         last = log.groupBy("_row_id").agg(F.max_by(row, F.struct("_commit_no", "_seq")).alias("r"))
-        return last.filter("r._action <> 'DELETE'").select("r.*", "_row_id").select(*(F.col(f"`{c}`") for c in names))
+        last = last.filter("r._action <> 'DELETE'").select("r.*", "_row_id").select(*own)
+        if base is None:
+            return last
+        return base.join(log.select("_row_id"), "_row_id", "left_anti").select(*own).unionByName(last)
 
     def checkpoint(self) -> int:
         """Fold the log up to now into a snapshot, dealt by row id; later reads start from it."""
@@ -287,6 +352,7 @@ class Table:
         return version
 
     def set_insert_only(self, on: bool) -> None:
+        """Before the declaration the history may hold updates and deletes; readers test the slice they read."""
         if not on:
             self.db.require_no_cursor(self.name)
         self.meta.insert_only = on
@@ -351,8 +417,9 @@ class Transaction:
         self.entries: dict[str, dict[str, Any]] = {}
         self.bookmarks: dict[str, int] = {}
         self.deferred: list[Callable[[], None]] = []
-        self.top: dict[tuple[str, str], Any] = {}
         self.seq = 0
+        self.staged: list[str] = []
+        self.done = False
         self.started = {n: {c: dict(s) for c, s in m.increasing.items()} for n, m in db.metas.items()}
 
     def _entry(self, name: str) -> dict[str, Any]:
@@ -361,29 +428,46 @@ class Transaction:
     def snapshot(self, name: str, with_id: bool = False) -> DataFrame:
         return self.db.table(name).snapshot(self.number - 1, self.entries.get(name, {}).get("files"), with_id)
 
-    def _stage(self, name: str, changes: DataFrame, kind: str) -> int:
-        """Write change records; counts and extremes of constrained columns come from the same job."""
+    def _drop(self, path: str) -> None:
+        self.staged.remove(path)
+        self.db.log.delete(path.removeprefix(self.db.root + "/"))
+
+    def abort(self) -> None:
+        """Delete what was staged."""
+        for path in list(self.staged):
+            self._drop(path)
+
+    def _stage(self, name: str, changes: DataFrame, kind: str, fresh: bool = False) -> int:
+        """Write change records; counts and extremes of times and constrained columns come from the same job. ``fresh``:
+        inserts alone, with row ids that no other record has. A statement without rows leaves nothing."""
         table = self.db.table(name)
         meta, entry = table.meta, self._entry(name)
         self.seq += 1
-        path = f"{self.db.root}/data/{name}/{uuid.uuid4().hex}"
-        tracked = [c for c, s in meta.increasing.items() if s["enabled"]]
+        path = f"{self.db.root}/data/{name}/{'ins-' if fresh else ''}{uuid.uuid4().hex}"
+        self.staged.append(path)
+        tracked, noted = [c for c, s in meta.increasing.items() if s["enabled"]], table.noted()
         made = changes.withColumn("_time", F.lit(self.db.clock.now()).cast("timestamp_ntz")).withColumn("_commit_no", F.lit(self.number).cast("long"))
         made = made.withColumn("_seq", F.lit(self.seq).cast("long")).select(*(F.col(f"`{c}`") for c in log_schema(table.schema).fieldNames()))
         touched = F.col("_action") == "DELETE"
-        measures = [F.count("*").alias("n")]
-        for c in tracked:
-            new = F.when(~touched, F.col(f"`{c}`"))
-            measures += [F.min(F.least(F.col(f"`{c}`"), F.col("_before")[c])).alias(f"min_{c}"), F.max(new).alias(f"max_{c}"), F.sum(F.col(f"`{c}`").isNull().cast("long")).alias(f"null_{c}")]
+        # counts and extremes come from the job that writes; extremes as text, which keeps every digit
+        measures = [F.count(F.lit(1)).alias("n")]
+        for c in noted:
+            new, low = F.when(~touched, F.col(f"`{c}`")), F.least(F.col(f"`{c}`"), F.col("_before")[c])
+            measures += [F.min(low).cast("string").alias(f"min_{c}"), F.max(new).cast("string").alias(f"max_{c}"), F.sum(F.col(f"`{c}`").isNull().cast("long")).alias(f"null_{c}")]
         for k, check in enumerate(meta.checks):
             measures.append(F.sum((~touched & (~F.expr(check))).cast("long")).alias(f"check_{k}"))
         if meta.finalize:
             final = F.expr(meta.finalize)
             own = F.coalesce(final, F.lit(False))
             measures.append(F.sum(own.cast("long")).alias("final_new"))
-        made.write.parquet(path)
+        observed = Observation()
+        made.observe(observed, *measures).write.parquet(path)
+        seen = observed.get
+        if not seen.get("n"):
+            self._drop(path)
+            return 0
+        value = lambda kind, c: None if seen[f"{kind}_{c}"] is None else parse_value(seen[f"{kind}_{c}"], table.schema[c].dataType.simpleString())
         written = self.db.spark.read.schema(log_schema(table.schema)).parquet(path)
-        seen = written.agg(*measures).first()  # from the few columns it names
         if meta.finalize and kind != "INSERT":
             before = written.select("_before.*").filter(F.expr(meta.finalize)).limit(1)
             if not before.isEmpty():
@@ -402,15 +486,17 @@ class Transaction:
                 continue
             # a row of this transaction may change again: the maximum is that at its start
             start = self.started[name][c]
-            test = lambda least=seen[f"min_{c}"], start=start, c=c: check_increasing(start, least, c)
+            test = lambda least=value("min", c), start=start, c=c: check_increasing(start, least, c)
             if state.get("timing") == "deferred":
                 self.deferred.append(test)
             else:
                 test()
-            if seen[f"max_{c}"] is not None:
-                at = self.top.get((name, c))
-                self.top[(name, c)] = seen[f"max_{c}"] if at is None else max(at, seen[f"max_{c}"])
-                entry["stats"][c] = [str(seen[f"min_{c}"]), str(seen[f"max_{c}"])]
+        for c in noted:
+            if (top := value("max", c)) is not None:
+                low, at = value("min", c), entry["stats"].get(c)
+                like = table.schema[c].dataType.simpleString()
+                low, top = (low, top) if at is None else (min(low, parse_value(at[0], like)), max(top, parse_value(at[1], like)))
+                entry["stats"][c] = [str(low), str(top)]
         entry["files"].append(path)
         entry[{"INSERT": "inserts", "UPDATE": "updates", "DELETE": "deletes"}[kind]] += seen["n"]
         return seen["n"]
@@ -431,10 +517,10 @@ class Transaction:
         if late:
             own = late.split(self, table, own)
         made = own.select(
-            "*", F.lit("INSERT").alias("_action"), row_ids(table.columns, table.meta.key, F.lit(self.number), F.lit(self.seq + 1)).alias("_row_id"),
+            "*", F.lit("INSERT").alias("_action"), row_ids(F.lit(self.number), F.lit(self.seq + 1)).alias("_row_id"),
             F.lit(None).cast(table.schema).alias("_before"),
         )
-        return self._stage(name, made, "INSERT")
+        return self._stage(name, made, "INSERT", fresh=True)
 
     def _forbid(self, name: str, what: str) -> None:
         if self.db.metas[name].insert_only:
@@ -472,11 +558,10 @@ class Transaction:
             return None
         if self.db.refresh() + 1 != self.number:
             raise ConcurrentCommit(f"commit {self.number} is taken")
+        manifest = {"commit": self.number, "time": self.db.clock.now(), "tables": self.entries, "bookmarks": self.bookmarks}
 
-        def settle() -> None:
-            for (name, c), top in self.top.items():
-                Increasing.advance(self.db.metas[name].increasing[c], top)
-            self.db.save()
+        def visible() -> None:
+            self.done = True
 
-        self.db.publish({"commit": self.number, "time": self.db.clock.now(), "tables": self.entries, "bookmarks": self.bookmarks}, settle)
+        self.db.publish(manifest, visible)
         return self.number

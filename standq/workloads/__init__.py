@@ -4,7 +4,7 @@ from __future__ import annotations
 
 
 def queries():
-    from standq.workloads import flows, guards, sources, tasks  # noqa: F401
+    from standq.workloads import cases, flows, guards, sources, tasks  # noqa: F401
     from standq.workloads.registry import QUERIES
 
     return QUERIES
