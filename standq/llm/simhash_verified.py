@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import annotate, free, ship, staged, texts
-from .components import components
+from .components import components, unite
 from .simhash import Plan, bit_statistics, cut_hot, plan_groups, signed, typed
 
 #: Words of a fingerprint, and the differing bits that candidates may have.
@@ -38,8 +38,8 @@ GROUPS = (4, 5, 6, 7, 8, 9, 10, 12, 14, 16)
 BLOCK, ROWS = 65_536, 400_000
 #: What a probe of a table costs, in comparisons of two fingerprints.
 PROBE = 1.5
-#: Partners of a class that are checked at first; the others only where those did not connect them.
-PARTNERS = 8
+#: Partners of a class in a bucket that are checked at first; the others only where those did not connect them.
+PARTNERS = 2
 #: Rows up to which a table of identifiers is broadcast; texts held at once to compare pairs of them.
 FEW, TILE = 1_000_000, 512
 
@@ -281,37 +281,46 @@ def other_pairs(rows: DataFrame, plan: Plan, n: int) -> DataFrame:
 
 
 def verified(pairs: DataFrame, slim: DataFrame, classes: DataFrame, words: int, s: Fraction) -> DataFrame:
-    """The pairs of classes whose whole sets have similarity ``s`` or more.
+    """Links that connect what the pairs of classes with similarity ``s`` or more of their whole sets connect: a star to
+    one class of each connected set of a task, so a task gives no more links than it holds classes.
 
-    Texts move once to where the pairs of their group are compared, and once for each tile of a group beyond ``TILE``.
+    Pairs are dealt by the least class that their first one is paired with, which is mostly the same in a group of near
+    copies; so texts move about once to where they are compared, and once for each tile of a group beyond ``TILE``.
     """
     pairs = staged(pairs, "pairs")
-    group = components(pairs)
-    tiles = group.groupBy("root").agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles"))
-    own = F.pmod(F.xxhash64("node"), F.col("tiles")).cast("int").alias("own")
-    rids = classes.select(F.col("key").alias("node"), F.col("least.rid").alias("rid"))
-    ends = staged(group.join(tiles, "root").join(rids, "node").select(F.col("node").alias("key"), "root", "tiles", own, "rid"), "ends")
+    both = pairs.union(pairs.select("b", "a"))
+    center = both.groupBy("a").agg(F.min("b").alias("c")).select("a", F.least("a", "c").alias("g"))
+    grouped = staged(pairs.join(center, "a").select("g", "a", "b"), "grouped")
+    ends = grouped.select("g", F.explode(F.array("a", "b")).alias("key")).distinct()
+    tiles = staged(ends.groupBy("g").agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles")), "tiles")
+    rids = classes.select("key", F.col("least.rid").alias("rid"))
+    ends = staged(ends.join(tiles, "g").join(rids, "key").select("g", "key", "rid", "tiles"), "ends")
     bundles = F.lit(max(1, ends.count() // TILE))
+    own = lambda c: F.pmod(F.xxhash64(c), F.col("tiles")).cast("int")
 
     def at(x, y):
-        tile = F.xxhash64(F.col("root"), F.least(x, y), F.greatest(x, y))
-        return F.when(F.col("tiles") == 1, F.pmod(F.xxhash64("root"), bundles)).otherwise(tile)
+        tile = F.xxhash64(F.col("g"), F.least(x, y), F.greatest(x, y))
+        return F.when(F.col("tiles") == 1, F.pmod(F.xxhash64("g"), bundles)).otherwise(tile)
 
     sets = slim.drop("key").join(few(ends), "rid")
-    sets = sets.withColumn("at", F.explode(F.transform(F.sequence(F.lit(0), F.col("tiles") - 1), lambda j: at(F.col("own"), j)))).select("at", "key", "text")
-    one, two = (ends.select(F.col("key").alias(c), *more, F.col("own").alias(f"o{c}")) for c, more in (("a", ["root", "tiles"]), ("b", [])))
-    asked = pairs.join(one, "a").join(two, "b").select(at(F.col("oa"), F.col("ob")).alias("at"), "a", "b")
+    sets = sets.withColumn("at", F.explode(F.transform(F.sequence(F.lit(0), F.col("tiles") - 1), lambda j: at(own("key"), j)))).select("at", "key", "text")
+    asked = grouped.join(tiles, "g").select(at(own("a"), own("b")).alias("at"), "a", "b")
 
     def run(asked: pa.Table, sets: pa.Table) -> pa.Table:
-        held = {k: shingles(t or "", words) for k, t in zip(sets.column("key").to_pylist(), sets.column("text").to_pylist(), strict=True)}
-        a, b = asked.column("a").to_pylist(), asked.column("b").to_pylist()
+        keys = np.array(sets.column("key").to_pylist(), np.int64)
+        held = [shingles(t or "", words) for t in sets.column("text").to_pylist()]
+        by = np.argsort(keys, kind="stable")
+        a, b = (by[np.searchsorted(keys, asked.column(c).to_numpy(), sorter=by)] for c in ("a", "b"))
         ok = np.zeros(len(a), bool)
-        for k in range(len(a)):
-            x, y = held[a[k]], held[b[k]]
+        for k, (i, j) in enumerate(zip(a.tolist(), b.tolist(), strict=True)):
+            x, y = held[i], held[j]
             if min(len(x), len(y)) * s.denominator >= s.numerator * max(len(x), len(y)):
                 both = len(np.intersect1d(x, y, assume_unique=True))
                 ok[k] = both * s.denominator >= s.numerator * (len(x) + len(y) - both)
-        return pa.table({"a": np.array(a, np.int64)[ok], "b": np.array(b, np.int64)[ok]})
+        labels = np.arange(len(keys))
+        unite(labels, a[ok], b[ok])
+        own = np.flatnonzero(labels != np.arange(len(keys)))
+        return pa.table({"a": keys[own], "b": keys[labels[own]]})
 
     return asked.groupBy("at").cogroup(sets.groupBy("at")).applyInArrow(run, "a long, b long")
 
