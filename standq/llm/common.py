@@ -54,6 +54,24 @@ def drop_staged(df: DataFrame) -> None:
             path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+#: Rows of one key beyond which a join deals them to several tasks.
+HOT = 200_000
+
+
+def join_hot(left: DataFrame, right: DataFrame, key: str, n: str, hot: int | None = None) -> DataFrame:
+    """Inner join on ``key``, which is unique on the right, where ``n`` tells how many rows of the left have it. Rows of a
+    key with more than ``hot`` are dealt to as many tasks as that takes; its right row goes to each of them."""
+    hot = hot or HOT
+    many = F.ceil(F.col(n) / hot).cast("int")
+    keys = staged(right.filter(F.col(n) > hot).select(key, many.alias("_deal")), "hot")
+    if keys.isEmpty():
+        return left.join(right, key)
+    few = F.broadcast(keys) if keys.count() <= 100_000 else keys  # at most one for every ``hot`` rows of the left
+    dealt = left.join(few, key, "left").withColumn("_part", F.coalesce(F.pmod(F.monotonically_increasing_id(), F.col("_deal")), F.lit(0)).cast("int"))
+    spread = right.withColumn("_part", F.explode(F.sequence(F.lit(0), F.greatest(many, F.lit(1)) - 1)))
+    return dealt.drop("_deal").join(spread, [key, "_part"]).drop("_part")
+
+
 def annotate(
     df: DataFrame,
     fn: Callable[[], Callable[[pa.RecordBatch], dict[str, list]]],

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import annotate, free, ship, staged, texts
+from .common import annotate, free, join_hot, ship, staged, texts
 from .components import components, unite
 
 BITS = 64
@@ -313,12 +313,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     ship(spark)
     own = docs.select(F.col(f"`{id_col}`").alias("doc"), F.col(f"`{text_col}`").alias("text"))
     own = staged(with_fingerprints(own, "text", "fp", ["doc"]), "prints")
-    prints = staged(own.groupBy("fp").agg(F.min("doc").alias("least")), "distinct")
+    prints = staged(own.groupBy("fp").agg(F.min("doc").alias("least"), F.count("*").alias("n")), "distinct")
     classes = fingerprint_classes(prints, tau)
     whole = prints.join(classes, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     least = whole.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = staged(whole.join(least, "root").select("fp", "component_id"), "components")
-    return own.join(named, "fp").select(F.col("doc").alias(id_col), "fp", "component_id")
+    named = staged(whole.join(least, "root").select("fp", "component_id", "n"), "components")
+    return join_hot(own, named, "fp", "n").select(F.col("doc").alias(id_col), "fp", "component_id")
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tau: int = 4) -> DataFrame:
