@@ -16,12 +16,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ship, staged
+from .common import join_hot, ship, staged
 from .components import components, unite
 from .simhash import typed
 
-#: Rows of a tile: a sixteenth of all, so that there is work for many tasks, between these bounds.
-LEAST_TILE, TILE = 1024, 8192
+#: Rows of a tile: a sixth of all, so that there is work for some twenty tasks and a row moves some six times, between
+#: the least that is worth a task and what takes so many bytes in double precision.
+LEAST_TILE, TILE_BYTES = 1024, 32 << 20
 LEADING = 16
 #: Room for rounding: bounds in single precision, and products that are decided again on the vectors as given.
 SLACK, CLOSE = 1e-4, 1e-9
@@ -142,7 +143,8 @@ def tiled(classes: DataFrame, axes: np.ndarray, count: int, reach: float, tile:
     placed = placed.withColumn("strip", strip)
     sizes = placed.groupBy("strip").agg(F.count("*").alias("rows"))
     split = F.pmod(F.xxhash64("cid"), F.greatest(F.lit(1), F.ceil(F.col("rows") / tile)))
-    tiles = placed.join(F.broadcast(sizes), "strip").withColumn("tile", F.col("strip").cast("long") * 1_000_000 + split)
+    sizes = staged(sizes, "strips")  # a row a strip, and there are about as many strips as tiles
+    tiles = placed.join(F.broadcast(sizes) if parts <= 1_000_000 else sizes, "strip").withColumn("tile", F.col("strip").cast("long") * 1_000_000 + split)
     tiles = staged(tiles.select("tile", "cid", "n", "vec", "x"), "tiles")
     boxes = staged(tiles.groupBy("tile").agg(F.min("x").alias("lo"), F.max("x").alias("hi")), "boxes")
     cell = lambda c: F.floor(c / reach)
@@ -174,7 +176,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.9, id_col: str = "v
     for r in classes.groupBy(F.size("vec").alias("dim")).agg(F.count("*").alias("n")).collect():  # one row a vector length
         part = classes.filter(F.size("vec") == r.dim)
         axes = principal_axes(part, r.dim)
-        size = tile or min(TILE, max(LEAST_TILE, -(-r.n // 16)))
+        size = tile or min(max(LEAST_TILE, TILE_BYTES // (8 * r.dim)), max(LEAST_TILE, -(-r.n // 6)))
         links = tile_links(*tiled(part, axes, r.n, reach, size), axes, threshold)
         found = links if found is None else found.unionByName(links)
     if found is None:
@@ -183,10 +185,10 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.9, id_col: str = "v
     counts = found.groupBy("cid").agg(F.sum("links").alias("links"))
     joined = components(found.select(F.col("cid").alias("a"), F.col("root").alias("b"))).select(F.col("node").alias("cid"), "root")
     whole = classes.join(counts, "cid", "left").join(joined, "cid", "left").withColumn("root", F.coalesce("root", "cid"))
-    whole = staged(whole.select("vec", "least", "root", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links")), "whole")
+    whole = staged(whole.select("vec", "n", "least", "root", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links")), "whole")
     least = whole.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = whole.join(least, "root").select("vec", "n_links", "component_id")
-    linked = own.join(named, "vec").select("id", "n_links", "component_id")
+    named = staged(whole.join(least, "root").select("vec", "n", "n_links", "component_id"), "named")
+    linked = join_hot(own, named, "vec", "n").select("id", "n_links", "component_id")
     alone = rows.filter(~F.col("good")).select("id", F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"))
     out = linked.unionByName(alone).withColumn("kept", F.coalesce(F.col("id") == F.col("component_id"), F.lit(False)))
     return out.withColumnRenamed("id", id_col)
