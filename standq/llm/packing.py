@@ -16,10 +16,12 @@ from .simhash import typed
 from .tokens import public_path, tokenizer
 
 CAPACITY = 2048
-#: Pieces packed together in one task (some 30 MB of Python objects); more pieces make more groups.
-GROUP = 40_000
+#: Pieces packed together in one task; more pieces make more groups. The search takes more than in proportion to it.
+GROUP = 10_000
 #: Bins that a round of the local search tries to empty.
 EMPTIEST = 50
+#: Rounds without an emptied bin after which the search ends.
+IDLE = 3
 
 
 class Reach:
@@ -98,16 +100,17 @@ def improve(bins: Bins, sizes: list[int]) -> None:
 
     A move puts an item where it fits; a one-for-one exchange gives a larger item for a smaller one; a two-for-one
     exchange gives one item for two. Each is made only if it raises the sum of squared fill, so what is left in the
-    emptiest bin shrinks until the bin is empty. A round takes the ``EMPTIEST`` bins with most room; one that empties no
-    bin ends the search, and so does the least number of bins that the total needs. Every bin with room is a partner.
+    emptiest bin shrinks until the bin is empty. A round takes the ``EMPTIEST`` bins with most room; one that changes
+    nothing, or ``IDLE`` in a row that empty none, ends the search, and so does the least number of bins that the total
+    needs. Every bin with room is a partner.
     """
     cap, items, room = bins.capacity, bins.items, bins.room
     least = -(-sum(sizes) // cap)
     left = sum(1 for b in items if b)
-    reach = Reach(bins, sizes) if left > least else None
+    reach, idle = Reach(bins, sizes) if left > least else None, 0
     while left > least:
         order = sorted((b for b in range(len(items)) if items[b] and room[b]), key=lambda b: -room[b])
-        emptied = 0
+        emptied, gained = 0, False
         for source in order[:EMPTIEST]:
             changed = True
             while items[source] and changed:
@@ -145,9 +148,11 @@ def improve(bins: Bins, sizes: list[int]) -> None:
                             reach.update(target)
                             reach.update(source)
                             changed = True
+                gained |= changed
             emptied += not items[source]
         left -= emptied
-        if not emptied:
+        idle = 0 if emptied else idle + 1
+        if not gained or idle == IDLE:
             return
 
 
