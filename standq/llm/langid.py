@@ -10,11 +10,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import annotate, ship, texts
+from .common import annotate, ship, staged, texts
 from .quality_mil import fold
+from .simhash import typed
 
 #: Hashed n-gram classes; documents that training reads at most in all and of one language; centroids of a language.
 DIM, TRAIN_ALL, TRAIN_EACH, CENTROIDS = 2048, 6000, 1200, 4
+#: Documents that every language has in the sample at least (all, if it has fewer).
+TRAIN_LEAST = 6
 LETTER = re.compile(r"[^\W\d_]")
 #: ASCII letters and bytes of non-ASCII characters stay, all else is a blank.
 TABLE = bytes(b if 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -55,9 +58,11 @@ class Centroids:
         return normal(np.log1p(counts) * idf).astype(np.float32)
 
     @classmethod
-    def fit(cls, counts: np.ndarray, langs: list[str]) -> Centroids:
-        seen = (counts > 0).sum(axis=0)
-        idf = np.log((1 + len(counts)) / (1 + seen)) + 0.2
+    def fit(cls, counts: np.ndarray, langs: list[str], seen: np.ndarray | None = None, n: int = 0) -> Centroids:
+        """``seen``: in how many of ``n`` documents each n-gram class occurs; by default in those of ``counts``."""
+        if seen is None:
+            seen, n = (counts > 0).sum(axis=0), len(counts)
+        idf = np.log((1 + n) / (1 + seen)) + 0.2
         x, names, owners, centers, least = cls.vectors(counts, idf), sorted(set(langs)), [], [], []
         for i, name in enumerate(names):
             own = x[[k for k, v in enumerate(langs) if v == name]]
@@ -79,25 +84,67 @@ class Centroids:
 
 
 def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Centroids:
-    """Fit on documents with a language outside the held-out quarter. Every language gives about the same number, at most
-    about ``TRAIN_EACH``, and all about ``TRAIN_ALL``, chosen by hash of identifier."""
+    """Fit on documents with a language outside the held-out quarter.
+
+    Centroids come from a sample: of every language about the same number of documents, at most about ``TRAIN_EACH``, and
+    all about ``TRAIN_ALL``, but never less than ``TRAIN_LEAST`` of one; chosen by hash of identifier and text. So with
+    very many languages the sample grows with their number, and no language is left out. Document frequencies are counted
+    over all learnable documents.
+    """
     known = docs.select(F.col(f"`{id_col}`").alias("k"), F.col(f"`{text_col}`").alias("t"), F.col(f"`{lang_col}`").alias("lang"))
     known = known.filter(F.col("lang").isNotNull() & F.col("t").isNotNull() & (F.coalesce(fold("k", 4), F.lit(0)) != 2))
-    sizes = {r.lang: r.n for r in known.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(1000).collect()}
-    each = min(TRAIN_EACH, TRAIN_ALL // max(len(sizes), 1))
-    share = F.create_map(*(F.lit(x) for lang, n in sizes.items() for x in (lang, min(1.0, each / n)))) if sizes else F.lit(None)
-    if not sizes:
+    sizes = known.groupBy("lang").agg(F.count("*").alias("n"))
+    many = sizes.count()
+    if not many:
         return Centroids.fit(np.zeros((0, DIM)), [])
+    each = max(TRAIN_LEAST, min(TRAIN_EACH, TRAIN_ALL // many))
     place = F.pmod(F.xxhash64("k", "t"), F.lit(1_000_003)) / 1_000_003.0
-    chosen = known.filter(place < share[F.col("lang")]).filter(F.octet_length("t") <= 1 << 20)
-
-    def start():
-        return lambda batch: {"c": [np.minimum(grams(t), 65535).astype("<u2").tobytes() for t in texts(batch, "t")]}
-
-    got = annotate(chosen, start, [T.StructField("c", T.BinaryType())], ["t"], ["k", "lang"]).collect()
-    got.sort(key=lambda r: (r.lang, str(r.k), bytes(r.c)))
-    counts = np.array([np.frombuffer(bytes(r.c), "<u2") for r in got]).reshape(-1, DIM)
-    return Centroids.fit(counts, [r.lang for r in got])
+    share = F.least(F.lit(1.0), F.lit(float(each)) / F.col("n"))
+    own = known.join(F.broadcast(sizes) if many <= 100_000 else sizes, "lang").withColumn("chosen", place < share)
+
+    def run(batches):
+        seen, n = np.zeros(DIM, np.int64), 0
+        for batch in batches:
+            out: dict[str, list] = {"lang": [], "k": [], "c": []}
+            for k, t, lang, chosen in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                counts = grams(t)
+                seen += counts > 0
+                n += 1
+                if chosen:
+                    out["lang"].append(lang)
+                    out["k"].append(k)
+                    out["c"].append(np.minimum(counts, 65535).astype("<u2").tobytes())
+            if out["lang"]:
+                yield pa.RecordBatch.from_pydict({**out, "n": [0] * len(out["k"])})
+        if n:  # frequencies of the task, on a row without a language
+            yield pa.RecordBatch.from_pydict({"lang": [None], "k": [None], "c": [seen.astype("<u8").tobytes()], "n": [n]})
+
+    kinds = "lang string, k string, c binary, n long"
+    got = own.select(F.col("k").cast("string"), "t", "lang", "chosen").mapInArrow(typed(run, kinds), kinds)
+    made = staged(got, "grams")
+    counted = np.zeros(DIM, np.int64)
+    cells = made.filter("lang is null").select("n", "c")
+
+    def add(batches):
+        total, n = np.zeros(DIM, np.int64), 0
+        for batch in batches:
+            for m, c in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                total, n = total + np.frombuffer(c, "<u8").astype(np.int64), n + m
+        if n:
+            yield pa.RecordBatch.from_pydict({"n": [n], "c": [total.tobytes()]})
+
+    few = cells.repartition(max(1, min(64, spark_partitions(cells) // 16))).mapInArrow(typed(add, "n long, c binary"), "n long, c binary").collect()  # 64 rows at most
+    n = sum(r.n for r in few)
+    for r in few:
+        counted += np.frombuffer(bytes(r.c), np.int64)
+    rows = made.filter("lang is not null").select("lang", "k", "c").collect()  # at most ``each`` documents a language
+    rows.sort(key=lambda r: (r.lang, str(r.k), bytes(r.c)))
+    counts = np.array([np.frombuffer(bytes(r.c), "<u2") for r in rows]).reshape(-1, DIM)
+    return Centroids.fit(counts, [r.lang for r in rows], counted, n)
+
+
+def spark_partitions(df: DataFrame) -> int:
+    return len(df.inputFiles())
 
 
 FOUND = [
