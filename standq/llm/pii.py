@@ -18,7 +18,8 @@ from pyspark.sql import types as T
 
 from .common import annotate, free, ship, staged, texts
 
-KINDS = ("email", "ip", "card", "phone")
+#: The first four have base patterns; secrets (access tokens, keys) are only ever candidates.
+KINDS = ("email", "ip", "card", "phone", "secret")
 
 # Fixed patterns of the base.
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -35,6 +36,9 @@ SPELT_EMAIL = re.compile(
 )
 LOCAL_PHONE = re.compile(r"(?<![0-9+.-])(?:\([0-9]{3}\)|[0-9]{3})[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9])")
 IP6 = re.compile(r"(?<![0-9A-Fa-f:])(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}(?![0-9A-Fa-f:])")
+#: A long unbroken value; digits and letters must both be in it.
+SECRET = re.compile(r"(?<![A-Za-z0-9_/+.@-])(?:[A-Za-z]{2,10}[_-])?[A-Za-z0-9_-]{20,200}(?![A-Za-z0-9_/+@-])")
+HEXES = re.compile(r"[0-9a-f]+|[0-9A-F]+")
 
 # Gazetteers and context words.
 ENDINGS = frozenset("com org net edu gov mil int info biz io ai co uk de fr es it nl eu ch at be pl ru cn jp in br us ca au se no fi dk pt cz ie".split())
@@ -44,7 +48,10 @@ CUES = {
     "ip": frozenset("ip address host server from login client adresse dirección".split()),
     "card": frozenset("card visa mastercard amex credit debit payment pan karte carte tarjeta".split()),
     "phone": frozenset("phone tel telephone call fax mobile cell ring telefon téléphone teléfono".split()),
+    "secret": frozenset("token key apikey api_key api-key secret password passwd pwd auth authorization bearer credential credentials access_token".split()),
 }
+#: How keys of well-known services begin.
+ISSUED = ("AKIA", "ASIA", "ghp_", "gho_", "ghs_", "github_pat_", "glpat-", "sk-", "sk_live_", "pk_live_", "rk_live_", "xoxb-", "xoxp-", "AIza", "eyJ")
 COUNTER = frozenset("version v release section chapter isbn issn order invoice ticket id serial hash commit build part no number figure".split())
 NEAR = re.compile(r"[^\W\d_][\w-]*")
 
@@ -101,6 +108,8 @@ def candidates(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, i
         found += [(m.start(), 2, m.end(), False) for m in CARD.finditer(text) if 12 <= len(digits_of(m.group())) <= 19 and not luhn(digits_of(m.group()))]
         if ":" in text:
             found += [(m.start(), 1, m.end(), False) for m in IP6.finditer(text)]
+        if len(text) >= 20:
+            found += [(m.start(), 4, m.end(), False) for m in SECRET.finditer(text) if DIGIT.search(m.group()) and re.search(r"[A-Za-z]", m.group()) and len(set(m.group())) >= 10]
     taken = {(s, e) for s, _, e in base}
     out = []
     for s, k, e, is_base in found:
@@ -123,12 +132,18 @@ def code(text: str, start: int, kind: int, end: int, is_base: bool) -> str:
     elif kind == 2:
         strict = "1" if is_base else "0"
         listed = "1" if digits.startswith(ISSUERS) else "0"
+    elif kind == 4:
+        even = HEXES.fullmatch(span) and len(span) in (32, 40, 48, 56, 64, 96, 128)
+        strict = "1" if even or (span.lower() != span and span.upper() != span and len(digits) > 2) else "0"
+        listed = "1" if span.startswith(ISSUED) else "-"
     else:
         strict = "1" if is_base or "(" in span else "-"
         listed = "1" if is_base else ("0" if digits[0] in "01" else "-")
     words = [w.lower() for w in NEAR.findall(before)][-4:]
     context = "1" if CUES[KINDS[kind]].intersection(words) else "0" if COUNTER.intersection(words) else "-"
     edge = "0" if before[-1:].isalnum() or after.isalnum() else "1"
+    if kind == 4:  # given as a value: quoted, or after an equals sign or a colon
+        edge = "1" if before.rstrip(" \t\"'`")[-1:] in ("=", ":") or before[-1:] in ("'", '"', "`") else "0"
     shape = f"{min(len(span) // 8, 5)}{min(len(digits) // 4, 5)}{int(is_base)}"
     return f"{kind}|{strict}{listed}{context}{edge}|{shape}"
 
@@ -178,13 +193,14 @@ class SpanModel:
     @staticmethod
     def row(c: str) -> np.ndarray:
         kind, votes, shape = c.split("|")
-        x = np.zeros(1 + 4 + 12 + 12)
+        k = len(KINDS)
+        x = np.zeros(1 + k + 12 + 12)
         x[0] = 1
         x[1 + int(kind)] = 1
         for j, v in enumerate(votes):
-            x[5 + 3 * j + "01-".index(v)] = 1
-        x[17 + int(shape[0])] = 1
-        x[23 + int(shape[1])] = 1
+            x[1 + k + 3 * j + "01-".index(v)] = 1
+        x[13 + k + int(shape[0])] = 1
+        x[19 + k + int(shape[1])] = 1
         return x
 
     def _fit(self) -> None:
@@ -232,7 +248,7 @@ def detect(docs: DataFrame, text_col: str = "text", out: str = "pii", keep: list
     found = staged(annotate(docs, start, [T.StructField(held_in, T.ArrayType(SPAN))], [text_col], keep), "pii")
     counts = found.select(F.explode(F.col(held_in)["code"]).alias("code")).groupBy("code").agg(F.count("*").alias("n")).collect()
     model = SpanModel({r.code: r.n for r in counts})
-    good = [c for c, p in sorted(model.chance.items()) if p > threshold and c[2] != "0"]  # a failed checksum is a veto
+    good = [c for c, p in sorted(model.chance.items()) if p > threshold and c[2] != "0"]  # a failed format is a veto
     held = F.filter(held_in, lambda s: s["base"] | s["code"].isin(good))
     spans = F.transform(held, lambda s: F.struct(s["start"].alias("start"), s["kind"].alias("kind"), s["end"].alias("end"), s["base"].alias("base")))
     return found.withColumn(out, spans).drop(held_in)
@@ -276,6 +292,6 @@ def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = detect(spark.read.parquet(f"{sf_dir}/documents.parquet"), keep=["doc_id"])
     count = lambda k: F.size(F.filter("pii", lambda s: s["base"] & (s["kind"] == k))).cast("long")
     return found.select(
-        "doc_id", *(count(i).alias(f"n_{k}") for i, k in enumerate(KINDS)),
+        "doc_id", *(count(i).alias(f"n_{k}") for i, k in enumerate(KINDS[:4])),
         F.sha2(listing(F.col("pii"), True), 256).alias("base_sha256"), listing(F.col("pii"), False).alias("spans"),
     )
