@@ -25,7 +25,7 @@ TABLE = bytes(
     b + 32 if 0x41 <= b <= 0x5A else b if 0x30 <= b <= 0x39 or 0x61 <= b <= 0x7A or b >= 0x80 else 0x20 for b in range(256)
 )
 #: Bytes of benchmark text that one broadcast block may hold. A larger benchmark is scanned block by block.
-BLOCK_BYTES = 16 << 20
+BLOCK_BYTES = 4 << 20
 
 
 def words_of(text: str) -> list[bytes]:
@@ -33,53 +33,69 @@ def words_of(text: str) -> list[bytes]:
 
 
 class WindowSet:
-    """All windows of a block of benchmark items. Items shorter than ``n`` words are one window of their length."""
+    """All windows of a block of benchmark items, in arrays: for each length the windows as word numbers, sorted by hash,
+    and the items of each. Items shorter than ``n`` words are one window of their length. Made once on the driver and
+    broadcast; equal hashes are verified by the numbers."""
 
     def __init__(self, items: list[tuple[str, str]], n: int):
         self.vocab: dict[bytes, int] = {}
-        self.windows: dict[int, dict[bytes, list[str]]] = {}
+        self.items = sorted({item for item, _ in items})
+        number = {item: i for i, item in enumerate(self.items)}
+        found: dict[int, list[tuple[np.ndarray, int]]] = {}
         for item, text in items:
             words = words_of(text or "")
-            if not words:
-                continue
-            ids = np.array([self.vocab.setdefault(w, len(self.vocab) + 1) for w in words], np.int32)
-            size = min(n, len(words))
-            held = self.windows.setdefault(size, {})
-            for i in range(len(words) - size + 1):
-                owners = held.setdefault(ids[i : i + size].tobytes(), [])
-                if item not in owners:
-                    owners.append(item)
-        base = len(self.vocab) + 1
-        self.heads = {
-            size: np.unique(np.array([k[0] * base + k[-1] for k in (np.frombuffer(w, np.int32).astype(np.int64) for w in held)], np.int64))
-            for size, held in self.windows.items()
-        }
+            if words:
+                ids = np.array([self.vocab.setdefault(w, len(self.vocab) + 1) for w in words], np.int32)
+                found.setdefault(min(n, len(words)), []).append((ids, number[item]))
+        self.sizes = {}
+        for size, texts_ in sorted(found.items()):
+            rows = np.concatenate([np.lib.stride_tricks.sliding_window_view(ids, size) for ids, _ in texts_])
+            owner = np.concatenate([np.full(len(ids) - size + 1, i, np.int32) for ids, i in texts_])
+            by = np.lexsort((owner, *rows.T, mixed(rows)))
+            rows, owner = rows[by], owner[by]
+            same = (rows[1:] == rows[:-1]).all(axis=1)
+            kept = np.concatenate(([True], ~(same & (owner[1:] == owner[:-1]))))  # an item counts once a window
+            rows, owner, new = rows[kept], owner[kept], np.concatenate(([True], ~same))[kept]
+            starts = np.flatnonzero(new)
+            self.sizes[size] = (mixed(rows[starts]), np.ascontiguousarray(rows[starts]), np.append(starts, len(owner)), owner)
 
     def scan(self, words: list[bytes]) -> tuple[list[tuple[int, int]], set[str]]:
         """Merged [from, to) word intervals covered by occurring windows, and the items they belong to."""
-        if not words or not self.windows:
+        if not words or not self.sizes:
             return [], set()
         ids = np.fromiter(map(self.vocab.get, words, repeat(0)), np.int32, len(words))
         breaks = np.concatenate(([-1], np.flatnonzero(ids == 0), [len(ids)]))
         spans, owners = [], set()
-        if np.diff(breaks).max() - 1 < min(self.windows):
+        if np.diff(breaks).max() - 1 < min(self.sizes):
             return [], owners
         gap = np.concatenate(([0], np.cumsum(ids == 0)))
-        for size, held in self.windows.items():
+        for size, (hashes, rows, starts, owner) in self.sizes.items():
             if len(ids) < size:
                 continue
-            at = np.flatnonzero(gap[size:] == gap[:-size])
-            if at.size:
-                pair = ids[at].astype(np.int64) * (len(self.vocab) + 1) + ids[at + size - 1]
-                heads = self.heads[size]
-                at = at[heads[np.minimum(np.searchsorted(heads, pair), len(heads) - 1)] == pair]
-            for i in at.tolist():
-                if found := held.get(ids[i : i + size].tobytes()):
-                    spans.append((i, i + size))
-                    owners.update(found)
+            every = np.flatnonzero(gap[size:] == gap[:-size])
+            for k in range(0, len(every), 1 << 16):
+                at = every[k : k + (1 << 16)]
+                own = ids[at[:, None] + np.arange(size)]
+                h = mixed(own)
+                first, last = np.searchsorted(hashes, h), np.searchsorted(hashes, h, "right")
+                while (open_ := np.flatnonzero(first < last)).size:  # more than one turn only where hashes collide
+                    hit = open_[(rows[first[open_]] == own[open_]).all(axis=1)]
+                    spans += [(i, i + size) for i in at[hit].tolist()]
+                    for w in np.unique(first[hit]).tolist():
+                        owners.update(self.items[o] for o in owner[starts[w] : starts[w + 1]].tolist())
+                    first[open_] += 1
         return merged(spans), owners
 
 
+def mixed(rows: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of every row of word numbers."""
+    h = np.full(len(rows), 0x9E3779B97F4A7C15, np.uint64)
+    for k in range(rows.shape[1]):
+        h = (h ^ rows[:, k].astype(np.uint64)) * np.uint64(0xBF58476D1CE4E5B9)
+        h ^= h >> np.uint64(29)
+    return h
+
+
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     out: list[tuple[int, int]] = []
     for a, b in sorted(spans):
@@ -114,9 +130,9 @@ def scan(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text",
     """Every document with n_words, n_hit, hit_words (merged word intervals), items (ids as strings, sorted as such)
     and clean_text (the text less the hit words; null without ``with_text``).
 
-    The benchmark is measured first. Up to ``BLOCK_BYTES`` it goes out as one broadcast; a larger one is dealt into
+    The benchmark is measured first. Up to ``BLOCK_BYTES`` it goes out as one broadcast, a hash set in arrays; a larger one is dealt into
     blocks by hash of item, and each block scans the documents again, starting from the intervals found so far.
-    Null texts have no words; empty tables give no hits; repeated items count once; columns named as new ones give way.
+    Null texts have no words; empty tables give no hits; repeated items count once, those without an identifier as ``null``; columns named as new ones give way.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -130,11 +146,11 @@ def scan(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text",
     new = {f.name.lower() for f in fields}
     for b in range(blocks):
         block = bench if blocks == 1 else bench.filter(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == b)
-        held = spark.sparkContext.broadcast([(r.item, r.text) for r in block.collect()])
+        held = spark.sparkContext.broadcast(WindowSet([(r.item, r.text) for r in block.collect()], n))  # of at most BLOCK_BYTES of text, or one item
         later = b > 0
 
         def start(held=held, later=later):
-            windows = WindowSet(held.value, n)
+            windows = held.value
 
             def work(batch: pa.RecordBatch) -> dict[str, list]:
                 made: dict[str, list] = {k: [] for k in names}
