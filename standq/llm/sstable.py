@@ -20,7 +20,7 @@ import bisect
 import struct
 import uuid
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -32,6 +32,7 @@ from pyspark.sql import functions as F
 from standq.scratch import scratch
 
 from .common import ship
+from .simhash import typed
 from .tokens import public_path, tokenizer
 
 MAGIC = b"SQSST001"
@@ -136,31 +137,38 @@ class ShardWriter:
 
 
 class ShardReader:
-    def __init__(self, data: bytes):
-        if data[:8] != MAGIC or data[-8:] != MAGIC:
+    """Reads a shard through ``fetch(offset, size)``; at first only the footer, the index and the filter."""
+
+    def __init__(self, data: bytes | None = None, fetch: Callable[[int, int], bytes] | None = None, size: int = 0):
+        if data is not None:
+            fetch, size = (lambda at, n: data[at : at + n]), len(data)
+        self.fetch, self.unpack = fetch, zstandard.ZstdDecompressor()
+        tail = FOOTER.size + 8
+        end = fetch(max(0, size - tail), tail) if size >= tail + 8 else b""
+        if end[-8:] != MAGIC or fetch(0, 8) != MAGIC:
             raise ValueError("not a shard, or cut short")
-        at, n, bloom_at, bloom_n, self.n_docs, self.n_tokens, crc = FOOTER.unpack(data[-8 - FOOTER.size : -8])
-        if zlib.crc32(data[at : bloom_at + bloom_n]) != crc:
+        at, n, bloom_at, bloom_n, self.n_docs, self.n_tokens, crc = FOOTER.unpack(end[:-8])
+        held = fetch(at, bloom_at + bloom_n - at) if 0 <= at <= bloom_at and bloom_at + bloom_n <= size else b""
+        if zlib.crc32(held) != crc:
             raise ValueError("checksum of index and filter differs")
-        self.data, self.unpack = data, zstandard.ZstdDecompressor()
         self.firsts: list[bytes] = []
         self.blocks: list[tuple[int, int, int, int]] = []
-        end = at + n
-        while at < end:
-            size, at = read_varint(data, at)
-            self.firsts.append(data[at : at + size])
-            at += size
+        place = 0
+        while place < n:
+            width, place = read_varint(held, place)
+            self.firsts.append(held[place : place + width])
+            place += width
             record = []
             for _ in range(4):
-                v, at = read_varint(data, at)
+                v, place = read_varint(held, place)
                 record.append(v)
             self.blocks.append(tuple(record))
-        self.bits, self.hashes = struct.unpack_from("<QI", data, bloom_at)
-        self.field = np.frombuffer(data, np.uint8, bloom_n - 12, bloom_at + 12)
+        self.bits, self.hashes = struct.unpack_from("<QI", held, n)
+        self.field = np.frombuffer(held, np.uint8, bloom_n - 12, n + 12)
 
     def block(self, i: int) -> Iterator[tuple[bytes, bytes]]:
         offset, size, _, _ = self.blocks[i]
-        raw, at, key = self.unpack.decompress(self.data[offset : offset + size]), 0, b""
+        raw, at, key = self.unpack.decompress(self.fetch(offset, size)), 0, b""
         while at < len(raw):
             shared, at = read_varint(raw, at)
             rest, at = read_varint(raw, at)
@@ -281,8 +289,11 @@ def read_shards(manifest: DataFrame, schema: str, row) -> DataFrame:
     ``start`` counts the tokens of all documents before it in all shards."""
     spark = manifest.sparkSession
     ship(spark)
-    order = Window.orderBy("first_key", "task", "seq").rowsBetween(Window.unboundedPreceding, -1)
-    placed = manifest.withColumn("base", F.coalesce(F.sum("n_tokens").over(order), F.lit(0)))  # one row a shard
+    # tasks wrote ranges in order, and their shards in order: sums of tasks (one row each), then of the shards in a task
+    before = Window.orderBy("task").rowsBetween(Window.unboundedPreceding, -1)
+    tasks = manifest.groupBy("task").agg(F.sum("n_tokens").alias("all")).select("task", F.coalesce(F.sum("all").over(before), F.lit(0)).alias("start"))
+    order = Window.partitionBy("task").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
+    placed = manifest.withColumn("own", F.coalesce(F.sum("n_tokens").over(order), F.lit(0))).join(tasks, "task").withColumn("base", F.col("start") + F.col("own"))
     spread = placed.select("path", "base").repartition(max(1, -(-manifest.count() // SHARDS_A_TASK)))
     columns = [c.split()[0] for c in schema.split(", ")]
 
@@ -314,16 +325,36 @@ def read_token_table(manifest: DataFrame) -> DataFrame:
 
 
 def lookup(manifest: DataFrame, ids: list[int]) -> list[tuple[int, list[int]]]:
-    """Ids of the documents asked for: shards are chosen by key range, then searched. Only those shards are read."""
-    found = []
-    for want in sorted(ids):
-        key = key_of(want)
-        shards = manifest.filter((F.col("first_key") <= F.lit(key)) & (F.col("last_key") >= F.lit(key)))
-        for r in shards.orderBy("first_key", "task", "seq").collect():
-            source, place = _open(r.path)
-            with source.open_input_stream(place) as f:
-                found += [(want, np.frombuffer(v, "<u4").tolist()) for v in ShardReader(f.read()).get(key)]
-    return found
+    """Token ids of the documents asked for, in order of identifier; those of a repeated one in stored order.
+
+    Shards are chosen by key range, in one job. Of a shard only the footer, index and filter are read, and of its blocks
+    those that binary search names.
+    """
+    ship(manifest.sparkSession)
+    keys = sorted({key_of(i) for i in ids})
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for uri, first, last, task, seq in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                own = keys[bisect.bisect_left(keys, first) : bisect.bisect_right(keys, last)]
+                if not own:
+                    continue
+                source, place = _open(uri)
+                with source.open_input_file(place) as f:
+
+                    def fetch(at: int, n: int, f=f) -> bytes:
+                        f.seek(at)
+                        return f.read(n)
+
+                    reader = ShardReader(fetch=fetch, size=f.size())
+                    found = [(k, task, seq, n, v) for k in own for n, v in enumerate(reader.get(k))]
+                if found:
+                    yield pa.RecordBatch.from_pydict(dict(zip(("key", "task", "seq", "n", "value"), map(list, zip(*found, strict=True)), strict=True)))
+
+    kinds = "key binary, task int, seq int, n int, value binary"
+    made = manifest.select("path", "first_key", "last_key", "task", "seq").mapInArrow(typed(search, kinds), kinds).collect()
+    made.sort(key=lambda r: (bytes(r.key), r.task, r.seq, r.n))
+    return [(id_of(bytes(r.key)), np.frombuffer(bytes(r.value), "<u4").tolist()) for r in made]
 
 
 def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
