@@ -38,8 +38,8 @@ GROUPS = (4, 5, 6, 7, 8, 9, 10, 12, 14, 16)
 BLOCK, ROWS = 65_536, 400_000
 #: What a probe of a table costs, in comparisons of two fingerprints.
 PROBE = 1.5
-#: Partners of a class in a bucket that are checked at first; the others only where those did not connect them.
-PARTNERS = 2
+#: Differing bits up to which two classes are likely to be similar enough (the mean at a similarity of 0.8).
+LIKELY = 19
 #: Rows up to which a table of identifiers is broadcast; texts held at once to compare pairs of them.
 FEW, TILE = 1_000_000, 512
 
@@ -133,85 +133,76 @@ def filed(classes: DataFrame, plan: Plan, n: int) -> DataFrame:
 
 
 class Block:
-    """The classes of a bucket; those of kind 0 in a table by the last bits of their value (and by root, if given)."""
+    """The classes of a bucket; those of kind 0 in a table by the last bits of their value."""
 
-    def __init__(self, kind, key, words, plan: Plan, group: int, high: list[int], root=None):
+    def __init__(self, kind, key, words, plan: Plan, group: int, high: list[int]):
         bits, self.limit = plan.groups[group], plan.limits[group]
         self.low = len(bits) - high[group]
         words = [w.view(np.uint64) for w in words]
         value = values(words, bits) & ((1 << self.low) - 1)
-        code = np.zeros(len(key), np.int64) if root is None else np.unique(root, return_inverse=True)[1].astype(np.int64)
-        self.codes = int(code.max()) + 1
-        by = np.lexsort((key, code, value))
-        self.kind, self.key, self.words, self.value, self.code = kind[by], key[by], [w[by] for w in words], value[by], code[by]
+        by = np.lexsort((key, value))
+        self.kind, self.key, self.words, self.value = kind[by], key[by], [w[by] for w in words], value[by]
         self.own = np.flatnonzero(self.kind == 0)
-        self.at = self.value[self.own] * self.codes + self.code[self.own]
-        self.first = np.searchsorted(self.at, np.arange((1 << self.low) + 1) * self.codes)  # of every value
+        self.first = np.searchsorted(self.value[self.own], np.arange((1 << self.low) + 1))  # of every value
         self.rank = np.cumsum(self.kind == 0)  # of a row of kind 0: its place in ``own`` and one
 
-    def close(self, p: np.ndarray, f: np.ndarray) -> np.ndarray:
-        """Which pairs the fingerprints leave."""
+    def close(self, p: np.ndarray, f: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which pairs the fingerprints leave, and by how many bits they differ."""
         apart = np.bitwise_count(self.words[0][p] ^ self.words[0][f])
         for w in self.words[1:]:
             apart = apart + np.bitwise_count(w[p] ^ w[f])  # at most 128
         ok = np.flatnonzero(apart <= TAU)
-        return ok[self.key[p[ok]] != self.key[f[ok]]]
+        ok = ok[self.key[p[ok]] != self.key[f[ok]]]
+        return ok, apart[ok].astype(np.int64)
 
-    def probe(self, most: int | None, rows: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        """(rows, partners, rows that have more than ``most`` partners). A row that has that many probes no further. With
-        roots only partners of other roots are looked at."""
-        seen = np.zeros(len(self.key), np.int64)
-        todo = np.arange(len(self.key)) if rows is None else rows
+    def pairs(self) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """(rows, partners, differing bits), each pair once, a block at a time."""
         for kind in range(self.limit + 1):
-            own = todo[self.kind[todo] == kind]
+            own = np.flatnonzero(self.kind == kind)
             for m in masks(self.low, min(self.limit - kind, self.low)).tolist():
-                if most is not None:
-                    own = own[seen[own] <= most]
-                ask = own
-                target = self.value[ask] ^ m
+                ask, target = own, self.value[own] ^ m
                 if kind == 0 and m:  # the lesser value probes the greater one
                     up = target > self.value[ask]
                     ask, target = ask[up], target[up]
-                if not len(ask):
-                    continue
-                first = self.first[target]
-                if kind == 0 and not m and self.codes == 1:  # of equal values each pair once; by roots the order is another
-                    first = np.maximum(first, self.rank[ask])
-                last = self.first[target + 1]
-                if self.codes == 1:
-                    spans = [(first, last)]
-                else:
-                    same = target * self.codes + self.code[ask]
-                    spans = [(first, np.searchsorted(self.at, same)), (np.maximum(first, np.searchsorted(self.at, same + 1)), last)]
-                for a, b in spans:
-                    yield from self._expand(ask, a.copy(), b, seen, most)
-
-    def _expand(self, ask, at, end, seen, most):
-        """Partners from ``at`` to ``end`` of each row, some at a time."""
-        here = np.flatnonzero(at < end)
-        width = 256 if most is not None else max(1, (1 << 21) // max(len(here), 1))
-        while len(here):
-            for s in range(0, len(here), 8192):
-                part = here[s : s + 8192]
-                n = np.minimum(end[part] - at[part], width)
-                p = np.repeat(ask[part], n)
-                f = self.own[np.repeat(at[part], n) + np.arange(len(p)) - np.repeat(np.cumsum(n) - n, n)]
-                ok = self.close(p, f)
-                p, f = p[ok], f[ok]
-                if most is not None and len(p):
-                    start = np.flatnonzero(np.concatenate(([True], p[1:] != p[:-1])))
-                    count = np.diff(np.append(start, len(p)))
-                    place = seen[p] + np.arange(len(p)) - np.repeat(start, count)
-                    seen[p[start]] += count
-                    keep = place < most
-                    more = np.unique(p[~keep])
-                    p, f = p[keep], f[keep]
-                else:
-                    more = p[:0]
-                if len(p) or len(more):
-                    yield p, f, more
-            at[here] += width
-            here = here[(at[here] < end[here]) & (seen[ask[here]] <= most if most is not None else True)]
+                if len(ask):
+                    first = self.first[target]
+                    if kind == 0 and not m:
+                        first = np.maximum(first, self.rank[ask])
+                    yield from self._expand(ask, first, self.first[target + 1])
+
+    def _expand(self, ask, at, end):
+        """Partners from ``at`` to ``end`` of each row, about a million at a time."""
+        width = np.maximum(end - at, 0)
+        total = np.cumsum(width)
+        s = 0
+        while s < len(ask) and total[-1] > (total[s - 1] if s else 0):
+            e = max(s + 1, int(np.searchsorted(total, (total[s - 1] if s else 0) + (1 << 20), "right")))
+            n = width[s:e]
+            p = np.repeat(ask[s:e], n)
+            f = self.own[np.repeat(at[s:e], n) + np.arange(len(p)) - np.repeat(np.cumsum(n) - n, n)]
+            ok, apart = self.close(p, f)
+            if len(ok):
+                yield p[ok], f[ok], apart
+            s = e
+
+    def chosen(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(rows, partners, rows with others besides): of each row its nearest partner, and the one that is near to most,
+        which in a group of copies is what they were made from."""
+        size = len(self.key)
+        near, count = np.zeros(size, np.int64), np.zeros(size, np.int64)
+        best = np.full(size, 1 << 60, np.int64)
+        for p, f, apart in self.pairs():
+            for x, y in ((p, f), (f, p)):
+                np.minimum.at(best, x, apart << 32 | y)
+                near += np.bincount(x[apart <= LIKELY], minlength=size)
+                count += np.bincount(x, minlength=size)
+        hub = np.full(size, -1, np.int64)
+        for p, f, apart in self.pairs() if count.max(initial=0) > 2 else ():
+            for x, y in ((p, f), (f, p)):
+                np.maximum.at(hub, x, near[y] << 32 | (size - y))  # of equals the first
+        a, c = np.flatnonzero(count), np.flatnonzero(count > 2)
+        rows, partners = np.concatenate((a, c)), np.concatenate((best[a] & 0xFFFFFFFF, size - (hub[c] & 0xFFFFFFFF)))
+        return rows, partners, np.flatnonzero(count > 1)
 
 
 def by_bucket(rows: DataFrame, work, names: list[str], kinds: str) -> DataFrame:
@@ -247,8 +238,8 @@ NAMES = ["bucket", "kind", "group", "key", *WORDS]
 
 
 def first_pairs(rows: DataFrame, plan: Plan, n: int) -> DataFrame:
-    """(a, b, bucket): pairs of classes that the fingerprints leave, some of each class; and classes that have more in a
-    bucket, as a = b."""
+    """(a, b, bucket, group): pairs of classes that the fingerprints leave, some of each class; and classes that have more
+    than one partner in a bucket, as a = b. Both ends of a pair that is left out are among these."""
 
     high = blocks(plan, n)
 
@@ -256,28 +247,73 @@ def first_pairs(rows: DataFrame, plan: Plan, n: int) -> DataFrame:
         if not (kind == 0).any():
             return
         block = Block(kind, key, words, plan, int(group[0]), high)
-        for p, f, more in block.probe(PARTNERS):
-            a, b = block.key[p], block.key[f]
-            yield np.minimum(a, b), np.maximum(a, b), np.zeros(len(a), np.int64)
-            yield block.key[more], block.key[more], np.full(len(more), bucket[0])
+        p, f, more = block.chosen()
+        a, b = block.key[p], block.key[f]
+        yield np.minimum(a, b), np.maximum(a, b), np.zeros(len(a), np.int64), np.zeros(len(a), np.int32)
+        yield block.key[more], block.key[more], np.full(len(more), bucket[0]), np.full(len(more), group[0])
 
-    return by_bucket(rows, work, NAMES, "a long, b long, bucket long").distinct()
+    return by_bucket(rows, work, NAMES, "a long, b long, bucket long, group int").distinct()
 
 
-def other_pairs(rows: DataFrame, plan: Plan, n: int) -> DataFrame:
-    """(a, b): what ``first_pairs`` left out, of classes that are not connected by now."""
+def similar(x: np.ndarray, y: np.ndarray, s: Fraction) -> bool:
+    if min(len(x), len(y)) * s.denominator < s.numerator * max(len(x), len(y)):
+        return False
+    both = len(np.intersect1d(x, y, assume_unique=True))
+    return both * s.denominator >= s.numerator * (len(x) + len(y) - both)
 
-    high = blocks(plan, n)
 
-    def work(bucket, kind, group, key, *rest):
-        *words, root, asked = rest
-        if (root != root[0]).any() and (kind == 0).any() and asked.any():
-            block = Block(kind, key, words, plan, int(group[0]), high, root)
-            for p, f, _ in block.probe(None, np.flatnonzero(np.isin(block.key, key[asked > 0]))):
-                a, b = block.key[p], block.key[f]
-                yield np.minimum(a, b), np.maximum(a, b)
+def first_met(x: list[np.ndarray], i: np.ndarray, j: np.ndarray, plan: Plan, group: int) -> np.ndarray:
+    """Whether pairs meet in no group of bits before this one."""
+    ok = np.ones(len(i), bool)
+    for bits, limit in zip(plan.groups[:group], plan.limits[:group], strict=True):
+        if limit >= 0:
+            own = [np.uint64(sum(1 << b % 64 for b in bits if b // 64 == k)) for k in range(len(x))]
+            ok &= sum(np.bitwise_count((w[i] ^ w[j]) & m).astype(np.int64) for w, m in zip(x, own, strict=True)) > limit
+    return ok
+
 
-    return by_bucket(rows, work, [*NAMES, "root", "asked"], "a long, b long").distinct()
+def other_links(more: DataFrame, linked: DataFrame, slim: DataFrame, classes: DataFrame, plan: Plan, words: int, s: Fraction) -> DataFrame:
+    """Links of the pairs that ``first_pairs`` left out, between classes that are not connected by now.
+
+    ``more`` has the classes concerned, by bucket. Those of a bucket go with their texts to one task, or to one for each
+    pair of tiles, which compares fingerprints and then texts, so no pair is written. A pair is looked at in the first
+    group of bits in which it meets.
+    """
+    own = more.join(linked.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    own = staged(own, "asked")
+    open_ = own.groupBy("bucket").agg(F.count("*").alias("n"), F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi")
+    open_ = staged(open_.select("bucket", F.ceil(F.col("n") / TILE).cast("int").alias("tiles")), "open")
+    own = own.join(few(open_), "bucket").join(classes.select("key", F.col("least.rid").alias("rid"), *WORDS), "key")
+    tile = F.pmod(F.xxhash64("key"), F.col("tiles")).cast("int")
+    at = F.transform(F.sequence(F.lit(0), F.col("tiles") - 1), lambda j: F.xxhash64(F.col("bucket"), F.least(tile, j), F.greatest(tile, j)))
+    own = staged(own.select(F.explode(at).alias("at"), "group", "key", "root", "rid", *WORDS), "again")
+    rows = slim.drop("key").join(few(own), "rid").select("at", "group", "key", "root", *WORDS, "text")
+
+    def run(table: pa.Table) -> pa.Table:
+        key, root = table.column("key").to_numpy(), table.column("root").to_numpy()
+        x = [table.column(w).to_numpy().view(np.uint64) for w in WORDS]
+        held, text, found = {}, table.column("text"), []
+        labels = np.unique(root, return_index=True, return_inverse=True)
+        labels = labels[1][labels[2]]  # classes of a root are connected
+        step = max(1, (1 << 20) // max(len(key), 1))
+        for k in range(0, len(key), step):
+            i = np.arange(k, min(k + step, len(key)))
+            apart = sum(np.bitwise_count(w[i, None] ^ w[None, :]).astype(np.int16) for w in x)
+            a, b = np.nonzero((apart <= TAU) & (root[i, None] != root[None, :]) & (i[:, None] < np.arange(len(key))[None, :]))
+            a = i[a]
+            ok = first_met(x, a, b, plan, int(table.column("group")[0].as_py()))
+            for u, v in zip(a[ok].tolist(), b[ok].tolist(), strict=True):
+                if labels[u] != labels[v]:
+                    for z in (u, v):
+                        if z not in held:
+                            held[z] = shingles(text[z].as_py() or "", words)
+                    if similar(held[u], held[v], s):
+                        unite(labels, np.array([u]), np.array([v]))
+                        found.append((u, v))
+        u, v = np.array(found, np.int64).reshape(-1, 2).T
+        return pa.table({"a": key[u], "b": key[v]})
+
+    return rows.groupBy("at").applyInArrow(run, "a long, b long")
 
 
 def verified(pairs: DataFrame, slim: DataFrame, classes: DataFrame, words: int, s: Fraction) -> DataFrame:
@@ -313,10 +349,7 @@ def verified(pairs: DataFrame, slim: DataFrame, classes: DataFrame, words: int,
         a, b = (by[np.searchsorted(keys, asked.column(c).to_numpy(), sorter=by)] for c in ("a", "b"))
         ok = np.zeros(len(a), bool)
         for k, (i, j) in enumerate(zip(a.tolist(), b.tolist(), strict=True)):
-            x, y = held[i], held[j]
-            if min(len(x), len(y)) * s.denominator >= s.numerator * max(len(x), len(y)):
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                ok[k] = both * s.denominator >= s.numerator * (len(x) + len(y) - both)
+            ok[k] = similar(held[i], held[j], s)
         labels = np.arange(len(keys))
         unite(labels, a[ok], b[ok])
         own = np.flatnonzero(labels != np.arange(len(keys)))
@@ -335,19 +368,12 @@ def linked_classes(classes: DataFrame, slim: DataFrame, words: int, s: Fraction)
     if n < 2:
         return classes.select(F.col("key").alias("node"), F.col("key").alias("root")).limit(0)
     plan = plan_groups(n, both, TAU, PROBE, GROUPS)
-    rows = lambda: cut_hot(filed(classes, plan, n), ROWS, "key")
-    made = staged(first_pairs(rows(), plan, n), "met")
+    made = staged(first_pairs(cut_hot(filed(classes, plan, n), ROWS, "key"), plan, n), "met")
     links = staged(verified(made.filter("a <> b").select("a", "b").distinct(), slim, classes, words, s), "near")
     linked = components(links)
-    more = staged(made.filter("a = b").select("bucket", F.col("a").alias("key")), "more")
-    if more.isEmpty():
-        return linked
-    # classes in those buckets, with what connects them by now
-    again = rows().join(few(more.select("bucket").distinct()), "bucket", "left_semi")
-    again = again.join(few(more.withColumn("asked", F.lit(1).cast("long"))), ["bucket", "key"], "left").withColumn("asked", F.coalesce("asked", F.lit(0).cast("long")))
-    again = again.join(linked.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
-    rest = staged(other_pairs(again, plan, n), "rest")
-    return linked if rest.isEmpty() else components(links.union(verified(rest, slim, classes, words, s)))
+    more = made.filter("a = b").select("bucket", "group", F.col("a").alias("key"))
+    others = staged(other_links(more, linked, slim, classes, plan, words, s), "others")
+    return linked if others.isEmpty() else components(links.union(others))
 
 
 def keep_dissimilar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8) -> DataFrame:

@@ -110,7 +110,7 @@ def test_near_copies_of_the_stage(spark, monkeypatch):
     assert set(every) <= set(want) and len(want) - len(every) <= 2  # nothing goes that has no near text; hardly one stays that has
     docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
     assert sorted(r.doc_id for r in corpus_pipeline.near_dedup(spark, docs, SF).collect()) == want
-    for name, small in (("FEW", 0), ("BLOCK", 20), ("ROWS", 60), ("PARTNERS", 1), ("TILE", 3)):
+    for name, small in (("FEW", 0), ("BLOCK", 20), ("ROWS", 60), ("TILE", 3)):
         monkeypatch.setattr(simhash_verified, name, small)
     assert sorted(r.doc_id for r in simhash_verified.keep_dissimilar(docs).collect()) == want
     assert simhash.keep_one(docs).count() > len(want)  # the rule of op7 is narrower
