@@ -6,8 +6,8 @@ are found by the generalised pigeonhole of ``simhash``, all of them. What meets
 shingle sets, so nothing below the threshold is ever linked. At a similarity of exactly 0.8 two fingerprints differ in
 19.4 bits on average (deviation 4.1), and within ``TAU`` in 98.7 of 100 cases; at 0.85 in all but one of a thousand.
 
-A class is filed under the first bits of its value in each group of bits, and goes to where values within the group's
-threshold may be; there a table of the values is probed. So rows are moved a few times each and not once a probe.
+Classes are dealt into tiles, and each pair of tiles is a task's work, in which tables of the values of every group of
+bits are probed. So a row is moved once for each tile, and each pair of classes meets in one task.
 """
 
 from __future__ import annotations
@@ -27,21 +27,21 @@ from pyspark.sql import types as T
 
 from .common import annotate, free, ship, staged, texts
 from .components import components, unite
-from .simhash import Plan, bit_statistics, cut_hot, plan_groups, signed, typed
+from .simhash import Plan, bit_statistics, plan_groups, signed, typed
 
 #: Words of a fingerprint, and the differing bits that candidates may have.
 WORDS = ("w0", "w1")
 TAU = 28
 #: Numbers of groups that are weighed.
 GROUPS = (4, 5, 6, 7, 8, 9, 10, 12, 14, 16)
-#: Classes that a block of values holds on average; rows beyond which a block is cut in tiles.
-BLOCK, ROWS = 65_536, 400_000
+#: Rows that a task gathers, at least, before it works on whole buckets; classes of a tile, at most; tiles, at least.
+BLOCK, ROWS, TILES = 65_536, 400_000, 8
 #: What a probe of a table costs, in comparisons of two fingerprints.
 PROBE = 1.5
 #: Differing bits up to which two classes are likely to be similar enough (the mean at a similarity of 0.8).
 LIKELY = 19
-#: Rows up to which a table of identifiers is broadcast; texts held at once to compare pairs of them.
-FEW, TILE = 1_000_000, 512
+#: Rows up to which a table of identifiers is broadcast; texts of a tile of them, and pairs held at once.
+FEW, TILE, HELD = 1_000_000, 512, 2_000_000
 
 
 def shingles(text: str, words: int = 5, seed: int = 42) -> np.ndarray:
@@ -87,13 +87,14 @@ def prints_of(own: np.ndarray) -> list[int]:
     return [signed(int.from_bytes(packed[8 * k : 8 * k + 8], "big")) for k in range(len(WORDS))]
 
 
-def block_bits(n: int, width: int) -> int:
-    """First bits of a value that make its block, so that blocks hold about ``BLOCK`` of n classes."""
-    return min(width, max(0, math.ceil(math.log2(max(n, 1) / BLOCK))))
+def tiles_of(n: int) -> int:
+    return max(TILES, math.ceil(n / ROWS))
 
 
-def blocks(plan: Plan, n: int) -> list[int]:
-    return [block_bits(n, len(g)) for g in plan.groups]
+def plan_of(n: int, chances: np.ndarray) -> Plan:
+    """Groups of bits and thresholds that suit the tiles of n classes; ``chances`` that each two bits are both set."""
+    size = math.ceil(n / tiles_of(n))
+    return plan_groups(size, chances * size, TAU, PROBE, GROUPS)
 
 
 @lru_cache(maxsize=64)
@@ -109,100 +110,97 @@ def values(x: list[np.ndarray], bits: tuple[int, ...]) -> np.ndarray:
     return out
 
 
-def filed(classes: DataFrame, plan: Plan, n: int) -> DataFrame:
-    """(bucket, kind, group, key, words): every class in its own block (kind 0) of each group of bits, and in the greater
-    blocks that a partner may be in (kind: by how many bits they differ). A bucket is a group and a block."""
-    used = [(i, g, t, h) for i, (g, t, h) in enumerate(zip(plan.groups, plan.limits, blocks(plan, n), strict=True)) if t >= 0]
-    carried = ["key", *WORDS]
+def dealt(classes: DataFrame, n: int) -> DataFrame:
+    """Every row once for each pair of tiles that its own is in (bucket). side: 0 and 1 for the first and the second tile
+    of a pair, 2 in the pair of a tile with itself."""
+    k = tiles_of(n)
+    own = classes.withColumn("own", F.pmod(F.xxhash64("key"), F.lit(k)))
+    own = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(k - 1))))
+    side = F.when(F.col("own") == F.col("other"), 2).when(F.col("own") < F.col("other"), 0).otherwise(1)
+    return own.withColumn("bucket", F.least("own", "other") * k + F.greatest("own", "other")).withColumn("side", side).drop("own", "other")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            x = [c.to_numpy().view(np.uint64) for c in batch.columns[1:]]
-            for i, bits, t, high in used:
-                block = values(x, bits) >> (len(bits) - high)
-                for m in masks(high, min(t, high)).tolist():
-                    other = block ^ m
-                    up = np.flatnonzero(other > block) if m else np.arange(len(block))
-                    if len(up):
-                        made = [pa.array(other[up] * 64 + i), pa.array(np.full(len(up), m.bit_count(), np.int32)), *(c.take(pa.array(up)) for c in batch.columns)]
-                        yield pa.RecordBatch.from_arrays(made, names=["bucket", "kind", *carried])
-
-    kinds = "bucket long, kind int, " + ", ".join(f"{c} long" for c in carried)
-    made = classes.select(*carried).mapInArrow(typed(run, kinds), kinds)
-    return made.withColumn("group", F.pmod("bucket", F.lit(64)).cast("int"))
-
-
-class Block:
-    """The classes of a bucket; those of kind 0 in a table by the last bits of their value."""
-
-    def __init__(self, kind, key, words, plan: Plan, group: int, high: list[int]):
-        bits, self.limit = plan.groups[group], plan.limits[group]
-        self.low = len(bits) - high[group]
-        words = [w.view(np.uint64) for w in words]
-        value = values(words, bits) & ((1 << self.low) - 1)
-        by = np.lexsort((key, value))
-        self.kind, self.key, self.words, self.value = kind[by], key[by], [w[by] for w in words], value[by]
-        self.own = np.flatnonzero(self.kind == 0)
-        self.first = np.searchsorted(self.value[self.own], np.arange((1 << self.low) + 1))  # of every value
-        self.rank = np.cumsum(self.kind == 0)  # of a row of kind 0: its place in ``own`` and one
-
-    def close(self, p: np.ndarray, f: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Which pairs the fingerprints leave, and by how many bits they differ."""
-        apart = np.bitwise_count(self.words[0][p] ^ self.words[0][f])
-        for w in self.words[1:]:
-            apart = apart + np.bitwise_count(w[p] ^ w[f])  # at most 128
-        ok = np.flatnonzero(apart <= TAU)
-        ok = ok[self.key[p[ok]] != self.key[f[ok]]]
-        return ok, apart[ok].astype(np.int64)
+
+class Met:
+    """The pairs of classes that meet in a bucket: of one tile, or of one of the first with one of the second."""
+
+    def __init__(self, side, key, words, plan: Plan):
+        self.key, self.words, self.plan = key, [w.view(np.uint64) for w in words], plan
+        self.inner = bool((side == 2).any())
+        self.filed, self.asking = np.flatnonzero(side != 1), np.flatnonzero(side != 0)
 
     def pairs(self) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        """(rows, partners, differing bits), each pair once, a block at a time."""
-        for kind in range(self.limit + 1):
-            own = np.flatnonzero(self.kind == kind)
-            for m in masks(self.low, min(self.limit - kind, self.low)).tolist():
-                ask, target = own, self.value[own] ^ m
-                if kind == 0 and m:  # the lesser value probes the greater one
-                    up = target > self.value[ask]
+        """(rows, partners, differing bits), each pair once, in the first group of bits in which it meets."""
+        rank = np.zeros(len(self.key), np.int64)
+        for group, (bits, limit) in enumerate(zip(self.plan.groups, self.plan.limits, strict=True)):
+            if limit < 0:
+                continue
+            value = values(self.words, bits)
+            own = self.filed[np.argsort(value[self.filed], kind="stable")]
+            first = np.searchsorted(value[own], np.arange((1 << len(bits)) + 1))  # of every value
+            rank[own] = np.arange(1, len(own) + 1)
+            for m in masks(len(bits), limit).tolist():
+                ask, target = self.asking, value[self.asking] ^ m
+                if self.inner and m:  # the lesser value probes the greater one
+                    up = target > value[ask]
                     ask, target = ask[up], target[up]
-                if len(ask):
-                    first = self.first[target]
-                    if kind == 0 and not m:
-                        first = np.maximum(first, self.rank[ask])
-                    yield from self._expand(ask, first, self.first[target + 1])
+                at = first[target]
+                if self.inner and not m:
+                    at = np.maximum(at, rank[ask])
+                yield from self._expand(own, ask, at, first[target + 1], group)
 
-    def _expand(self, ask, at, end):
+    def _expand(self, own, ask, at, end, group: int):
         """Partners from ``at`` to ``end`` of each row, about a million at a time."""
-        width = np.maximum(end - at, 0)
+        some = np.flatnonzero(end > at)
+        ask, at, width = ask[some], at[some], (end - at)[some]
         total = np.cumsum(width)
         s = 0
-        while s < len(ask) and total[-1] > (total[s - 1] if s else 0):
+        while s < len(ask):
             e = max(s + 1, int(np.searchsorted(total, (total[s - 1] if s else 0) + (1 << 20), "right")))
             n = width[s:e]
             p = np.repeat(ask[s:e], n)
-            f = self.own[np.repeat(at[s:e], n) + np.arange(len(p)) - np.repeat(np.cumsum(n) - n, n)]
-            ok, apart = self.close(p, f)
+            f = own[np.repeat(at[s:e], n) + np.arange(len(p)) - np.repeat(np.cumsum(n) - n, n)]
+            apart = sum(np.bitwise_count(w[p] ^ w[f]).astype(np.int64) for w in self.words)
+            ok = np.flatnonzero(apart <= TAU)
             if len(ok):
-                yield p[ok], f[ok], apart
+                ok = ok[first_met(self.words, p[ok], f[ok], self.plan, group)]
+                yield p[ok], f[ok], apart[ok]
             s = e
 
-    def chosen(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(rows, partners, rows with others besides): of each row its nearest partner, and the one that is near to most,
-        which in a group of copies is what they were made from."""
+    def held(self) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]] | list:
+        """The pairs, to be gone over again: in memory if they are few."""
+        kept, size = [], 0
+        for part in self.pairs():
+            kept.append(part)
+            size += len(part[0])
+            if size > HELD:
+                return Again(self)
+        return kept
+
+    def chosen(self) -> tuple[np.ndarray, ...]:
+        """Of each row with partners: the row, its nearest partner and by how many bits it differs, the partner that is
+        near to most (which in a group of copies is what they were made from) and to how many, the number of partners."""
         size = len(self.key)
         near, count = np.zeros(size, np.int64), np.zeros(size, np.int64)
-        best = np.full(size, 1 << 60, np.int64)
-        for p, f, apart in self.pairs():
+        best, hub = np.full(size, 1 << 60, np.int64), np.full(size, -1, np.int64)
+        pairs = self.held()
+        for p, f, apart in pairs:
             for x, y in ((p, f), (f, p)):
                 np.minimum.at(best, x, apart << 32 | y)
                 near += np.bincount(x[apart <= LIKELY], minlength=size)
                 count += np.bincount(x, minlength=size)
-        hub = np.full(size, -1, np.int64)
-        for p, f, apart in self.pairs() if count.max(initial=0) > 2 else ():
+        for p, f, _ in pairs:
             for x, y in ((p, f), (f, p)):
                 np.maximum.at(hub, x, near[y] << 32 | (size - y))  # of equals the first
-        a, c = np.flatnonzero(count), np.flatnonzero(count > 2)
-        rows, partners = np.concatenate((a, c)), np.concatenate((best[a] & 0xFFFFFFFF, size - (hub[c] & 0xFFFFFFFF)))
-        return rows, partners, np.flatnonzero(count > 1)
+        a = np.flatnonzero(count)
+        return a, best[a] & 0xFFFFFFFF, best[a] >> 32, size - (hub[a] & 0xFFFFFFFF), hub[a] >> 32, count[a]
+
+
+class Again:
+    def __init__(self, met: Met):
+        self.met = met
+
+    def __iter__(self):
+        return self.met.pairs()
 
 
 def by_bucket(rows: DataFrame, work, names: list[str], kinds: str) -> DataFrame:
@@ -214,7 +212,7 @@ def by_bucket(rows: DataFrame, work, names: list[str], kinds: str) -> DataFrame:
         for batch in batches:
             held.append([c.to_numpy() for c in batch.columns[: len(names)]])
             size += batch.num_rows
-            if held[0][0][0] == held[-1][0][-1] or size < 65_536:  # the bucket goes on, or there is little to do yet
+            if held[0][0][0] == held[-1][0][-1] or size < BLOCK:  # the bucket goes on, or there is little to do yet
                 continue
             whole = [np.concatenate(c) for c in zip(*held, strict=True)]
             cut = int(np.flatnonzero(whole[0] != whole[0][-1])[-1]) + 1
@@ -234,25 +232,18 @@ def by_bucket(rows: DataFrame, work, names: list[str], kinds: str) -> DataFrame:
     return dealt.mapInArrow(typed(run, kinds), kinds)
 
 
-NAMES = ["bucket", "kind", "group", "key", *WORDS]
+def partners(classes: DataFrame, plan: Plan, n: int) -> DataFrame:
+    """(key, partner, hub, count) of every class that the fingerprints leave partners: the nearest one, one that is near to
+    many, and how many there are. A pair that is neither is of two classes with more than one partner."""
 
+    def work(bucket, side, key, *words):
+        a, partner, apart, hub, near, count = Met(side, key, words, plan).chosen()
+        yield key[a], key[partner], apart, key[hub], near, count
 
-def first_pairs(rows: DataFrame, plan: Plan, n: int) -> DataFrame:
-    """(a, b, bucket, group): pairs of classes that the fingerprints leave, some of each class; and classes that have more
-    than one partner in a bucket, as a = b. Both ends of a pair that is left out are among these."""
-
-    high = blocks(plan, n)
-
-    def work(bucket, kind, group, key, *words):
-        if not (kind == 0).any():
-            return
-        block = Block(kind, key, words, plan, int(group[0]), high)
-        p, f, more = block.chosen()
-        a, b = block.key[p], block.key[f]
-        yield np.minimum(a, b), np.maximum(a, b), np.zeros(len(a), np.int64), np.zeros(len(a), np.int32)
-        yield block.key[more], block.key[more], np.full(len(more), bucket[0]), np.full(len(more), group[0])
-
-    return by_bucket(rows, work, NAMES, "a long, b long, bucket long, group int").distinct()
+    kinds = "key long, partner long, apart long, hub long, near long, count long"
+    found = by_bucket(dealt(classes.select("key", *WORDS), n), work, ["bucket", "side", "key", *WORDS], kinds)
+    nearest = F.min(F.struct("apart", "partner")).getField("partner")
+    return found.groupBy("key").agg(nearest.alias("partner"), F.max(F.struct("near", "hub")).getField("hub").alias("hub"), F.sum("count").alias("count"))
 
 
 def similar(x: np.ndarray, y: np.ndarray, s: Fraction) -> bool:
@@ -272,37 +263,71 @@ def first_met(x: list[np.ndarray], i: np.ndarray, j: np.ndarray, plan: Plan, gro
     return ok
 
 
-def other_links(more: DataFrame, linked: DataFrame, slim: DataFrame, classes: DataFrame, plan: Plan, words: int, s: Fraction) -> DataFrame:
-    """Links of the pairs that ``first_pairs`` left out, between classes that are not connected by now.
+def unconnected(more: DataFrame, plan: Plan, n: int) -> DataFrame:
+    """(a, b) that connect the classes of ``more`` (n of them, with their roots) as the pairs do that the fingerprints leave
+    between different roots; of a bucket no more than it has classes."""
+
+    def work(bucket, side, key, root, *words):
+        labels, parts = np.arange(len(key)), []
+        for p, f, _ in Met(side, key, words, plan).pairs():
+            differ = root[p] != root[f]
+            parts.append((p[differ], f[differ]))
+            if sum(len(x) for x, _ in parts) > BLOCK:
+                unite(labels, *(np.concatenate(c) for c in zip(*parts, strict=True)))
+                parts = []
+        if parts:
+            unite(labels, *(np.concatenate(c) for c in zip(*parts, strict=True)))
+        own = np.flatnonzero(labels != np.arange(len(key)))
+        yield key[own], key[labels[own]]
 
-    ``more`` has the classes concerned, by bucket. Those of a bucket go with their texts to one task, or to one for each
-    pair of tiles, which compares fingerprints and then texts, so no pair is written. A pair is looked at in the first
-    group of bits in which it meets.
+    rows = dealt(more.select("key", "root", *WORDS), n)
+    return by_bucket(rows, work, ["bucket", "side", "key", "root", *WORDS], "a long, b long").distinct()
+
+
+def other_links(more: DataFrame, chances: np.ndarray, slim: DataFrame, words: int, s: Fraction) -> DataFrame | None:
+    """Links of the pairs that were left out, between classes of different roots; none if there are no such pairs.
+
+    ``more`` has the classes concerned, with their roots. Those that such pairs connect are a cluster. In it the classes of
+    the most frequent root need no comparison with one another, only with the rest. Texts go to one task, or to one for
+    each pair of tiles of a cluster, which compares fingerprints and then texts, so no pair is written.
     """
-    own = more.join(linked.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
-    own = staged(own, "asked")
-    open_ = own.groupBy("bucket").agg(F.count("*").alias("n"), F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi")
-    open_ = staged(open_.select("bucket", F.ceil(F.col("n") / TILE).cast("int").alias("tiles")), "open")
-    own = own.join(few(open_), "bucket").join(classes.select("key", F.col("least.rid").alias("rid"), *WORDS), "key")
-    tile = F.pmod(F.xxhash64("key"), F.col("tiles")).cast("int")
-    at = F.transform(F.sequence(F.lit(0), F.col("tiles") - 1), lambda j: F.xxhash64(F.col("bucket"), F.least(tile, j), F.greatest(tile, j)))
-    own = staged(own.select(F.explode(at).alias("at"), "group", "key", "root", "rid", *WORDS), "again")
-    rows = slim.drop("key").join(few(own), "rid").select("at", "group", "key", "root", *WORDS, "text")
+    n = more.count()
+    if n < 2:
+        return None
+    clusters = components(unconnected(more, plan_of(n, chances), n))
+    own = staged(more.join(clusters.select(F.col("node").alias("key"), F.col("root").alias("cluster")), "key"), "asked")
+    if own.isEmpty():
+        return None
+    roots = own.groupBy("cluster", "root").agg(F.count("*").alias("n"))
+    sizes = roots.groupBy("cluster").agg(F.max(F.struct("n", "root")).alias("most"), F.sum("n").alias("n"))
+    rest, most = F.col("n") - F.col("most.n"), F.col("most.n")
+    whole = F.col("n") <= 2 * TILE  # then all is one tile
+    i, j = (F.when(whole, x).otherwise(y).cast("int") for x, y in ((1, F.ceil(rest / TILE)), (0, F.ceil(most / TILE))))
+    sizes = staged(sizes.select("cluster", F.when(~whole, F.col("most.root")).alias("most"), i.alias("i"), j.alias("j")), "sizes")
+    own = own.join(few(sizes), "cluster")
+    major = F.coalesce(F.col("root") == F.col("most"), F.lit(False))
+    tile = F.when(major, F.col("i") + F.pmod(F.xxhash64("key"), F.col("j"))).otherwise(F.pmod(F.xxhash64("key"), F.col("i"))).cast("int")
+    to = F.sequence(F.lit(0), F.when(major, F.col("i")).otherwise(F.col("i") + F.col("j")) - 1)
+    own = own.withColumn("tile", tile).withColumn("other", F.explode(to))
+    at = ["cluster", "x", "y"]
+    own = own.withColumn("x", F.least("tile", "other")).withColumn("y", F.greatest("tile", "other"))
+    own = staged(own.select(*at, "tile", "key", "root", "rid", *WORDS), "again")
+    rows = slim.drop("key").join(few(own), "rid").select(*at, "tile", "key", "root", *WORDS, "text")
 
     def run(table: pa.Table) -> pa.Table:
-        key, root = table.column("key").to_numpy(), table.column("root").to_numpy()
+        key, root, tile = (table.column(c).to_numpy() for c in ("key", "root", "tile"))
         x = [table.column(w).to_numpy().view(np.uint64) for w in WORDS]
         held, text, found = {}, table.column("text"), []
         labels = np.unique(root, return_index=True, return_inverse=True)
         labels = labels[1][labels[2]]  # classes of a root are connected
+        one = bool((tile == tile[0]).all()) if len(tile) else True
         step = max(1, (1 << 20) // max(len(key), 1))
         for k in range(0, len(key), step):
             i = np.arange(k, min(k + step, len(key)))
             apart = sum(np.bitwise_count(w[i, None] ^ w[None, :]).astype(np.int16) for w in x)
-            a, b = np.nonzero((apart <= TAU) & (root[i, None] != root[None, :]) & (i[:, None] < np.arange(len(key))[None, :]))
-            a = i[a]
-            ok = first_met(x, a, b, plan, int(table.column("group")[0].as_py()))
-            for u, v in zip(a[ok].tolist(), b[ok].tolist(), strict=True):
+            ok = (apart <= TAU) & (root[i, None] != root[None, :]) & (i[:, None] < np.arange(len(key))[None, :])
+            a, b = np.nonzero(ok if one else ok & (tile[i, None] != tile[None, :]))
+            for u, v in zip(i[a].tolist(), b.tolist(), strict=True):
                 if labels[u] != labels[v]:
                     for z in (u, v):
                         if z not in held:
@@ -313,7 +338,7 @@ def other_links(more: DataFrame, linked: DataFrame, slim: DataFrame, classes: Da
         u, v = np.array(found, np.int64).reshape(-1, 2).T
         return pa.table({"a": key[u], "b": key[v]})
 
-    return rows.groupBy("at").applyInArrow(run, "a long, b long")
+    return rows.groupBy(*at).applyInArrow(run, "a long, b long")
 
 
 def verified(pairs: DataFrame, slim: DataFrame, classes: DataFrame, words: int, s: Fraction) -> DataFrame:
@@ -367,12 +392,17 @@ def linked_classes(classes: DataFrame, slim: DataFrame, words: int, s: Fraction)
     n, both = bit_statistics(classes, WORDS)
     if n < 2:
         return classes.select(F.col("key").alias("node"), F.col("key").alias("root")).limit(0)
-    plan = plan_groups(n, both, TAU, PROBE, GROUPS)
-    made = staged(first_pairs(cut_hot(filed(classes, plan, n), ROWS, "key"), plan, n), "met")
-    links = staged(verified(made.filter("a <> b").select("a", "b").distinct(), slim, classes, words, s), "near")
+    met = staged(partners(classes, plan_of(n, both / n), n), "met")
+    pairs = met.select("key", F.col("partner").alias("p")).union(met.filter("count > 2").select("key", "hub"))
+    pairs = pairs.select(F.least("key", "p").alias("a"), F.greatest("key", "p").alias("b")).distinct()
+    links = staged(verified(pairs, slim, classes, words, s), "near")
     linked = components(links)
-    more = made.filter("a = b").select("bucket", "group", F.col("a").alias("key"))
-    others = staged(other_links(more, linked, slim, classes, plan, words, s), "others")
+    more = met.filter("count > 1").select("key").join(classes.select("key", F.col("least.rid").alias("rid"), *WORDS), "key")
+    more = more.join(linked.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    others = other_links(staged(more, "more"), both / n, slim, words, s)
+    if others is None:
+        return linked
+    others = staged(others, "others")
     return linked if others.isEmpty() else components(links.union(others))
 
 

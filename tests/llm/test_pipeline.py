@@ -114,3 +114,42 @@ def test_near_copies_of_the_stage(spark, monkeypatch):
         monkeypatch.setattr(simhash_verified, name, small)
     assert sorted(r.doc_id for r in simhash_verified.keep_dissimilar(docs).collect()) == want
     assert simhash.keep_one(docs).count() > len(want)  # the rule of op7 is narrower
+
+
+def test_texts_of_a_large_group_move_a_few_times(spark, monkeypatch):
+    """Few of a large group of near copies are unconnected after the first pairs; the others go to the tasks about once."""
+    rng = random.Random(5)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(5))
+    base, rows = [word() for _ in range(300)], []
+    for n in range(400):
+        other = list(base)
+        for _ in range(3 if n % 40 else 12):
+            other[rng.randrange(300)] = word()
+        rows.append((n, " ".join(other)))
+    moved, put = {}, simhash_verified.staged
+
+    def staged(df, name):
+        out = put(df, name)
+        moved[name] = out.count()
+        return out
+
+    monkeypatch.setattr(simhash_verified, "staged", staged)
+    monkeypatch.setattr(simhash_verified, "TILE", 20)
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(r.doc_id for r in simhash_verified.keep_dissimilar(docs).collect()) == brute_dissimilar(rows, by_print=True)[0]
+    assert moved.get("again", 0) <= 8 * len(rows)
+
+
+def test_classes_move_once_a_tile(spark):
+    """At 2.8 million classes (6 GB of documents) a class is filed seven or eight times; by blocks of bits it was some 470."""
+    classes = spark.range(50).selectExpr("id AS key", "id AS w0", "id AS w1")
+    assert simhash_verified.dealt(classes, 2_800_000).count() <= 8 * 50
+    met = {tuple(sorted((a.key, b.key))) for rows in by_bucket_of(simhash_verified.dealt(classes, 400)) for a in rows for b in rows if a.key != b.key}
+    assert len(met) == 50 * 49 // 2
+
+
+def by_bucket_of(dealt):
+    out = {}
+    for r in dealt.collect():
+        out.setdefault(r.bucket, []).append(r)
+    return out.values()
