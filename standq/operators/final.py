@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import math
 import re
 from dataclasses import dataclass
 from datetime import datetime, timedelta
+from fractions import Fraction
 from typing import Any
 
 from pyspark.sql import Column, DataFrame, Window
@@ -18,6 +20,9 @@ from standq.operators.windows import hop_aggregate, window_table
 from standq.plans.relation import Aggregate, Filter, Relation, Scan, WindowTable, key_id
 from standq.sources.store import TIMES, Table, parse_value
 
+#: Distinct values that are counted one by one to find a percentile.
+EXACT = 100_000
+
 
 def frontiers(table: Table, column: str, version: int, grace: Any = None) -> list[tuple[int, Any]]:
     """(commit, maximum of the column in the commits up to it, less grace), for the commits that raised it: from the
@@ -169,13 +174,44 @@ class Watermark:
 
     @classmethod
     def percentile(cls, rows: DataFrame, column: str, p: float, before: Watermark | None = None, accuracy: int = 10_000) -> Watermark:
-        """A percentile of the values so far; a late low value cannot pull it below what it was."""
+        """A percentile of the values so far; a late low value cannot pull it below what it was.
+
+        It is the value of that rank, exactly. Estimates (of ``accuracy``) bound it; the rows between the bounds are bounded
+        again until their distinct values are at most ``EXACT``, and these are counted.
+        """
         kind = rows.schema[column].dataType
         axis = Axis(kind, timedelta(1) if kind.typeName() != "double" else 1)
-        got = rows.select(axis.of(F.col(column)).alias("x")).agg(F.percentile_approx("x", p, accuracy).alias("x"))
-        value = got.select(axis.back(F.col("x")).alias("v")).first()[0]
+        x = rows.select(axis.of(F.col(column)).alias("x")).filter("x IS NOT NULL")
+        found = cls._ranked(x, Fraction(str(p)), accuracy)
+        value = None if found is None else rows.sparkSession.range(1).select(axis.back(F.lit(found).cast(x.schema["x"].dataType)).alias("v")).first()[0]
         return cls(value if before is None or before.value is None or (value is not None and value > before.value) else before.value)
 
+    @staticmethod
+    def _ranked(x: DataFrame, p: Fraction, accuracy: int):
+        """The value of rank p * n, rounded up, of the n values of ``x``."""
+        n = x.count()
+        rank, lo, hi = max(1, math.ceil(p * n)), None, None
+        while n:
+            off = 2 / accuracy + 1 / n  # further than estimates are wrong
+            low, high = max(0.0, rank / n - off), min(1.0, rank / n + off)
+            a, b, top = x.agg(F.percentile_approx("x", [low, high], accuracy).alias("q"), F.max("x").alias("m")).select(F.col("q")[0], F.col("q")[1], "m").first()
+            b = top if high == 1.0 else b
+            below, upto = x.agg(F.count_if(F.col("x") < F.lit(a)), F.count_if(F.col("x") <= F.lit(b))).first()
+            if below < rank <= upto and (a, b) != (lo, hi):
+                x, rank, n, lo, hi = x.filter(F.col("x").between(F.lit(a), F.lit(b))), rank - below, upto - below, a, b
+                if a == b:
+                    return a
+            else:  # no nearer by estimates
+                break
+            if x.select("x").distinct().limit(EXACT + 1).count() <= EXACT:
+                break
+        if not n:
+            return None
+        for value, count in ((r.x, r.n) for r in x.groupBy("x").agg(F.count("*").alias("n")).orderBy("x").toLocalIterator()):
+            rank -= count
+            if rank <= 0:
+                return value
+
     @classmethod
     def by(cls, rows: DataFrame, column: str, sources: list[str]) -> Watermark:
         """The least of the sources' maxima: every source has passed it."""
